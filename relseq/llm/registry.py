@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from relseq.llm import mixing, packing
+from relseq.llm import mixing, near_dup, packing
 
 QUERIES = {
+    "op6_minhash_near_dedup": near_dup.op6_minhash_near_dedup,
     "op8_mix_sources": mixing.op8_mix_sources,
     "op9_best_fit_packing": packing.op9_best_fit_packing,
 }

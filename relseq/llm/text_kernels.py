@@ -117,6 +117,6 @@ def shingle_hashes(words: np.ndarray, bounds: np.ndarray, width: int) -> tuple[n
     short = np.flatnonzero((n > 0) & (n < width))
     for t in short:  # at most one value for each short text
         own = words[bounds[t] : bounds[t + 1]]
-        total[bounds[t]] = np.add.reduce(own * _PLACE[: len(own)]) + _PLACE[40 + min(len(own), 20)]
+        total[bounds[t]] = np.add.reduce(np.append(own * _PLACE[: len(own)], _PLACE[40 + min(len(own), 20)]))
         keep[bounds[t]] = True
     return mix(total[keep]), out_bounds
