@@ -120,3 +120,35 @@ def shingle_hashes(words: np.ndarray, bounds: np.ndarray, width: int) -> tuple[n
         total[bounds[t]] = np.add.reduce(np.append(own * _PLACE[: len(own)], _PLACE[40 + min(len(own), 20)]))
         keep[bounds[t]] = True
     return mix(total[keep]), out_bounds
+
+
+# Letters for hashed-text features: ASCII letters and every byte of a multi-byte character.
+LETTER = np.zeros(256, bool)
+LETTER[65:91] = LETTER[97:123] = LETTER[128:] = True
+_LETTER_CODE = np.where(LETTER, _FOLDED_CODE, U(0))
+
+
+def letter_runs(data: np.ndarray, off: np.ndarray, prefixes: tuple[int, ...] = ()) -> tuple[list[np.ndarray], np.ndarray, np.ndarray]:
+    """Hashes of maximal letter runs (A-Z folded) and of their first bytes: one array for whole runs, one for
+    each length in ``prefixes`` (0 where the run is not longer); bounds by text; run starts."""
+    letter = LETTER[data]
+    begins = letter.copy()
+    begins[1:] &= ~letter[:-1]
+    first = off[:-1][off[:-1] < off[1:]]
+    begins[first] = letter[first]
+    starts = np.flatnonzero(begins)
+    bounds = np.searchsorted(starts, off)
+    if not len(starts):
+        return [np.zeros(0, np.uint64)] * (1 + len(prefixes)), bounds, starts
+    at = starts[0]
+    spans = np.diff(starts, append=len(data))
+    place = np.arange(len(data) - at, dtype=np.int32) - np.repeat((starts - at).astype(np.int32), spans)
+    terms = _LETTER_CODE[data[at:]]
+    terms *= powers(int(spans.max()) + 1)[place]
+    sizes = np.add.reduceat(letter[at:].astype(np.int32), starts - at)
+    out = [mix(np.add.reduceat(terms, starts - at))]
+    for n in prefixes:
+        terms[place >= max(prefixes)] = 0
+        head = np.where(place < n, terms, U(0))
+        out.append(np.where(sizes > n, mix(np.add.reduceat(head, starts - at) + U(n)), U(0)))
+    return out, bounds, starts
