@@ -12,6 +12,7 @@ other columns are ignored. Ids are those of the given vocabulary file, plus the
 
 from __future__ import annotations
 
+import re
 import zlib
 from bisect import bisect_left, insort
 from collections.abc import Iterator
@@ -30,44 +31,51 @@ PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 ROWS_PER_RANK_GROUP = 500_000
 
 
-class WordIds(dict):
-    """Ids of single words as little-endian bytes, filled on first use and emptied at ``limit`` words."""
+class Cached(dict):
+    """Id bytes by string, made on first use; the first ``limit`` strings, which hold the common ones, are kept."""
 
-    def __init__(self, tokenizer, limit: int = 400_000) -> None:
+    def __init__(self, make, limit: int) -> None:
         super().__init__()
-        self.tokenizer, self.limit = tokenizer, limit
+        self.make, self.limit = make, limit
 
-    def __missing__(self, word: str) -> bytes:
-        if len(self) >= self.limit:
-            self.clear()
-        ids = np.array(self.tokenizer.encode(word, add_special_tokens=False).ids, "<u4").tobytes()
-        self[word] = ids
+    def __missing__(self, key: str) -> bytes:
+        ids = self.make(key)
+        if len(self) < self.limit:
+            self[key] = ids
         return ids
 
 
 class Encoder:
-    """Text to id bytes. Plain Latin text is split by the vocabulary's own word pattern and looked up word
-    by word (its pieces never cross those words); any other text goes through the tokenizer whole."""
+    """Text to id bytes. The vocabulary's word pattern never matches across white space, so plain Latin text
+    is looked up chunk by chunk between spaces, and a new chunk word by word; any other text goes through the
+    tokenizer whole."""
 
-    #: Fixed value: the word pattern of the vocabulary file, restricted to characters below U+0250.
-    WORD = r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+"
-    ODD = r"[^\x00-\x1b\x20-\x84\x86-ɏ‘-„]|İ|<\|"
+    #: The vocabulary file's word pattern (a fixed value), spelled for the standard module; below U+0250 it
+    #: matches alike but for the marks that ODD lists.
+    WORD = r"'s|'t|'re|'ve|'m|'ll|'d|[^\W\d_]+|\d|(?:[^\s\w]|_)+"
+    #: Characters (or marks of special tokens) for which the short way is not taken.
+    ODD = r"[^\x00-\x1b\x20-\x84\x86-\u024f\u2018-\u201e]|\u0130|<\|"
+    ODD_ASCII = ("<|", "\x1c", "\x1d", "\x1e", "\x1f")
 
     def __init__(self, vocabulary: str = VOCABULARY) -> None:
         import os
 
         import public_tokenizers
-        import regex
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(vocabulary if os.path.isabs(vocabulary) else public_tokenizers.path(vocabulary))
-        self.words, self.odd, self.known = regex.compile(self.WORD).findall, regex.compile(self.ODD).search, WordIds(self.tokenizer)
+        self.odd = re.compile(self.ODD).search
+        split, words = re.compile(self.WORD).findall, Cached(self.whole, 600_000)
+        self.chunks = Cached(lambda chunk: b"".join([words[w] for w in split(chunk)]), 300_000)
+
+    def whole(self, text: str) -> bytes:
+        return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
 
     def __call__(self, text: str) -> bytes:
-        if self.odd(text):
-            return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
-        known = self.known
-        return b"".join([known[w] for w in self.words(text.lower())])
+        if any(x in text for x in self.ODD_ASCII) if text.isascii() else self.odd(text):
+            return self.whole(text)
+        chunks = self.chunks
+        return b"".join([chunks[w] for w in text.lower().split()])
 
 
 _encoders: dict[str, Encoder] = {}
