@@ -21,6 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from relseq.llm import store
 from relseq.llm import text_kernels as tk
 
 DIM = 512
@@ -159,7 +160,7 @@ def classify(docs: DataFrame, labels: list[str], model: np.ndarray, text_col: st
 
 
 def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    docs = store.table(spark, sf_dir, "documents")
     held_out = F.coalesce(F.crc32(F.col("doc_id").cast("string").cast("binary")) % FOLDS == 0, F.lit(True)).alias("held_out")
     labels, model = learn(docs.where(~held_out))
     return classify(docs.select("doc_id", held_out, "text"), labels, model)

@@ -16,6 +16,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from relseq.llm import store
+
 WEIGHTS = (5, 2, 1)
 MAX_EPOCHS = 3
 SEED = "mix-7"
@@ -100,7 +102,7 @@ def apply_mix(docs: DataFrame, id_col: str = "doc_id", source_col: str = "source
 
 
 def op8_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    docs = store.table(spark, sf_dir, "documents")
     return plan_mix(docs).select("doc_id", "size", "source_size", "target", "taken")
 
 

@@ -224,4 +224,4 @@ def best_fit_pack(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
 
 
 def op9_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return best_fit_pack(spark.read.parquet(f"{sf_dir}/documents.parquet"))
+    return best_fit_pack(store.table(spark, sf_dir, "documents"))

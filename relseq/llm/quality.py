@@ -23,6 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from relseq.llm import store
 from relseq.llm import text_kernels as tk
 
 BITS = 18
@@ -172,7 +173,7 @@ def score(docs: DataFrame, model: OrdinalModel, text_col: str = "text") -> DataF
 
 def label_grades(spark: SparkSession, sf_dir: str) -> DataFrame:
     toxic, fine = F.coalesce(F.col("toxic"), F.lit(0)) == 1, F.col("quality") == 1
-    return spark.read.parquet(f"{sf_dir}/labels.parquet").select("doc_id", F.when(toxic, 0).when(fine, 2).when(~fine, 1).alias("grade"))
+    return store.table(spark, sf_dir, "labels").select("doc_id", F.when(toxic, 0).when(fine, 2).when(~fine, 1).alias("grade"))
 
 
 def select_quality(docs: DataFrame, grades: DataFrame, least: float = 0.5) -> DataFrame:
@@ -184,7 +185,7 @@ def select_quality(docs: DataFrame, grades: DataFrame, least: float = 0.5) -> Da
 
 
 def op10_quality_ordinal(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
+    docs = store.table(spark, sf_dir, "documents").select("doc_id", "text")
     model = train(docs, label_grades(spark, sf_dir))
     scored = score(docs, model).select("doc_id", "expected_grade", "tail_prob")
     return scored.withColumn("kept", F.col("tail_prob") >= 0.5)

@@ -64,3 +64,15 @@ def clean() -> None:
         if spark.sparkContext._jsc is None or spark.sparkContext._jsc.sc().isStopped():
             continue
         _delete(spark, path)
+
+
+def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    """A given table, with Arrow batches kept small: texts are long, and workers hold whole batches."""
+    small_batches(spark)
+    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+
+
+def small_batches(spark: SparkSession, rows: int = 1000, size: str = "8m") -> None:
+    if int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch", "10000")) > rows:
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(rows))
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", size)
