@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from relseq.llm import language_id, mixing, near_dup, packing, quality
+from relseq.llm import language_id, line_dedup, mixing, near_dup, packing, quality
 
 QUERIES = {
+    "op4_line_run_dedup": line_dedup.op4_line_run_dedup,
     "op5_language_id": language_id.op5_language_id,
     "op6_minhash_near_dedup": near_dup.op6_minhash_near_dedup,
     "op8_mix_sources": mixing.op8_mix_sources,
     "op9_best_fit_packing": packing.op9_best_fit_packing,
     "op10_quality_ordinal": quality.op10_quality_ordinal,
 }
-ORACLES = {"op8_mix_sources": mixing.OP8_SQL}
+ORACLES = {"op4_line_run_dedup": line_dedup.OP4_SQL, "op8_mix_sources": mixing.OP8_SQL}
