@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
-from relseq.llm import language_id, line_dedup, mixing, near_dup, packing, quality
+from relseq.llm import language_id, line_dedup, media, mixing, near_dup, packing, quality, warc
 
 QUERIES = {
+    "op2_media_lossless_webp": media.op2_media_lossless_webp,
+    "op3_warc_transactions": warc.op3_warc_transactions,
     "op4_line_run_dedup": line_dedup.op4_line_run_dedup,
     "op5_language_id": language_id.op5_language_id,
     "op6_minhash_near_dedup": near_dup.op6_minhash_near_dedup,
@@ -12,4 +14,4 @@ QUERIES = {
     "op9_best_fit_packing": packing.op9_best_fit_packing,
     "op10_quality_ordinal": quality.op10_quality_ordinal,
 }
-ORACLES = {"op4_line_run_dedup": line_dedup.OP4_SQL, "op8_mix_sources": mixing.OP8_SQL}
+ORACLES = {"op3_warc_transactions": warc.OP3_SQL, "op4_line_run_dedup": line_dedup.OP4_SQL, "op8_mix_sources": mixing.OP8_SQL}
