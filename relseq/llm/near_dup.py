@@ -8,8 +8,9 @@
 3. Stars: every member of a list is compared with the list's first member. Candidates pass the estimate
    from the union's sketch, then the exact ratio on full shingle sets.
 4. Lists whose members are then still in several components are compared in blocks of bounded size,
-   only across components; again estimate first, exact ratio after. No list is capped and copies never
-   meet each other pair by pair.
+   only across components. Shingles that one of these members has alone bound its overlap with any
+   other; a pair is tried in one of its lists only; again estimate first, exact ratio after. No list is
+   capped and copies never meet each other pair by pair.
 
 For sets larger than ``k`` the bound ``t`` lies six standard deviations below the expected overlap (a
 pair just at the threshold is missed with a probability below one in a million); smaller sets are exact.
@@ -113,6 +114,13 @@ def passes(a: np.ndarray, b: np.ndarray, k: int, percent: int) -> np.ndarray:
     return np.where(size < k, 100 * shared >= percent * size, shared >= least_overlap(k, k, percent))
 
 
+def first_common_kept(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """The smallest value that both rows have with the low bit set (which marks listed values), halved."""
+    both = np.sort(np.concatenate((a, b), axis=1), axis=1)
+    hit = (both[:, 1:] == both[:, :-1]) & (both[:, 1:] & tk.U(1) == 1) & (both[:, 1:] != np.iinfo(np.uint64).max)
+    return both[np.arange(len(both)), hit.argmax(axis=1)] >> tk.U(1)
+
+
 def estimated(pairs: DataFrame, reps: DataFrame, k: int, percent: int) -> DataFrame:
     """The pairs (a, b) whose union sketch leaves the threshold possible."""
 
@@ -164,7 +172,8 @@ def components(edges: DataFrame) -> DataFrame:
 
 
 def cross_pairs(members: DataFrame, k: int, percent: int, block: int = BLOCK) -> DataFrame:
-    """Candidate pairs across components inside each list. ``members(value, rep, n, comp, sketch)``.
+    """Candidate pairs across components inside each list. ``members(value, rep, n, m, comp, sketch)``: ``m``
+    bounds the overlap with any other member, and the low bits of the sketch mark the values listed.
 
     Lists are cut into blocks, and two blocks meet in one task-sized group, whatever the list's length.
     """
@@ -172,7 +181,7 @@ def cross_pairs(members: DataFrame, k: int, percent: int, block: int = BLOCK) ->
     cut = members.withColumn("i", F.floor(rank / block).cast("int"))
     blocks = cut.groupBy("value").agg((F.max("i") + 1).alias("blocks"))
     sent = cut.join(blocks, "value").withColumn("o", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    sent = sent.select("value", F.least("i", "o").alias("lo"), F.greatest("i", "o").alias("hi"), "i", "rep", "n", "comp", "sketch")
+    sent = sent.select("value", F.least("i", "o").alias("lo"), F.greatest("i", "o").alias("hi"), "i", "rep", "n", "m", "comp", "sketch")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: pa.Table | None = None
@@ -188,8 +197,9 @@ def cross_pairs(members: DataFrame, k: int, percent: int, block: int = BLOCK) ->
             yield from compare(held, np.array([0, held.num_rows]))
 
     def compare(table: pa.Table, cuts: np.ndarray) -> Iterator[pa.RecordBatch]:
-        rep, n, comp, i = (table.column(c).to_numpy() for c in ("rep", "n", "comp", "i"))
+        rep, n, m, comp, i, value = (table.column(c).to_numpy() for c in ("rep", "n", "m", "comp", "i", "value"))
         sketch = padded(table.column("sketch").combine_chunks(), k)
+        plain = np.where(sketch == np.iinfo(np.uint64).max, sketch, sketch >> tk.U(1))
         lo, hi = table.column("lo").to_numpy(), table.column("hi").to_numpy()
         left: list[np.ndarray] = []
         right: list[np.ndarray] = []
@@ -199,7 +209,9 @@ def cross_pairs(members: DataFrame, k: int, percent: int, block: int = BLOCK) ->
             x, y = np.concatenate(left), np.concatenate(right)
             for at in range(0, len(x), 4096):
                 p, q = x[at : at + 4096], y[at : at + 4096]
-                ok = passes(sketch[p], sketch[q], k, percent)
+                ok = first_common_kept(sketch[p], sketch[q]) == value[p].view(np.uint64) >> tk.U(1)
+                p, q = p[ok], q[ok]
+                ok = passes(plain[p], plain[q], k, percent)
                 a, b = rep[p[ok]], rep[q[ok]]
                 yield pa.RecordBatch.from_arrays([pa.array(np.minimum(a, b)), pa.array(np.maximum(a, b))], ["a", "b"])
 
@@ -213,7 +225,8 @@ def cross_pairs(members: DataFrame, k: int, percent: int, block: int = BLOCK) ->
                 own = np.arange(begin, end)
                 first, second = own[i[begin:end] == lo[begin]], own[i[begin:end] == hi[begin]]
                 x, y = np.repeat(first, len(second)), np.tile(second, len(first))
-            ok = (comp[x] != comp[y]) & (100 * np.minimum(n[x], n[y]) >= percent * np.maximum(n[x], n[y]))
+            most = np.minimum(m[x], m[y])  # no pair shares more, and sets of n and n' that share s have n + n' - s
+            ok = (comp[x] != comp[y]) & (100 * most >= percent * (n[x] + n[y] - most)) & (100 * np.minimum(n[x], n[y]) >= percent * np.maximum(n[x], n[y]))
             if ok.any():
                 left.append(x[ok])
                 right.append(y[ok])
@@ -225,7 +238,20 @@ def cross_pairs(members: DataFrame, k: int, percent: int, block: int = BLOCK) ->
             yield from flush()
 
     keys = ["value", "lo", "hi"]
-    return sent.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(run, "a long, b long").distinct()
+    return sent.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(run, "a long, b long")
+
+
+def own_shingles(sets: DataFrame) -> DataFrame:
+    """(rep, alone): how many of a set's shingles no other of ``sets`` has."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for rep, cell in zip(batch.column(0), batch.column(1)):
+                values = np.frombuffer(cell.as_buffer(), np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(values), rep.as_py())), pa.array(values)], ["rep", "value"])
+
+    single = sets.select("id", "members").mapInArrow(run, "rep long, value long").groupBy("value").agg(F.count("*").alias("m"), F.min("rep").alias("rep")).where("m = 1")
+    return single.groupBy("rep").agg(F.count("*").alias("alone"))
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, percent: int = PERCENT, k: int = K) -> DataFrame:
@@ -260,8 +286,14 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     labels = components(links)
     placed = kept.join(labels.withColumnRenamed("v", "rep"), "rep", "left").withColumn("comp", F.coalesce("comp", "rep"))
     mixed = placed.groupBy("value").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).where("x <> y").select("value")
-    members = placed.join(mixed, "value", "left_semi").join(reps.select("rep", "sketch"), "rep").select("value", "rep", "n", "comp", "sketch")
-    crossing = store.materialise(cross_pairs(members, k, percent), "crossing")
+    members = store.materialise(placed.join(mixed, "value", "left_semi").select("value", "rep", "n", "comp"), "members")
+    asked = members.select("rep").distinct()
+    alone = own_shingles(sets.join(asked.withColumnRenamed("rep", "id"), "id", "left_semi"))
+    # At most a sketch's worth of listed values for each member; they are marked in its sketch.
+    marks = kept.join(asked, "rep", "left_semi").groupBy("rep").agg(F.collect_set("value").alias("listed"))
+    marked = F.transform("sketch", lambda v: v.bitwiseAND(F.lit(-2).cast("long")).bitwiseOR(F.array_contains("listed", v).cast("long")))
+    about = marks.join(reps, "rep").join(alone, "rep", "left").select("rep", (F.col("n") - F.coalesce("alone", F.lit(0))).alias("m"), marked.alias("sketch"))
+    crossing = store.materialise(cross_pairs(members.join(about, "rep").select("value", "rep", "n", "m", "comp", "sketch"), k, percent), "crossing")
     more = store.materialise(verified(crossing, sets, percent), "links")
     if more.limit(1).count():
         labels = components(links.union(more))
