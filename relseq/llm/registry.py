@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from relseq.llm import language_id, line_dedup, media, mixing, near_dup, packing, quality, warc
+from relseq.llm import ann, language_id, line_dedup, media, mixing, near_dup, packing, quality, warc
 
 QUERIES = {
     "op2_media_lossless_webp": media.op2_media_lossless_webp,
@@ -10,6 +10,7 @@ QUERIES = {
     "op4_line_run_dedup": line_dedup.op4_line_run_dedup,
     "op5_language_id": language_id.op5_language_id,
     "op6_minhash_near_dedup": near_dup.op6_minhash_near_dedup,
+    "op7_hnsw_neighbours": ann.op7_hnsw_neighbours,
     "op8_mix_sources": mixing.op8_mix_sources,
     "op9_best_fit_packing": packing.op9_best_fit_packing,
     "op10_quality_ordinal": quality.op10_quality_ordinal,
