@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from relseq.llm import ann, language_id, line_dedup, media, mixing, near_dup, packing, quality, warc
+from relseq.llm import ann, language_id, line_dedup, media, mixing, near_dup, packing, quality, suffix_dedup, warc
 
 QUERIES = {
+    "op1_suffix_dedup": suffix_dedup.op1_suffix_dedup,
     "op2_media_lossless_webp": media.op2_media_lossless_webp,
     "op3_warc_transactions": warc.op3_warc_transactions,
     "op4_line_run_dedup": line_dedup.op4_line_run_dedup,

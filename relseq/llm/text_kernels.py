@@ -1,6 +1,6 @@
 """Vectorised kernels over the bytes of Arrow string columns.
 
-A column of texts is handled as one byte array plus offsets, cut into slices of about a megabyte, so memory
+A column of texts is handled as one byte array plus offsets, cut into slices of a quarter of a megabyte, so memory
 is bounded by the slice (or by one very long text) and there is no per-word Python object.
 """
 
@@ -11,7 +11,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 
-SLICE_BYTES = 1 << 20
+SLICE_BYTES = 1 << 18
 U = np.uint64
 # Word separators of the engine: space and the control characters tab to carriage return (fixed values).
 SPACE = np.zeros(256, bool)
