@@ -8,8 +8,8 @@
 3. Stars: every member of a list is compared with the list's first member. Candidates pass the estimate
    from the union's sketch, then the exact ratio on full shingle sets.
 4. Lists whose members are then still in several components are compared in blocks of bounded size,
-   only across components. Shingles that one of these members has alone bound its overlap with any
-   other; a pair is tried in one of its lists only; again estimate first, exact ratio after. No list is
+   only across components. Their shingles that no other member has, and counts of the rest by hash
+   bucket, bound what two of them can share; a pair is tried in one of its lists only; again estimate first, exact ratio after. No list is
    capped and copies never meet each other pair by pair.
 
 For sets larger than ``k`` the bound ``t`` lies six standard deviations below the expected overlap (a
@@ -35,6 +35,7 @@ from relseq.llm import text_kernels as tk
 
 K = 64
 BLOCK = 512
+SIGNATURE = 128
 PERCENT = 80
 
 
@@ -172,8 +173,8 @@ def components(edges: DataFrame) -> DataFrame:
 
 
 def cross_pairs(members: DataFrame, k: int, percent: int, block: int = BLOCK) -> DataFrame:
-    """Candidate pairs across components inside each list. ``members(value, rep, n, m, comp, sketch)``: ``m``
-    bounds the overlap with any other member, and the low bits of the sketch mark the values listed.
+    """Candidate pairs across components inside each list. ``members(value, rep, n, m, sig, comp, sketch)``:
+    ``m`` and ``sig`` bound overlaps, and the low bits of the sketch mark the values listed.
 
     Lists are cut into blocks, and two blocks meet in one task-sized group, whatever the list's length.
     """
@@ -181,7 +182,7 @@ def cross_pairs(members: DataFrame, k: int, percent: int, block: int = BLOCK) ->
     cut = members.withColumn("i", F.floor(rank / block).cast("int"))
     blocks = cut.groupBy("value").agg((F.max("i") + 1).alias("blocks"))
     sent = cut.join(blocks, "value").withColumn("o", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    sent = sent.select("value", F.least("i", "o").alias("lo"), F.greatest("i", "o").alias("hi"), "i", "rep", "n", "m", "comp", "sketch")
+    sent = sent.select("value", F.least("i", "o").alias("lo"), F.greatest("i", "o").alias("hi"), "i", "rep", "n", "m", "sig", "comp", "sketch")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: pa.Table | None = None
@@ -199,6 +200,7 @@ def cross_pairs(members: DataFrame, k: int, percent: int, block: int = BLOCK) ->
     def compare(table: pa.Table, cuts: np.ndarray) -> Iterator[pa.RecordBatch]:
         rep, n, m, comp, i, value = (table.column(c).to_numpy() for c in ("rep", "n", "m", "comp", "i", "value"))
         sketch = padded(table.column("sketch").combine_chunks(), k)
+        sig = np.frombuffer(b"".join(x.as_py() for x in table.column("sig")), np.uint32).reshape(-1, SIGNATURE)
         plain = np.where(sketch == np.iinfo(np.uint64).max, sketch, sketch >> tk.U(1))
         lo, hi = table.column("lo").to_numpy(), table.column("hi").to_numpy()
         left: list[np.ndarray] = []
@@ -209,6 +211,11 @@ def cross_pairs(members: DataFrame, k: int, percent: int, block: int = BLOCK) ->
             x, y = np.concatenate(left), np.concatenate(right)
             for at in range(0, len(x), 4096):
                 p, q = x[at : at + 4096], y[at : at + 4096]
+                most = np.minimum(sig[p], sig[q]).sum(axis=1, dtype=np.int64)
+                ok = 100 * most >= percent * (n[p] + n[q] - most)
+                p, q = p[ok], q[ok]
+                if not len(p):
+                    continue
                 ok = first_common_kept(sketch[p], sketch[q]) == value[p].view(np.uint64) >> tk.U(1)
                 p, q = p[ok], q[ok]
                 ok = passes(plain[p], plain[q], k, percent)
@@ -241,17 +248,31 @@ def cross_pairs(members: DataFrame, k: int, percent: int, block: int = BLOCK) ->
     return sent.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(run, "a long, b long")
 
 
-def own_shingles(sets: DataFrame) -> DataFrame:
-    """(rep, alone): how many of a set's shingles no other of ``sets`` has."""
+def overlap_bounds(sets: DataFrame) -> DataFrame:
+    """(rep, m, sig): how many of a set's shingles some other of ``sets`` has too, in all and by hash bucket. What two
+    sets share is at most the smaller of their counts, summed over buckets."""
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def flat(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for rep, cell in zip(batch.column(0), batch.column(1)):
                 values = np.frombuffer(cell.as_buffer(), np.int64)
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(len(values), rep.as_py())), pa.array(values)], ["rep", "value"])
 
-    single = sets.select("id", "members").mapInArrow(run, "rep long, value long").groupBy("value").agg(F.count("*").alias("m"), F.min("rep").alias("rep")).where("m = 1")
-    return single.groupBy("rep").agg(F.count("*").alias("alone"))
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            m, sig = [], []
+            for cell, alone in zip(batch.column(1), batch.column(2)):
+                own = np.bincount((np.frombuffer(cell.as_buffer(), np.uint64) & tk.U(SIGNATURE - 1)).astype(np.int64), minlength=SIGNATURE)
+                if alone.is_valid:
+                    own = own - np.bincount(alone.values.to_numpy(), minlength=SIGNATURE)
+                m.append(int(own.sum()))
+                sig.append(own.astype(np.uint32).tobytes())
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(m, pa.int64()), pa.array(sig, pa.binary())], ["rep", "m", "sig"])
+
+    single = sets.select("id", "members").mapInArrow(flat, "rep long, value long").groupBy("value").agg(F.count("*").alias("m"), F.min("rep").alias("id")).where("m = 1")
+    bucket = F.col("value").bitwiseAND(F.lit(SIGNATURE - 1).cast("long")).cast("int")
+    alone = single.groupBy("id").agg(F.collect_list(bucket).alias("alone"))  # at most a set's own size
+    return sets.join(alone, "id", "left").select("id", "members", "alone").mapInArrow(count, "rep long, m long, sig binary")
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, percent: int = PERCENT, k: int = K) -> DataFrame:
@@ -288,12 +309,12 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     mixed = placed.groupBy("value").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).where("x <> y").select("value")
     members = store.materialise(placed.join(mixed, "value", "left_semi").select("value", "rep", "n", "comp"), "members")
     asked = members.select("rep").distinct()
-    alone = own_shingles(sets.join(asked.withColumnRenamed("rep", "id"), "id", "left_semi"))
+    bounds = overlap_bounds(sets.join(asked.withColumnRenamed("rep", "id"), "id", "left_semi"))
     # At most a sketch's worth of listed values for each member; they are marked in its sketch.
     marks = kept.join(asked, "rep", "left_semi").groupBy("rep").agg(F.collect_set("value").alias("listed"))
     marked = F.transform("sketch", lambda v: v.bitwiseAND(F.lit(-2).cast("long")).bitwiseOR(F.array_contains("listed", v).cast("long")))
-    about = marks.join(reps, "rep").join(alone, "rep", "left").select("rep", (F.col("n") - F.coalesce("alone", F.lit(0))).alias("m"), marked.alias("sketch"))
-    crossing = store.materialise(cross_pairs(members.join(about, "rep").select("value", "rep", "n", "m", "comp", "sketch"), k, percent), "crossing")
+    about = marks.join(reps, "rep").join(bounds, "rep").select("rep", "m", "sig", marked.alias("sketch"))
+    crossing = store.materialise(cross_pairs(members.join(about, "rep").select("value", "rep", "n", "m", "sig", "comp", "sketch"), k, percent), "crossing")
     more = store.materialise(verified(crossing, sets, percent), "links")
     if more.limit(1).count():
         labels = components(links.union(more))
