@@ -61,7 +61,12 @@ def pack(events: DataFrame, types: list[str]) -> DataFrame:
     # Ranks of sorted distinct keys; a binary search is not needed, transactions of a sequence are few.
     events_col = F.transform("xs", lambda x, i: F.struct((i + 1).cast("int").alias("pos"), F.array_position("ks", x["txn_key"]).cast("int").alias("txn"), x["type"].alias("type"), x["concepts"].alias("concepts"), x["attrs"].alias("attrs"), x["event_id"].alias("event_id")))
     rows = rows.select("seq_id", events_col.alias("events"), F.size("xs").alias("n_events"), F.size("ks").alias("n_txn"))
-    return rows.select("*", *[F.size(F.filter("events", lambda e, t=t: e["type"] == t)).alias(f"n_{t}") for t in types])
+    return rows.select("*", *[_count(t).alias(f"n_{t}") for t in types])
+
+
+def _count(kind: str) -> Column:
+    """Events of one type; a lambda of two parameters would be given the index."""
+    return F.size(F.filter("events", lambda e: e["type"] == kind))
 
 
 def build(events: DataFrame, trees: dict[str, list[str]], relations: list[Relation] = (), distinct: bool = True) -> Corpus:

@@ -8,8 +8,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from relseq.operators import matching, typemining
-from relseq.operators.corpus import Corpus, pack
+from relseq.operators import matching
+from relseq.operators.corpus import Corpus, dedupe, pack
 
 
 def with_time(events: DataFrame, column: str, delay: str = "1 day") -> DataFrame:
@@ -30,6 +30,13 @@ def close_sequences(events: DataFrame, length: str = "3 days", start: str = "1 d
     return _gather(grouped, F.concat_ws("-", F.col("user_id").cast("string"), F.date_format("w.start", "yyyyMMdd")))
 
 
+def follow(long: DataFrame) -> DataFrame:
+    """Where the long layout already names its sequence: (seq_id, xs) of all events so far, each time an event of
+    the sequence arrives (update mode)."""
+    event = F.struct("txn_key", "type", "concepts", "event_id", "attrs")
+    return long.groupBy("seq_id").agg(F.collect_list(event).alias("xs"))
+
+
 def sessions(events: DataFrame, gap: str = "1 day") -> DataFrame:
     """The same with windows that end after ``gap`` without an event."""
     grouped = events.groupBy(F.session_window("at", gap).alias("w"), "user_id")
@@ -48,15 +55,14 @@ def with_lookup(events: DataFrame, table: DataFrame, key: str) -> DataFrame:
 
 def packed(closed: DataFrame, types: list[str]) -> DataFrame:
     """Closed sequences in the packed layout, equal events of a transaction once."""
-    from relseq.operators.corpus import dedupe
-
     long = closed.select("seq_id", F.explode("xs").alias("x")).select("seq_id", "x.*")
     return pack(dedupe(long), types)
 
 
 class Support:
-    """Skeleton support over a stream of closed sequences: each micro-batch is counted and added to a table of
-    one row per (batch, skeleton), so a replayed batch overwrites its own rows."""
+    """Skeleton support over a stream of sequences. Each micro-batch stores the counts of the sequences it
+    brought, under its own number, so a replayed batch overwrites itself and a sequence that grew counts as it
+    last was."""
 
     def __init__(self, like: Corpus, skeletons: list[str], max_gap: int | None, path: str) -> None:
         self.like, self.skeletons, self.max_gap, self.path = like, skeletons, max_gap, path
@@ -64,11 +70,15 @@ class Support:
     def __call__(self, batch: DataFrame, batch_id: int) -> None:
         rows = packed(batch, self.like.types)
         part = Corpus(rows, self.like.trees, self.like.relations)
-        found = matching.occurrences(part, self.skeletons, self.max_gap).groupBy("skeleton").agg(F.count_distinct("seq_id").alias("support"), F.count("*").alias("occurrences"))
-        found.write.mode("overwrite").parquet(f"{self.path}/batch={batch_id}")
+        found = matching.occurrences(part, self.skeletons, self.max_gap).groupBy("seq_id", "skeleton").agg(F.count("*").alias("n"))
+        found = found.groupBy("seq_id").agg(F.collect_list(F.struct("skeleton", "n")).alias("counts"))  # one entry a skeleton
+        rows.select("seq_id").join(found, "seq_id", "left").write.mode("overwrite").parquet(f"{self.path}/batch={batch_id}")
 
     def total(self, spark) -> DataFrame:
-        return spark.read.parquet(self.path).groupBy("skeleton").agg(F.sum("support").alias("support"), F.sum("occurrences").alias("occurrences"))
+        # Structs, because a sequence whose last state has no occurrence has null counts.
+        last = spark.read.parquet(self.path).groupBy("seq_id").agg(F.max_by(F.struct("counts"), "batch").alias("x"))
+        each = last.select(F.explode("x.counts").alias("c"))
+        return each.groupBy("c.skeleton").agg(F.count("*").alias("support"), F.sum("c.n").alias("occurrences"))
 
 
 def replay(spark, directory: str, name: str, schema) -> DataFrame:
@@ -83,5 +93,3 @@ def batch_counts(corpus: Corpus, skeletons: list[str], max_gap: int | None) -> D
     rows = matching.occurrences(corpus, skeletons, max_gap)
     return rows.groupBy("skeleton").agg(F.count_distinct("seq_id").alias("support"), F.count("*").alias("occurrences"))
 
-
-__all__ = ["Support", "batch_counts", "close_sequences", "packed", "replay", "sessions", "typemining", "with_lookup", "with_time", "without_replays"]
