@@ -11,6 +11,7 @@ import atexit
 import tempfile
 import uuid
 
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 
 _written: list[tuple[SparkSession, str]] = []
@@ -76,3 +77,19 @@ def small_batches(spark: SparkSession, rows: int = 1000, size: str = "8m") -> No
     if int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch", "10000")) > rows:
         spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(rows))
     spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", size)
+
+
+_held: list[DataFrame] = []
+
+
+def keep(df: DataFrame) -> DataFrame:
+    """Hold a result that several later steps read, in memory or on the executors' disks. It keeps its lineage, so
+    what a lost executor held is computed again; ``release`` gives it up."""
+    out = df.persist(StorageLevel.MEMORY_AND_DISK)
+    _held.append(out)
+    return out
+
+
+def release(df: DataFrame) -> None:
+    df.unpersist()
+    _held[:] = [x for x in _held if x is not df]
