@@ -281,8 +281,9 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     every = store.materialise(sketches(texts, width, k), "sketches")
     some = every.where("n_shingles > 0 and doc_id is not null")
     classes = some.groupBy("fp1", "fp2", "n_shingles").agg(F.min("doc_id").alias("rep"), F.first("sketch").alias("sketch"))
-    reps = store.keep(classes.withColumnRenamed("n_shingles", "n"))
+    reps = store.materialise(classes.withColumnRenamed("n_shingles", "n"), "classes")
 
+    # What a later step reads twice is written; the small tables of pairs are only held.
     # Rarest values of each sketch among those that more than one class has.
     listed = reps.select("rep", "n", F.explode("sketch").alias("value"))
     shared = listed.groupBy("value").agg(F.count("*").alias("df")).where("df > 1")
@@ -294,14 +295,14 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     room = prefix - (held - F.size("own"))  # values of one class only come first
     kept = own.where(room > 0).select("rep", "n", F.explode(F.slice(F.sort_array("own"), 1, F.greatest(room, F.lit(1)))).alias("x")).select("x.value", "rep", "n")
     kept = kept.withColumn("c", F.floor(F.log(F.col("n").cast("double")) / log(100 / percent + 1e-9)).cast("int"))
-    kept = store.keep(kept)
+    kept = store.materialise(kept, "lists")
 
     first = kept.groupBy("value", "c").agg(F.min("rep").alias("a"), F.count("*").alias("m")).where("m > 1").drop("m")
     stars = kept.join(first, ["value", "c"]).where("rep <> a").select("a", F.col("rep").alias("b")).distinct()
     stars = store.keep(estimated(stars, reps, k, percent))
     several = kept.groupBy("value").agg(F.count("*").alias("m")).where("m > 1").select("value")
     wanted = kept.join(several, "value", "left_semi").select(F.col("rep").alias("doc_id")).distinct()
-    sets = store.keep(full_sets(texts.join(wanted, "doc_id", "left_semi"), width))
+    sets = store.materialise(full_sets(texts.join(wanted, "doc_id", "left_semi"), width), "sets", "none")
     links = store.keep(verified(stars, sets, percent))
 
     labels = components(links)
