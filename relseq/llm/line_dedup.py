@@ -24,6 +24,7 @@ from collections.abc import Iterator
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType, StringType, StructField, StructType
 
 from relseq.llm import store
 
@@ -49,7 +50,7 @@ def global_ranks(groups: DataFrame, keys: list[str], count: str = "n") -> DataFr
     """``groups`` with ``rank``: the sum of ``count`` over groups whose keys sort before. Range-partitioned; only
     one total for each partition is gathered."""
     ordered = groups.repartitionByRange(*keys).withColumn("__p", F.spark_partition_id())
-    ordered = store.materialise(ordered, "ranks")
+    ordered = store.materialise(ordered, "ranks", few=True)
     before = Window.partitionBy("__p").orderBy(*keys).rowsBetween(Window.unboundedPreceding, -1)
     totals = ordered.groupBy("__p").agg(F.sum(count).alias("t"))
     base = totals.withColumn("base", F.coalesce(F.sum("t").over(Window.orderBy("__p").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))).drop("t")
@@ -73,7 +74,7 @@ def repeated_windows(lines: DataFrame, min_lines: int) -> DataFrame:
         ranks = global_ranks(some, keys)
         if not last:
             ranks = ranks.drop("first")
-        return store.materialise(rows.join(ranks, keys).drop(*keys), "windows")
+        return store.materialise(rows.join(ranks, keys).drop(*keys), "windows", few=True)
 
     size = 1
     now = named(lines.select("k1", "k2", "seq", "h1", "h2"), ["h1", "h2"], min_lines == 1)
@@ -102,38 +103,40 @@ def dedupe_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     nothing but blank lines is left go, unless they came so."""
     out = with_removals(docs, id_col, text_col, min_lines)
     if drop_emptied:
-        out = out.where((F.col("__removed") == 0) | F.col("__text").rlike(r"[^\x20\x09-\x0D]"))
-    return out.select(*[(F.when(F.col("__removed") > 0, F.col("__text")).otherwise(F.col(f"`{c}`")) if c == text_col else F.col(f"`{c}`")).alias(c) for c in docs.columns])
+        out = out.where((F.col("removed") == 0) | F.col("left").rlike(r"[^\x20\x09-\x0D]"))
+    own = {c: F.col("row").getField(c) for c in docs.columns}
+    own[text_col] = F.when(F.col("removed") > 0, F.col("left")).otherwise(own[text_col])
+    return out.select(*[x.alias(c) for c, x in own.items()])
 
 
 def with_removals(docs: DataFrame, id_col: str, text_col: str, min_lines: int) -> DataFrame:
-    """All columns with __text (what is left), __removed (lines) and __runs."""
-    removed = removed_lines(docs, id_col, text_col, min_lines)
-    keys = [F.coalesce(F.col(f"`{id_col}`").cast("long"), F.lit(-(2**63)).cast("long")) == F.col("k1"), F.xxhash64(F.coalesce(F.col(f"`{text_col}`"), F.lit(""))) == F.col("k2")]
-    own = docs.join(removed, [keys[0] & keys[1]], "left")
-    names = docs.columns
-    hit, rest = own.where(F.col("lines").isNotNull()), own.where(F.col("lines").isNull())
-    place = names.index(text_col)
+    """(row, left, removed, runs): each row as a struct, what is left of its text, and how many lines in how many
+    runs went."""
+    gone = removed_lines(docs, id_col, text_col, min_lines).select(F.col("k1").alias("r1"), F.col("k2").alias("r2"), "lines", "runs")
+    key1 = F.coalesce(F.col(f"`{id_col}`").cast("long"), F.lit(-(2**63)).cast("long"))
+    key2 = F.xxhash64(F.coalesce(F.col(f"`{text_col}`"), F.lit("")))
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), key1.alias("k1"), key2.alias("k2"))
+    own = rows.join(gone, (F.col("k1") == F.col("r1")) & (F.col("k2") == F.col("r2")), "left").select("row", "lines", "runs")
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             left = []
-            for text, gone in zip(batch.column(place), batch.column(len(names))):
-                out = set(gone.as_py())
+            for text, lines in zip(batch.column(0).field(text_col), batch.column(1)):
+                out = set(lines.as_py())
                 left.append(LINE_END.join([x for i, x in enumerate((text.as_py() or "").split(LINE_END)) if i not in out]))
-            yield pa.RecordBatch.from_arrays([*batch.columns[: len(names)], pa.array(left, pa.string()), pa.array([len(x) for x in batch.column(len(names))], pa.int64()), batch.column(len(names) + 1)], names=[*batch.schema.names[: len(names)], "__text", "__removed", "__runs"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(left, pa.string()), pa.array([len(x) for x in batch.column(1)], pa.int64()), batch.column(2)], ["row", "left", "removed", "runs"])
 
-    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields), "__text string, __removed long, __runs long"])
-    cols = [F.col(f"`{c}`") for c in names]
+    schema = StructType([own.schema["row"], StructField("left", StringType()), StructField("removed", LongType()), StructField("runs", LongType())])
     zero = F.lit(0).cast("long")
-    return hit.select(*cols, "lines", "runs").mapInArrow(cut, schema).unionByName(rest.select(*cols, F.coalesce(F.col(f"`{text_col}`"), F.lit("")).alias("__text"), zero.alias("__removed"), zero.alias("__runs")))
+    untouched = own.where(F.col("lines").isNull()).select("row", F.coalesce(F.col("row").getField(text_col), F.lit("")).alias("left"), zero.alias("removed"), zero.alias("runs"))
+    return own.where(F.col("lines").isNotNull()).mapInArrow(cut, schema).unionByName(untouched)
 
 
 def op4_line_run_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = store.table(spark, sf_dir, "documents").select("doc_id", "text")
     out = with_removals(docs, "doc_id", "text", MIN_LINES)
-    lines = F.size(F.split(F.coalesce("text", F.lit("")), LINE_END)).cast("long")
-    return out.select("doc_id", lines.alias("n_lines"), F.col("__removed").alias("n_removed"), F.col("__runs").alias("n_runs"), F.sha2("__text", 256).alias("kept_sha256"))
+    lines = F.size(F.split(F.coalesce("row.text", F.lit("")), LINE_END)).cast("long")
+    return out.select("row.doc_id", lines.alias("n_lines"), F.col("removed").alias("n_removed"), F.col("runs").alias("n_runs"), F.sha2("left", 256).alias("kept_sha256"))
 
 
 OP4_SQL = r"""

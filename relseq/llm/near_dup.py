@@ -160,15 +160,14 @@ def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 def components(edges: DataFrame) -> DataFrame:
     """(v, comp) for every vertex of an edge table: the smallest vertex reachable. Labels move along edges
     and then jump to their own label, so the rounds grow with the logarithm of a chain's length."""
-    # Written tables: a loop over plans that are only held would double its plan in every round.
-    both = store.materialise(edges.select("a", "b").union(edges.select(F.col("b"), F.col("a"))).distinct(), "edges")
-    labels = store.materialise(both.groupBy(F.col("a").alias("v")).agg(F.least(F.min("b"), F.col("v")).alias("comp")).withColumn("old", F.col("v")), "labels")
+    both = store.materialise(edges.select("a", "b").union(edges.select(F.col("b"), F.col("a"))).distinct(), "edges", few=True)
+    labels = store.materialise(both.groupBy(F.col("a").alias("v")).agg(F.least(F.min("b"), F.col("v")).alias("comp")).withColumn("old", F.col("v")), "labels", few=True)
     while labels.where("old <> comp").limit(1).count():
         now = labels.select("v", "comp")
         near = both.join(now.select(F.col("v").alias("b"), "comp"), "b").groupBy(F.col("a").alias("v")).agg(F.min("comp").alias("near"))
         step = now.join(near, "v").select("v", F.col("comp").alias("old"), F.least("comp", "near").alias("comp"))
         jump = step.select(F.col("v").alias("comp"), F.col("comp").alias("further"))
-        labels = store.materialise(step.join(jump, "comp").select("v", F.least("comp", "further").alias("comp"), "old"), "labels")
+        labels = store.materialise(step.join(jump, "comp").select("v", F.least("comp", "further").alias("comp"), "old"), "labels", few=True)
     return labels.select("v", "comp")
 
 
@@ -278,12 +277,11 @@ def overlap_bounds(sets: DataFrame) -> DataFrame:
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, percent: int = PERCENT, k: int = K) -> DataFrame:
     """One row per document: doc_id, n_shingles, component_id, kept."""
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    every = store.materialise(sketches(texts, width, k), "sketches")
+    every = store.materialise(sketches(texts, width, k), "sketches", few=True)
     some = every.where("n_shingles > 0 and doc_id is not null")
     classes = some.groupBy("fp1", "fp2", "n_shingles").agg(F.min("doc_id").alias("rep"), F.first("sketch").alias("sketch"))
-    reps = store.materialise(classes.withColumnRenamed("n_shingles", "n"), "classes")
+    reps = store.materialise(classes.withColumnRenamed("n_shingles", "n"), "classes", few=True)
 
-    # What a later step reads twice is written; the small tables of pairs are only held.
     # Rarest values of each sketch among those that more than one class has.
     listed = reps.select("rep", "n", F.explode("sketch").alias("value"))
     shared = listed.groupBy("value").agg(F.count("*").alias("df")).where("df > 1")
@@ -295,28 +293,28 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     room = prefix - (held - F.size("own"))  # values of one class only come first
     kept = own.where(room > 0).select("rep", "n", F.explode(F.slice(F.sort_array("own"), 1, F.greatest(room, F.lit(1)))).alias("x")).select("x.value", "rep", "n")
     kept = kept.withColumn("c", F.floor(F.log(F.col("n").cast("double")) / log(100 / percent + 1e-9)).cast("int"))
-    kept = store.materialise(kept, "lists")
+    kept = store.materialise(kept, "lists", few=True)
 
     first = kept.groupBy("value", "c").agg(F.min("rep").alias("a"), F.count("*").alias("m")).where("m > 1").drop("m")
     stars = kept.join(first, ["value", "c"]).where("rep <> a").select("a", F.col("rep").alias("b")).distinct()
-    stars = store.keep(estimated(stars, reps, k, percent))
+    stars = store.materialise(estimated(stars, reps, k, percent), "stars", few=True)
     several = kept.groupBy("value").agg(F.count("*").alias("m")).where("m > 1").select("value")
     wanted = kept.join(several, "value", "left_semi").select(F.col("rep").alias("doc_id")).distinct()
-    sets = store.materialise(full_sets(texts.join(wanted, "doc_id", "left_semi"), width), "sets", "none")
-    links = store.keep(verified(stars, sets, percent))
+    sets = store.materialise(full_sets(texts.join(wanted, "doc_id", "left_semi"), width), "sets", "none", few=True)
+    links = store.materialise(verified(stars, sets, percent), "links", few=True)
 
     labels = components(links)
     placed = kept.join(labels.withColumnRenamed("v", "rep"), "rep", "left").withColumn("comp", F.coalesce("comp", "rep"))
     mixed = placed.groupBy("value").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).where("x <> y").select("value")
-    members = store.keep(placed.join(mixed, "value", "left_semi").select("value", "rep", "n", "comp"))
+    members = store.materialise(placed.join(mixed, "value", "left_semi").select("value", "rep", "n", "comp"), "members", few=True)
     asked = members.select("rep").distinct()
     bounds = overlap_bounds(sets.join(asked.withColumnRenamed("rep", "id"), "id", "left_semi"))
     # At most a sketch's worth of listed values for each member; they are marked in its sketch.
     marks = kept.join(asked, "rep", "left_semi").groupBy("rep").agg(F.collect_set("value").alias("listed"))
     marked = F.transform("sketch", lambda v: v.bitwiseAND(F.lit(-2).cast("long")).bitwiseOR(F.array_contains("listed", v).cast("long")))
     about = marks.join(reps, "rep").join(bounds, "rep").select("rep", "m", "sig", marked.alias("sketch"))
-    crossing = store.keep(cross_pairs(members.join(about, "rep").select("value", "rep", "n", "m", "sig", "comp", "sketch"), k, percent))
-    more = store.keep(verified(crossing, sets, percent))
+    crossing = store.materialise(cross_pairs(members.join(about, "rep").select("value", "rep", "n", "m", "sig", "comp", "sketch"), k, percent), "crossing", few=True)
+    more = store.materialise(verified(crossing, sets, percent), "links", few=True)
     if more.limit(1).count():
         labels = components(links.union(more))
 

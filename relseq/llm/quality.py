@@ -29,8 +29,8 @@ from relseq.llm import text_kernels as tk
 BITS = 18
 SAMPLE = 12_000
 LEAST_DOCS = 4
-ROUNDS = 120
-PENALTY = 2e-4
+ROUNDS = 220
+PENALTY = 5e-4
 PREFIXES = (4, 5)
 _PREFIX_SALT = tk.mix(np.arange(1, 16, dtype=np.uint64))
 

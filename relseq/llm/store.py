@@ -11,7 +11,6 @@ import atexit
 import tempfile
 import uuid
 
-from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 
 _written: list[tuple[SparkSession, str]] = []
@@ -36,10 +35,12 @@ def new_path(spark: SparkSession, name: str) -> str:
     return path
 
 
-def materialise(df: DataFrame, name: str, compression: str = "zstd") -> DataFrame:
-    """Write ``df`` to the shared folder and read it back: cuts lineage, computes once."""
+def materialise(df: DataFrame, name: str, compression: str = "zstd", few: bool = False) -> DataFrame:
+    """Write ``df`` to the shared folder and read it back: cuts lineage, computes once. ``few``: at most two files
+    for each core of the cluster, for operators that write many small tables."""
     spark = df.sparkSession
     path = new_path(spark, name)
+    df = df.coalesce(2 * spark.sparkContext.defaultParallelism) if few else df
     df.write.option("compression", compression).parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
@@ -77,19 +78,3 @@ def small_batches(spark: SparkSession, rows: int = 1000, size: str = "8m") -> No
     if int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch", "10000")) > rows:
         spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(rows))
     spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", size)
-
-
-_held: list[DataFrame] = []
-
-
-def keep(df: DataFrame) -> DataFrame:
-    """Hold a result that several later steps read, in memory or on the executors' disks. It keeps its lineage, so
-    what a lost executor held is computed again; ``release`` gives it up."""
-    out = df.persist(StorageLevel.MEMORY_AND_DISK)
-    _held.append(out)
-    return out
-
-
-def release(df: DataFrame) -> None:
-    df.unpersist()
-    _held[:] = [x for x in _held if x is not df]
