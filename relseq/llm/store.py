@@ -13,6 +13,7 @@ import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
+CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 _written: list[tuple[SparkSession, str]] = []
 
 
@@ -41,7 +42,13 @@ def materialise(df: DataFrame, name: str, compression: str = "zstd", few: bool =
     spark = df.sparkSession
     path = new_path(spark, name)
     df = df.coalesce(2 * spark.sparkContext.defaultParallelism) if few else df
-    df.write.option("compression", compression).parquet(path)
+    # What was exchanged for the write is of no use after it; else it stays on disk until the driver collects garbage.
+    before = spark.conf.get(CLEANUP, "false")
+    spark.conf.set(CLEANUP, "true")
+    try:
+        df.write.option("compression", compression).parquet(path)
+    finally:
+        spark.conf.set(CLEANUP, before)
     return spark.read.schema(df.schema).parquet(path)
 
 

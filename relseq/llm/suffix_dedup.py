@@ -480,8 +480,8 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     parts = 2 * min(100_000, max(8, stored // PART_BYTES)) + 1
     base = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NULL_ID).cast("long")).alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
     texts = base.withColumn("block", F.pmod("id", F.lit(parts)).cast("int"))
-    candidates = store.materialise(candidate_anchors(texts, parts, parts), "anchors")
-    marks = store.materialise(removal_marks(texts, candidates, parts, parts), "marks")
+    candidates = store.materialise(candidate_anchors(texts, parts, parts), "anchors", few=True)
+    marks = store.materialise(removal_marks(texts, candidates, parts, parts), "marks", few=True)
 
     def finish(left: pa.Table, right: pa.Table) -> pa.Table:
         if not left.num_rows:
