@@ -181,3 +181,24 @@ def search(rows: DataFrame, wanted: list[Skeleton], max_gap=None, max_span=None,
     return out
 
 
+
+
+def permuted(events: Column, places: Column, k: int) -> Column:
+    """An occurrence and all its variants that swap events of one type in one transaction: with these the matching
+    definition is met without demanding increasing positions. ``k`` bounds the events of a skeleton."""
+
+    def swap(lam: Column, i: int) -> Column:
+        a, b = F.element_at(events, F.get(lam, F.lit(i))), F.element_at(events, F.get(lam, F.lit(i + 1)))
+        fits = (F.size(lam) > i + 1) & (a["type"] == b["type"]) & (a["txn"] == b["txn"])
+        turned = F.concat(F.slice(lam, 1, i), F.array(F.get(lam, F.lit(i + 1)), F.get(lam, F.lit(i))), F.slice(lam, i + 3, k))
+        return F.when(fits, turned).otherwise(lam)
+
+    out = F.array(places)
+    for _ in range(k * (k - 1) // 2):  # as many neighbour swaps reach every order
+        for i in range(k - 1):
+            out = _with_swaps(out, swap, i)
+    return out
+
+
+def _with_swaps(found: Column, swap, i: int) -> Column:
+    return F.array_distinct(F.concat(found, F.transform(found, lambda lam: swap(lam, i))))

@@ -14,6 +14,7 @@ candidate vectors and counts travel, never occurrences.
 from __future__ import annotations
 
 from collections.abc import Iterator
+from dataclasses import replace
 from math import ceil
 
 import numpy as np
@@ -25,6 +26,7 @@ from relseq.functions import taxonomy
 from relseq.functions.relations import oriented
 from relseq.operators import patterns
 from relseq.operators.corpus import concept_view, slot_names
+from relseq.operators.matching import permuted
 from relseq.operators.typemining import Mined
 
 GROUP_LIMIT = 1_000_000  # occurrences of one skeleton that a task may hold
@@ -33,10 +35,15 @@ LEAF = "skeleton string, seq_id string, leaf array<string>"
 VECTORS = "skeleton string, vector array<string>, support long"
 
 
-def leaf_rows(mined: Mined) -> DataFrame:
+def leaf_rows(mined: Mined, permute: bool = False) -> DataFrame:
     """(skeleton, seq_id, leaf): distinct leaf rows of each sequence; equal ones do not change any support.
-    Relations are resolved here, for matched pairs only, inside the sequence's own row."""
+    Relations are resolved here, for matched pairs only, inside the sequence's own row. ``permute`` also takes the
+    orders in which events of one type in one transaction can fill a skeleton."""
     relate = oriented(list(mined.corpus.relations))
+    if permute:
+        k = max((len(patterns.parse(s)[0]) for s in mined.skeletons), default=1)
+        more = F.flatten(F.transform("found", lambda o: F.transform(permuted(F.col("events"), o["lambda"], k), lambda lam: F.struct(o["skeleton"].alias("skeleton"), lam.alias("lambda")))))
+        mined = replace(mined, rows=mined.rows.withColumn("found", more))
     made = F.transform("found", lambda o: F.struct(o["skeleton"].alias("skeleton"), concept_view(F.col("events"), o["lambda"], relate, mined.corpus.with_concepts).alias("leaf")))
     return mined.rows.select(F.col("seq_id").cast("string").alias("seq_id"), F.explode(F.array_distinct(made)).alias("x")).select("x.skeleton", "seq_id", "x.leaf")
 
@@ -343,10 +350,30 @@ def refine_any(leafs: DataFrame, theta: int, kind: str = "maximal", algorithm: s
     return keep(found, kind)
 
 
-def refine(mined: Mined, kind: str = "maximal", algorithm: str = "vectors") -> DataFrame:
-    """(skeleton, vector, support) of every frequent skeleton's refinements."""
+def refine(mined: Mined, kind: str = "maximal", algorithm: str = "vectors", scope: str = "skeleton", permute: bool = False) -> DataFrame:
+    """(skeleton, vector, support) of every frequent skeleton's refinements. ``scope="global"`` also compares
+    refinements of different skeletons."""
     largest = max((n for _, n in mined.skeletons.values()), default=0)
-    return refine_any(leaf_rows(mined), mined.threshold, kind, algorithm, mined.total, largest)
+    found = refine_any(leaf_rows(mined, permute), mined.threshold, kind, algorithm, mined.total, largest)
+    return globally_maximal(mined, found) if scope == "global" else found
+
+
+def globally_maximal(mined: Mined, refined: DataFrame) -> DataFrame:
+    """Of refinements of all skeletons, those that no refinement with one event more says as much as: dropping an
+    event of the longer one leaves the shorter one or something narrower. Layouts are one row a skeleton."""
+    corpus = mined.corpus
+    cuts = []
+    for text in mined.skeletons:
+        s = patterns.parse(text)
+        names = slot_names(list(s[0]), corpus.trees, corpus.relations, corpus.with_concepts)
+        for i in range(len(s[0]) if len(s[0]) > 1 else 0):
+            touched = [n for n, name in enumerate(names) if str(i + 1) in name.partition(".")[0].split("-")]
+            cuts.append((text, patterns.render(patterns.drop(s, i)), [n for n in range(len(names)) if n not in touched]))
+    spark = refined.sparkSession
+    table = F.broadcast(spark.createDataFrame(cuts, "skeleton string, shorter string, left array<int>"))
+    longer = refined.join(table, "skeleton").select(F.col("shorter"), F.transform("left", lambda i: F.get("vector", i)).alias("narrow")).distinct()
+    covered = refined.join(longer, (F.col("skeleton") == F.col("shorter")) & taxonomy.subsumes_all(F.col("vector"), F.col("narrow")), "left_semi")
+    return refined.join(covered.select("skeleton", "vector").distinct(), ["skeleton", "vector"], "left_anti")
 
 
 def to_patterns(mined: Mined, refined: DataFrame) -> DataFrame:
