@@ -77,7 +77,10 @@ def features(data: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]
     ]
     for i, m in enumerate(measures):
         band = np.minimum((np.sqrt(m) * 16).astype(np.int64), 15)
-        keys.append((np.arange(n) << BITS) | (tk.mix((band + 100 * (i + 1)).astype(np.uint64)) >> tk.U(64 - BITS)).astype(np.int64))
+        # A text has its band's feature and those of all lower bands, so that a measure's effect can add up.
+        text = np.repeat(np.arange(n), band + 1)
+        below = np.arange(len(text)) - np.repeat(np.cumsum(band + 1) - band - 1, band + 1)
+        keys.append((text << BITS) | (tk.mix((below + 100 * (i + 1)).astype(np.uint64)) >> tk.U(64 - BITS)).astype(np.int64))
     every = np.unique(np.concatenate(keys))
     return every >> BITS, every & ((1 << BITS) - 1)
 

@@ -444,7 +444,7 @@ def test_quality(spark, odd, empty):
     model = quality.train(docs, grades.where("not held"))
     got = quality.score(docs, model).join(grades.where("held"), "doc_id").withColumn("kept", F.col("tail_prob") >= 0.5)
     share = {r["grade"]: r["share"] for r in got.groupBy("grade").agg(F.avg(F.col("kept").cast("double")).alias("share")).collect()}
-    assert share[2] > 0.97 and share[0] < 0.2 and share[1] < 0.5  # from 3200 labelled rows
+    assert share[2] > 0.97 and share[0] < 0.15 and share[1] < 0.4  # from 3200 labelled rows
     assert list(model.thresholds) == sorted(model.thresholds)
     out = quality.score(odd, model)
     assert out.count() == odd.count() and out.where("tail_prob is null or expected_grade < 0 or expected_grade > 2").count() == 0
