@@ -51,14 +51,10 @@ def dedupe(events: DataFrame) -> DataFrame:
 
 def pack(events: DataFrame, types: list[str]) -> DataFrame:
     """One row per sequence with canonical order: transaction, type, concepts in pre-order, event_id."""
+    # Structs sort field by field, so the order of the fields is the canonical order.
     item = F.struct("txn_key", "type", "concepts", "event_id", "attrs")
-    key = F.struct("txn_key", "type", "concepts", "event_id")
-    rows = events.withColumn("concepts", F.coalesce("concepts", F.array().cast("array<string>"))).groupBy("seq_id").agg(F.collect_list(F.struct(key.alias("key"), item.alias("item"))).alias("xs"))
-    # Keys are distinct up to event_id, so the sort never has to compare what stands behind them.
-    ordered = F.array_sort("xs", lambda a, b: F.when(a["key"] < b["key"], -1).when(a["key"] > b["key"], 1).otherwise(0))
-    rows = rows.select("seq_id", F.transform(ordered, lambda s: s["item"]).alias("xs"))
+    rows = events.withColumn("concepts", F.coalesce("concepts", F.array().cast("array<string>"))).groupBy("seq_id").agg(F.array_sort(F.collect_list(item)).alias("xs"))
     rows = rows.withColumn("ks", F.array_distinct(F.transform("xs", lambda x: x["txn_key"])))
-    # Ranks of sorted distinct keys; a binary search is not needed, transactions of a sequence are few.
     events_col = F.transform("xs", lambda x, i: F.struct((i + 1).cast("int").alias("pos"), F.array_position("ks", x["txn_key"]).cast("int").alias("txn"), x["type"].alias("type"), x["concepts"].alias("concepts"), x["attrs"].alias("attrs"), x["event_id"].alias("event_id")))
     rows = rows.select("seq_id", events_col.alias("events"), F.size("xs").alias("n_events"), F.size("ks").alias("n_txn"))
     return rows.select("*", *[_count(t).alias(f"n_{t}") for t in types])
