@@ -263,12 +263,11 @@ def block_runs(rows: np.ndarray, info: np.ndarray, blocks: int, buckets: int) ->
     rows, info = rows[~later], info[~later]
     bucket = (gram_hashes(np.ascontiguousarray(np.pad(rows, ((0, 0), (0, GRAM)))).ravel(), rows.size + GRAM * len(rows) - GRAM)[:: SPAN + GRAM] % U(buckets)).astype(np.int64)
     by = np.argsort(bucket, kind="stable")
-    cuts = np.searchsorted(bucket[by], np.arange(buckets + 1))
-    for k in range(buckets):
-        mine = by[cuts[k] : cuts[k + 1]]
-        if len(mine):
-            shared, rest = front_code(rows[mine])
-            yield _row(k, shared, rest, info[mine])
+    cuts = np.flatnonzero(np.concatenate(([True], bucket[by][1:] != bucket[by][:-1]))) if len(by) else []
+    for lo, hi in zip(cuts, [*cuts[1:], len(by)]):
+        mine = by[lo:hi]
+        shared, rest = front_code(rows[mine])
+        yield _row(int(bucket[mine[0]]), shared, rest, info[mine])
 
 
 def merge_runs(runs: list[tuple[bytes, bytes]]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -477,7 +476,7 @@ def cut(data: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarray, i
 def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", digest_only: bool = False) -> DataFrame:
     """(doc_id, n_bytes, n_removed, n_spans, kept_sha256) and, unless ``digest_only``, the remaining bytes ``kept``."""
     stored = int(docs.select(text_col)._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
-    parts = 2 * min(100_000, max(8, stored // PART_BYTES)) + 1
+    parts = 2 * min(1 << 29, max(8, stored // PART_BYTES)) + 1
     base = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NULL_ID).cast("long")).alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
     texts = base.withColumn("block", F.pmod("id", F.lit(parts)).cast("int"))
     candidates = store.materialise(candidate_anchors(texts, parts, parts), "anchors", few=True)
