@@ -85,6 +85,35 @@ def repeated_windows(lines: DataFrame, min_lines: int) -> DataFrame:
     return now.select("k1", "k2", "seq", "rank", F.col("first.k1").alias("f1"), F.col("first.k2").alias("f2"), F.col("first.seq").alias("f3"))
 
 
+def suffix_order(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", most_rounds: int = 40) -> DataFrame:
+    """(k1, k2, seq, length, rank): doubling carried on until every window is unique. ``length`` is the longest window
+    of a power of two lines that starts here and occurs again (so the longest common prefix with another suffix is
+    at least that and less than twice that), and ``rank`` its place in the suffix order at that length."""
+    lines = store.materialise(line_positions(keyed(docs, id_col, text_col)).distinct(), "lines")
+    now, out, size = repeated_windows(lines, 1).select("k1", "k2", "seq", "rank"), None, 1
+    for _ in range(most_rounds):
+        own = now.withColumn("length", F.lit(size))
+        out = own if out is None else out.unionByName(own)
+        pairs = doubled(now, size)
+        some = pairs.groupBy("r1", "r2").agg(F.count("*").alias("n")).where("n > 1")
+        now = store.materialise(pairs.join(global_ranks(some, ["r1", "r2"]), ["r1", "r2"]).drop("r1", "r2"), "windows", few=True)
+        size *= 2
+        if now.isEmpty():
+            break
+    return out.groupBy("k1", "k2", "seq").agg(F.max_by(F.struct("length", "rank"), "length").alias("x")).select("k1", "k2", "seq", "x.length", "x.rank")
+
+
+def repeated_runs(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_lines: int = MIN_LINES) -> DataFrame:
+    """(k1, seq, lines, f1, fseq): maximal runs of non-blank lines that repeat the run at (f1, fseq), the earliest place
+    of each of their windows; neighbouring windows whose earliest places are neighbours too are one run."""
+    lines = store.materialise(line_positions(keyed(docs, id_col, text_col)).distinct(), "lines")
+    later = repeated_windows(lines, min_lines).where("not (k1 = f1 and k2 = f2 and seq = f3)")
+    along = Window.partitionBy("k1", "k2", "f1", "f2", F.col("f3") - F.col("seq")).orderBy("seq")
+    isle = later.withColumn("isle", F.col("seq") - F.row_number().over(along))
+    runs = isle.groupBy("k1", "k2", "f1", "f2", (F.col("f3") - F.col("seq")).alias("shift"), "isle").agg(F.min("seq").alias("seq"), F.count("*").alias("n"))
+    return runs.select("k1", "seq", (F.col("n") + (min_lines - 1)).alias("lines"), "f1", (F.col("seq") + F.col("shift")).alias("fseq"))
+
+
 def removed_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_lines: int = MIN_LINES) -> DataFrame:
     """(k1, k2, lines array<int>, runs): lines to delete of each document that has any, and its maximal runs."""
     lines = store.materialise(line_positions(keyed(docs, id_col, text_col)).distinct(), "lines")

@@ -206,6 +206,28 @@ def test_lines(odd, least):
         assert (r["text"] or "") == want[-(2**63) if r["doc_id"] is None else r["doc_id"]]
 
 
+def test_suffix_order_and_runs(spark):
+    draw = np.random.default_rng(2)
+    base = [f"line {i}" for i in range(30)]
+    rows = [(0, "\n".join(base)), (1, "\n".join(["x", *base[3:14], "y", *base[20:22]])), (2, "\n".join(f"line {i}" for i in draw.integers(0, 4, 40))), (3, "\n".join([*base[3:14], "", "z"]))]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    seqs = {i: [x for x in t.split("\n") if x] for i, t in rows}
+    places = [(i, p) for i, own in seqs.items() for p in range(len(own))]
+    got = {(r["k1"], r["seq"]): (r["length"], r["rank"]) for r in line_dedup.suffix_order(df).collect()}
+    for i, p in places:
+        longest = 0
+        for j, q in places:
+            if (i, p) != (j, q):
+                n = 0
+                while p + n < len(seqs[i]) and q + n < len(seqs[j]) and seqs[i][p + n] == seqs[j][q + n]:
+                    n += 1
+                longest = max(longest, n)
+        assert ((i, p) in got) == (longest > 0) and (not longest or got[(i, p)][0] <= longest < 2 * got[(i, p)][0])
+    runs = {(r["k1"], r["seq"], r["lines"], r["f1"], r["fseq"]) for r in line_dedup.repeated_runs(df).collect()}
+    assert {(1, 1, 11, 0, 3), (1, 13, 2, 0, 20), (3, 0, 11, 0, 3)} <= runs
+    assert line_dedup.suffix_order(df.limit(0)).count() == 0 and line_dedup.repeated_runs(df.limit(0)).count() == 0
+
+
 def test_lines_empty(empty):
     assert line_dedup.dedupe_lines(empty).count() == 0
 
