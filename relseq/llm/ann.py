@@ -16,7 +16,6 @@ are candidates once each; fewer candidates than asked for give all of them; othe
 from __future__ import annotations
 
 import pickle
-from collections.abc import Iterator
 from heapq import heappop, heappush
 
 import numpy as np
