@@ -69,3 +69,17 @@ def growth(sizes: list[float], values: list[float]) -> float:
     mx, my = sum(xs) / len(xs), sum(ys) / len(ys)
     spread = sum((x - mx) ** 2 for x in xs)
     return sum((x - mx) * (y - my) for x, y in zip(xs, ys)) / spread if spread else 0.0
+
+
+def peak_memory(spark) -> dict[str, dict[str, int]]:
+    """Per executor: peak heap and execution memory, spilled and shuffled bytes so far, from the status store."""
+    out: dict[str, dict[str, int]] = {}
+    found = spark.sparkContext._jsc.sc().statusStore().executorList(False).iterator()
+    while found.hasNext():
+        e = found.next()
+        own = {"disk": int(e.diskUsed()), "shuffle_read": int(e.totalShuffleRead()), "shuffle_write": int(e.totalShuffleWrite()), "max_memory": int(e.maxMemory())}
+        peaks = e.peakMemoryMetrics()
+        if peaks.isDefined():
+            own |= {name: int(peaks.get().getMetricValue(name)) for name in ("JVMHeapMemory", "OnHeapExecutionMemory", "OnHeapStorageMemory")}
+        out[e.id()] = own
+    return out

@@ -96,3 +96,9 @@ def test_grid_cell_and_patterns_sink(spark, mined, tmp_path):
 
 def test_entry(spark):
     assert workloads.flagship(spark, SMALL).count() > 0
+
+
+def test_memory_is_reported(spark):
+    spark.range(1000).groupBy((F.col("id") % 7).alias("k")).count().collect()
+    got = costs.peak_memory(spark)
+    assert got["driver"]["max_memory"] > 0 and got["driver"]["shuffle_write"] > 0
