@@ -234,6 +234,22 @@ INFO = np.dtype([("id", "<i8"), ("tag", "<u4"), ("at", "<u4"), ("left", "u1"), (
 MARK = np.dtype([("id", "<i8"), ("tag", "<u4"), ("lo", "<u4"), ("hi", "<u4")])
 
 
+def _squeeze(data: bytes) -> bytes:
+    return pa.compress(data, codec="zstd", asbytes=True)
+
+
+def _open_run(shared: bytes, rest: bytes, info: bytes) -> tuple[bytes, bytes, np.ndarray]:
+    """A run's prefix lengths, remaining bytes and information, as they were before the exchange."""
+    n = len(shared)
+    size = SPAN * n - int(np.frombuffer(shared, np.uint8).sum(dtype=np.int64))
+    columns = pa.decompress(info, n * INFO.itemsize, codec="zstd", asbytes=True)
+    out, at = np.zeros(n, INFO), 0
+    for name in INFO.names:
+        out[name] = np.frombuffer(columns, INFO[name], n, at)
+        at += n * INFO[name].itemsize
+    return shared, pa.decompress(rest, size, codec="zstd", asbytes=True), out
+
+
 def front_code(rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Prefix lengths and the remaining bytes of sorted rows."""
     shared = _shared_prefix(rows)
@@ -267,7 +283,7 @@ def block_runs(rows: np.ndarray, info: np.ndarray, blocks: int, buckets: int) ->
     for lo, hi in zip(cuts, [*cuts[1:], len(by)]):
         mine = by[lo:hi]
         shared, rest = front_code(rows[mine])
-        yield _row(int(bucket[mine[0]]), shared, rest, info[mine])
+        yield (int(bucket[mine[0]]), shared.tobytes(), _squeeze(rest.tobytes()), _squeeze(b"".join(np.ascontiguousarray(info[mine][f]).tobytes() for f in INFO.names)))
 
 
 def merge_runs(runs: list[tuple[bytes, bytes]]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -451,10 +467,11 @@ def removal_marks(texts: DataFrame, candidates: DataFrame, blocks: int, buckets:
                 if key < 0:
                     yield from ((-1 - key, a, b"", b"") for a, _, _ in found)
                     continue
-                run, at, shared = merge_runs([(a, b) for a, b, _ in found])
-                unfolded = [unfold(np.frombuffer(a, np.uint8), np.frombuffer(b, np.uint8)) for a, b, _ in found]
+                opened = [_open_run(*x) for x in found]
+                run, at, shared = merge_runs([(a, b) for a, b, _ in opened])
+                unfolded = [unfold(np.frombuffer(a, np.uint8), np.frombuffer(b, np.uint8)) for a, b, _ in opened]
                 start = np.concatenate(([0], np.cumsum([len(x) for x in unfolded])))[run] + at
-                info = np.concatenate([np.frombuffer(c, INFO) for _, _, c in found])[start]
+                info = np.concatenate([c for _, _, c in opened])[start]
                 marks = settle(np.concatenate(unfolded)[start], info, shared)
                 yield from ((k, m, b"", b"") for k, m in _split(marks["id"] % blocks, marks))
 
@@ -479,8 +496,8 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     parts = 2 * min(1 << 29, max(8, stored // PART_BYTES)) + 1
     base = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NULL_ID).cast("long")).alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
     texts = base.withColumn("block", F.pmod("id", F.lit(parts)).cast("int"))
-    candidates = store.materialise(candidate_anchors(texts, parts, parts), "anchors", few=True)
-    marks = store.materialise(removal_marks(texts, candidates, parts, parts), "marks", few=True)
+    candidates = store.materialise(candidate_anchors(texts, parts, parts), "anchors")
+    marks = store.materialise(removal_marks(texts, candidates, parts, parts), "marks")
 
     def finish(left: pa.Table, right: pa.Table) -> pa.Table:
         if not left.num_rows:
