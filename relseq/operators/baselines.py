@@ -52,7 +52,7 @@ def first_occurrence(mined: Mined) -> Mined:
     return replace(mined, rows=mined.rows.withColumn("found", typemining.cap_row("found", 1)), complete=False)
 
 
-def plain(corpus: Corpus, min_support: float, max_events: int = 3) -> Mined:
+def plain(corpus: Corpus, min_support: float, max_events: int | None = None) -> Mined:
     """Frequent type sequences without any tree."""
     return typemining.mine(corpora.scenario(corpus, "plain"), min_support, max_events=max_events)
 
@@ -69,14 +69,14 @@ def extended_sequences(corpus: Corpus) -> DataFrame:
     return corpus.sequences.select("seq_id", sets.alias("sequence"))
 
 
-def prefixspan(corpus: Corpus, min_support: float, max_events: int = 3) -> DataFrame:
+def prefixspan(corpus: Corpus, min_support: float, max_events: int | None = None) -> DataFrame:
     """Pattern growth by the library's own miner over type sets; comparable where no type repeats inside a
     transaction. (skeleton, n_events, support)."""
     from pyspark.ml.fpm import PrefixSpan
 
     kinds = F.transform("events", lambda e: F.struct(e["txn"].alias("txn"), e["type"].alias("type")))
     sets = F.transform(F.sequence(F.lit(1), F.col("n_txn")), lambda t: F.array_sort(F.array_distinct(F.transform(F.filter(kinds, lambda e: e["txn"] == t), lambda e: e["type"]))))
-    found = PrefixSpan(minSupport=min_support, maxPatternLength=max_events).findFrequentSequentialPatterns(corpus.sequences.select(sets.alias("sequence")))
+    found = PrefixSpan(minSupport=min_support, maxPatternLength=max_events or 2**31 - 1).findFrequentSequentialPatterns(corpus.sequences.select(sets.alias("sequence")))
     text = F.array_join(F.transform("sequence", lambda s: F.array_join(F.array_sort(s), " ")), " ; ")
     return found.select(text.alias("skeleton"), F.aggregate("sequence", F.lit(0), lambda n, s: n + F.size(s)).alias("n_events"), F.col("freq").alias("support"))
 

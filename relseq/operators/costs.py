@@ -40,7 +40,7 @@ class Cell:
     max_gap: int | None = None
     max_span: int | None = None
     tenths: int = 10
-    max_events: int = 3
+    max_events: int | None = None
     patterns: int = 0
     skeletons: int = 0
     occurrences: int = 0

@@ -8,6 +8,7 @@ before; their number depends on types and length, not on the data.
 from __future__ import annotations
 
 from dataclasses import dataclass
+from itertools import count
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -51,10 +52,11 @@ def cap_row(column: str, per_sequence: int):
 
 
 def mine(
-    corpus: Corpus, min_support: float, max_gap: int | None = None, max_span: int | None = None, max_events: int = 4, unit: str = "event", strict: bool = False,
+    corpus: Corpus, min_support: float, max_gap: int | None = None, max_span: int | None = None, max_events: int | None = None, unit: str = "event", strict: bool = False,
     drop_runs: int | None = None, cap: tuple[int, int] | None = None, accepts=None,
 ) -> Mined:
-    """Frequent skeletons of up to ``max_events`` events.
+    """Frequent skeletons with all their occurrences. The search ends by itself at the first level where nothing is
+    frequent; ``max_events`` ends it earlier, and the result is marked incomplete unless no candidate was left.
 
     ``cap=(per_sequence, when_total_over)`` keeps the first occurrences of a skeleton in a sequence once there
     are more than ``when_total_over`` in all; the result is then marked incomplete. ``accepts`` is a mining
@@ -66,7 +68,7 @@ def mine(
     rows = corpus.sequences.select("seq_id", "events", matching.first_level(F.col("events")).alias("now"), F.array().cast(OCCURRENCE).alias("found")).persist()
     kept, found, level, complete = [rows], {}, {}, True
     try:
-        for k in range(1, max_events + 1):
+        for k in count(1):
             if k > 1:
                 candidates = patterns.extend({patterns.parse(s) for s in level}, gapped, drop_runs)
                 if accepts is not None:
@@ -74,6 +76,9 @@ def mine(
                     candidates = [c for c in candidates if accepts(c)]
                 if not candidates:
                     break
+                if max_events is not None and k > max_events:
+                    complete = False
+                    break
                 allowed = [patterns.render(c) for c in candidates]
                 rows = rows.withColumn("now", matching.grown(F.col("events"), F.col("now"), allowed, max_gap, max_span, unit)).persist()
                 kept.append(rows)

@@ -251,13 +251,13 @@ def rollup_support_by_level(spark: SparkSession, d: str) -> DataFrame:
     return out.rollup("family", "kind", "quarter").agg(F.count_distinct("seq_id").alias("support"))
 
 
-def flagship_of(spark: SparkSession, d: str, k: int = 3, ms: float = 0.10, gap: int = 3) -> DataFrame:
+def flagship_of(spark: SparkSession, d: str, k: int | None = None, ms: float = 0.10, gap: int = 3) -> DataFrame:
     m = mined_sessions(spark, d, ms, gap, k)
     return refine.to_patterns(m, refine.refine(m)).select("skeleton", "pattern", "n_events", "support", "support_pct", "specialised")
 
 
 def flagship(spark: SparkSession, d: str) -> DataFrame:
-    """Maximal refinements of skeletons of up to three events, gap 3, support 10 %."""
+    """Maximal refinements of all frequent skeletons, gap 3, support 10 %."""
     return flagship_of(spark, d)
 
 
@@ -333,7 +333,7 @@ def run_length_remedy(spark: SparkSession, d: str) -> DataFrame:
 def cap_remedy(spark: SparkSession, d: str) -> DataFrame:
     """Two occurrences of a skeleton in a sequence at most: fewer occurrences, and what is lost."""
     c = corpora.sessions(spark, d)
-    free, capped = typemining.mine(c, 0.10, 3, None, 3), typemining.mine(c, 0.10, 3, None, 3, cap=(2, 0))
+    free, capped = typemining.mine(c, 0.10, 3), typemining.mine(c, 0.10, 3, cap=(2, 0))
     less = capped.table().select("skeleton", F.col("support").alias("capped_support"), F.col("occurrences").alias("capped_occurrences"))
     return free.table().join(less, "skeleton", "left")
 
@@ -378,7 +378,7 @@ def run_grid(spark: SparkSession, d: str, cells: list[Cell], corpus: str = "sess
     return spark.createDataFrame(rows, "workload string, scenario string, ms double, mg int, span int, sample_pct int, n_skeletons long, n_occurrences long, n_patterns long, specialised_share double, t_stage1 double, t_stage2 double, t_total double")
 
 
-def gap_sweep_cells(ms: float, kind: str, k: int = 3) -> list[Cell]:
+def gap_sweep_cells(ms: float, kind: str, k: int | None = None) -> list[Cell]:
     return [Cell(f"gap sweep {ms:g}", kind, ms, max_gap=g, max_events=k) for g in MG_GRID]
 
 
