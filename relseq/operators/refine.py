@@ -251,14 +251,14 @@ def _grouped(leafs: DataFrame, theta: int, algorithm: str) -> DataFrame:
     return leafs.groupBy("skeleton").applyInArrow(run, VECTORS)
 
 
-def _chunks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
-    """Whole sequences, about CHUNK_ROWS leaf rows at a time."""
+def _chunks(batches: Iterator[pa.RecordBatch], most: int) -> Iterator[pa.Table]:
+    """Whole sequences, about ``most`` leaf rows at a time."""
     held: list[pa.RecordBatch] = []
     rows = 0
     for batch in batches:
         held.append(batch)
         rows += batch.num_rows
-        if rows >= CHUNK_ROWS:
+        if rows >= most:
             table = pa.Table.from_batches(held)
             seq = table.column("seq_id").to_numpy(zero_copy_only=False)
             cut = int(np.flatnonzero(seq != seq[-1])[-1]) + 1 if (seq != seq[-1]).any() else 0
@@ -278,9 +278,15 @@ def _by_skeleton(table: pa.Table) -> Iterator[tuple[str, Leaves]]:
         yield str(name), Leaves(seq[own], table.take(own).column("leaf").to_pylist())
 
 
-def _partitioned(leafs: DataFrame, theta: int, total: int) -> DataFrame:
+def _partitioned(leafs: DataFrame, theta: int, total: int, together: bool = False) -> DataFrame:
+    """``together``: the rows of a sequence stand side by side in one partition already; if not, they are brought
+    there, since a sequence in two chunks would be counted twice."""
+    if not together:
+        leafs = leafs.repartition("seq_id").sortWithinPartitions("seq_id")
+    most = CHUNK_ROWS
+
     def local(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for table in _chunks(batches):
+        for table in _chunks(batches, most):
             n = len(set(table.column("seq_id").to_pylist()))
             # Sequences without any occurrence are in no chunk, so the chunk's share can only be too high.
             least = max(1, ceil(theta * n / total - 1e-9))
@@ -295,7 +301,7 @@ def _partitioned(leafs: DataFrame, theta: int, total: int) -> DataFrame:
         wanted.setdefault(r["skeleton"], []).append(tuple(r["vector"]))
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for table in _chunks(batches):
+        for table in _chunks(batches, most):
             for name, leaves in _by_skeleton(table):
                 vectors, counts = [], []
                 for v in wanted.get(name, ()):
@@ -333,9 +339,10 @@ def keep(vectors: DataFrame, kind: str) -> DataFrame:
     raise ValueError("kind is all, closed or maximal")
 
 
-def refine_any(leafs: DataFrame, theta: int, kind: str = "maximal", algorithm: str = "vectors", total: int | None = None, largest: int | None = None) -> DataFrame:
+def refine_any(leafs: DataFrame, theta: int, kind: str = "maximal", algorithm: str = "vectors", total: int | None = None, largest: int | None = None, together: bool = False) -> DataFrame:
     """(skeleton, vector, support) for any table (skeleton, seq_id, leaf): the second stage by itself, for
-    patterns of other structures too. ``largest``: rows of the largest skeleton, if known."""
+    patterns of other structures too. ``largest``: rows of the largest skeleton, if known. ``together``: rows of a
+    sequence stand side by side."""
     if algorithm in ("backtrack", "levelwise"):
         found = _grouped(leafs, theta, algorithm)
         return found if algorithm == "backtrack" and kind == "maximal" else keep(found.distinct().groupBy("skeleton", "vector").agg(F.max("support").alias("support")), kind)
@@ -344,7 +351,7 @@ def refine_any(leafs: DataFrame, theta: int, kind: str = "maximal", algorithm: s
     if algorithm == "partitioned" or largest > GROUP_LIMIT:
         if total is None:
             total = leafs.select("seq_id").distinct().count()
-        found = _partitioned(leafs, theta, total)
+        found = _partitioned(leafs, theta, total, together)
     else:
         found = _grouped(leafs, theta, "vectors")
     return keep(found, kind)
@@ -354,7 +361,7 @@ def refine(mined: Mined, kind: str = "maximal", algorithm: str = "vectors", scop
     """(skeleton, vector, support) of every frequent skeleton's refinements. ``scope="global"`` also compares
     refinements of different skeletons."""
     largest = max((n for _, n in mined.skeletons.values()), default=0)
-    found = refine_any(leaf_rows(mined, permute), mined.threshold, kind, algorithm, mined.total, largest)
+    found = refine_any(leaf_rows(mined, permute), mined.threshold, kind, algorithm, mined.total, largest, together=True)  # leaf rows come out of their sequence's row
     return globally_maximal(mined, found) if scope == "global" else found
 
 

@@ -3,8 +3,9 @@
 import duckdb
 import pytest
 
+import __spark_entry__ as entry
 from relseq import corpora, oracles, workloads
-from relseq.operators import costs, typemining
+from relseq.operators import costs, refine, typemining
 
 from conftest import DATA
 from test_mining import SMALL, asked, rows
@@ -35,3 +36,29 @@ def test_the_search_ends_by_itself(spark, db):
 def test_flagship_has_no_length_limit(spark):
     assert workloads.flagship(spark, SMALL).where("n_events > 4").count() > 0
     assert costs.Cell("x", "full", 0.1).max_events is None and all(c.max_events is None for c in workloads.gap_sweep_cells(0.1, "full"))
+
+
+# -- refinement above the size of a task ------------------------------------------------------------------------
+
+
+def test_generic_refinement_above_the_group_limit(spark, monkeypatch):
+    d = f"{DATA}/sf0.01"
+    c = duckdb.connect()
+    for t in ("lineitem", "part"):
+        c.execute(f"create view {t} as select * from '{d}/{t}.parquet'")
+    monkeypatch.setattr(refine, "GROUP_LIMIT", 100)
+    monkeypatch.setattr(refine, "CHUNK_ROWS", 12_000)
+    spark.conf.set("spark.sql.adaptive.enabled", "false")  # or so small a table is put into one partition
+    try:
+        got = rows(entry.queries()["generic_refinement"](spark, d))
+    finally:
+        spark.conf.unset("spark.sql.adaptive.enabled")
+    assert got == asked(c, oracles.oracle_sql()["generic_refinement"])
+
+
+def test_partitioned_counts_scattered_sequences_once(spark, monkeypatch):
+    monkeypatch.setattr(refine, "CHUNK_ROWS", 4)
+    data = [("s", str(i % 10), [x]) for x in ("a/b", "a/c", "d") for i in range(10 if x != "d" else 4)]
+    leafs = spark.createDataFrame(data, "skeleton string, seq_id string, leaf array<string>").repartition(5)
+    got = {(tuple(r["vector"]), r["support"]) for r in refine.refine_any(leafs, 5, "all", "partitioned").collect()}
+    assert got == {(("",), 10), (("a",), 10), (("a/b",), 10), (("a/c",), 10)}
