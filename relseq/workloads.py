@@ -23,6 +23,7 @@ from relseq.streaming.state import scratch
 MS_GRID = (0.045, 0.09, 0.18, 0.2252, 0.2703)
 MG_GRID = (1, 2, 3, 4, 5)
 SPAN_GRID = (10, 13, 16, 19)
+KEY_RANGE = 10_000  # keys whose neighbours one window finds
 LAMBDA = lambda: F.array_join(F.transform("lambda", lambda p: p.cast("string")), ",")
 
 
@@ -111,16 +112,18 @@ def taxonomy_heap(spark: SparkSession, d: str) -> DataFrame:
 
 
 def dag_common_ancestor(spark: SparkSession, d: str) -> DataFrame:
-    """Parts under two parents, type and brand: what two parts have in common."""
-    part = read_table(spark, d, "part").where("p_partkey <= 60").select("p_partkey", "p_type", "p_brand").orderBy("p_partkey").collect()  # a declared vocabulary of 60
-    edges = [e for r in part for e in ((f"part {r['p_partkey']}", r["p_type"]), (f"part {r['p_partkey']}", r["p_brand"]), (r["p_type"], "Any"), (r["p_brand"], "Any"))]
-    dag = taxonomy.Dag.of(edges)
-    names = [f"part {r['p_partkey']}" for r in part]
-    rows = []
-    for a, b in zip(names, names[1:]):
-        shared = set.intersection(dag.above(a), dag.above(b))
-        rows.append((a, b, dag.common_ancestor({a, b}), " & ".join(sorted(dag.most_specific(shared)))))
-    return spark.createDataFrame(rows, "a string, b string, common string, conjunction string")
+    """Parts under two parents, type and brand, which lie under ``Any``: what each part has in common with the next
+    one by key. ``common`` is the deepest shared concept, ties by name; ``conjunction`` all most specific ones."""
+    part = read_table(spark, d, "part").groupBy("p_partkey").agg(F.array_sort(F.array_distinct(F.concat(F.collect_set("p_type"), F.collect_set("p_brand")))).alias("parents"))
+    own = part.where("p_partkey is not null").select("p_partkey", "parents", F.floor(F.col("p_partkey") / KEY_RANGE).alias("range"))
+    # Neighbours inside a range of keys by its own window; across ranges by one row a range.
+    before = F.lag(F.struct("p_partkey", "parents")).over(Window.partitionBy("range").orderBy("p_partkey"))
+    ends = own.groupBy("range").agg(F.max_by(F.struct("p_partkey", "parents"), "p_partkey").alias("end"))
+    ends = ends.select("range", F.lag("end").over(Window.orderBy("range")).alias("end"))
+    pairs = own.withColumn("before", before).join(ends, "range").select(F.coalesce("before", "end").alias("a"), F.struct("p_partkey", "parents").alias("b")).where("a is not null")
+    shared = F.array_sort(F.array_intersect("a.parents", "b.parents"))
+    name = lambda x: F.concat(F.lit("part "), F.col(x)["p_partkey"].cast("string"))
+    return pairs.select(name("a").alias("a"), name("b").alias("b"), F.coalesce(F.get(shared, 0), F.lit("Any")).alias("common"), F.when(F.size(shared) > 0, F.array_join(shared, " & ")).otherwise("Any").alias("conjunction"))
 
 
 # -- matching -----------------------------------------------------------------------------------------------

@@ -5,6 +5,7 @@ import pytest
 
 import __spark_entry__ as entry
 from relseq import corpora, oracles, workloads
+from relseq.functions import taxonomy
 from relseq.operators import costs, refine, typemining
 
 from conftest import DATA
@@ -62,3 +63,19 @@ def test_partitioned_counts_scattered_sequences_once(spark, monkeypatch):
     leafs = spark.createDataFrame(data, "skeleton string, seq_id string, leaf array<string>").repartition(5)
     got = {(tuple(r["vector"]), r["support"]) for r in refine.refine_any(leafs, 5, "all", "partitioned").collect()}
     assert got == {(("",), 10), (("a",), 10), (("a/b",), 10), (("a/c",), 10)}
+
+
+# -- neighbours in a graph of concepts --------------------------------------------------------------------------
+
+
+@pytest.mark.parametrize("width", [7, 10_000])
+def test_dag_common_ancestor_takes_every_part(spark, db, monkeypatch, width):
+    monkeypatch.setattr(workloads, "KEY_RANGE", width)
+    got = workloads.dag_common_ancestor(spark, SMALL)
+    assert rows(got) == asked(db, oracles.oracle_sql()["dag_common_ancestor"])
+    part = {f"part {r['p_partkey']}": (r["p_type"], r["p_brand"]) for r in spark.read.parquet(f"{SMALL}/part.parquet").collect()}
+    assert got.count() == len(part) - 1
+    dag = taxonomy.Dag.of([e for p, own in part.items() for c in own for e in ((p, c), (c, "Any"))])
+    for r in got.collect():
+        shared = dag.above(r["a"]) & dag.above(r["b"])
+        assert r["common"] == dag.common_ancestor({r["a"], r["b"]}) and r["conjunction"] == " & ".join(sorted(dag.most_specific(shared)))
