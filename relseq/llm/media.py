@@ -1,11 +1,13 @@
 """Media columns: documents as lossless images, stored, read back and described.
 
 A text's UTF-8 bytes, filled with spaces to a multiple of a row, are the red, green and blue samples of an
-image 64 pixels wide; a text of more than 3 MB takes several files, one after the other. Files are stored
-in a table of the shared folder and read from there; decoding and features use the stored bytes only.
+image 64 pixels wide; a text of more than 3 MB takes several files, one after the other. Files are compressed
+with the format's own tools (palette or predictor, references, colour cache, fitted prefix codes), stored in a
+table of the shared folder and read from there; decoding and features use the stored bytes only.
 
-Defined results: null text is empty text, and an empty text is one row of spaces; equal texts give equal
-values; repeated rows, null ids and other columns do no harm.
+Defined results: null text is empty text, and an empty text is one row of spaces; equal texts, and so ties and
+repeated rows, give equal values, a row for each; null ids and other columns do no harm; an empty table gives an
+empty result; a very long text is one cell of several files, and memory is a few times its size.
 """
 
 from __future__ import annotations
@@ -19,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from relseq.llm import store, webp
+from relseq.llm import store, webp, webp_writer
 
 WIDTH = 64
 ROW = 3 * WIDTH
@@ -30,7 +32,7 @@ CHUNK_BYTES = 4 << 20
 def to_media(raw: bytes) -> bytes:
     payload = raw + bytes([FILL]) * (-len(raw) % ROW if raw else ROW)
     rows = np.frombuffer(payload, np.uint8).reshape(-1, WIDTH, 3)
-    return b"".join(webp.encode_flat(rows[at : at + webp.SIDE]) for at in range(0, len(rows), webp.SIDE))
+    return b"".join(webp_writer.encode(rows[at : at + webp.SIDE]) for at in range(0, len(rows), webp.SIDE))
 
 
 def from_media(media: bytes) -> np.ndarray:

@@ -1,17 +1,20 @@
-"""Lossless WebP: a decoder for the whole format and two encoders.
+"""Lossless WebP: a decoder for the whole format, and an encoder that writes any mix of its tools.
 
 ``decode`` reads prefix codes, back-references, the colour cache and entropy-image groups, inverts the
-predictor, cross-colour, subtract-green and palette transforms, and returns pixels. Where every code of an
-image is of one fixed width and there is nothing but literals, pixels are unpacked as arrays.
+predictor, cross-colour, subtract-green and palette transforms, and returns pixels. A literal is one look
+into a wide window of bits; rows whose predictor looks upwards only are undone as arrays. Where every code of
+an image is of one fixed width and there is nothing but literals, pixels are unpacked as arrays.
 
-``encode_flat`` writes such images (8 bits a sample) at array speed; ``encode`` writes any mix of the
-format's tools from a token list and serves to check the decoder.
+``encode`` writes any mix of the format's tools from a token list, with random modes and factors, and
+``encode_flat`` images of 8 bits a sample; both serve to check the decoder. ``webp_writer`` holds the encoder
+that stores media.
 """
 
 from __future__ import annotations
 
 import struct
 from collections import Counter
+from functools import lru_cache
 from heapq import heapify, heappop, heappush
 
 import numpy as np
@@ -29,10 +32,18 @@ NEAR = (
     (7, 3), (-7, 3), (5, 6), (-5, 6), (6, 5), (-6, 5), (8, 0), (4, 7), (-4, 7), (7, 4), (-7, 4), (8, 1), (8, 2), (6, 6), (-6, 6),
     (8, 3), (5, 7), (-5, 7), (7, 5), (-7, 5), (8, 4), (6, 7), (-6, 7), (7, 6), (-7, 6), (8, 5), (7, 7), (-7, 7), (8, 6), (8, 7),
 )
+NEAR_STEPS = np.array(NEAR)
 CACHE_FACTOR = 0x1E35A7BD
+#: Of a length or distance symbol: how many more bits, a mask for them, and its least number.
+NUMBER_BITS = np.array([max(0, (s - 2) >> 1) for s in range(40)])
+NUMBER_MASK = ((1 << NUMBER_BITS) - 1).astype(np.uint32)
+NUMBER_BASE = np.array([s + 1 if s < 4 else ((2 + (s & 1)) << ((s - 2) >> 1)) + 1 for s in range(40)])
+WINDOW = 1 << 15  # bytes decoded at a time
 PREDICTOR, CROSS, GREEN, PALETTE = range(4)
 ALPHABETS = (256 + 24, 256, 256, 256, 40)
 _REVERSED = np.array([int(f"{i:08b}"[::-1], 2) for i in range(256)], np.uint8)
+#: The 15 bits of a number in reverse.
+REVERSED_BITS = (_REVERSED[np.arange(1 << 15) & 255].astype(np.int64) << 8 | _REVERSED[np.arange(1 << 15) >> 8]) >> 1
 
 
 class Bits:
@@ -73,38 +84,42 @@ class Code:
         if {n for n, _ in used} == {self.longest} and [s for _, s in used] == list(range(1 << self.longest)):
             self.width = self.longest
         self.used = sorted(used)
-        self.table: list[tuple[int, int]] | None = None
-
-    def build(self) -> None:
-        self.table = [(0, 0)] * (1 << self.longest)
-        code, last = 0, self.used[0][0]
-        for n, s in self.used:
-            code <<= n - last
-            last = n
-            low = int(f"{code:0{n}b}"[::-1], 2)
-            for i in range(low, 1 << self.longest, 1 << n):
-                self.table[i] = (n, s)
-            code += 1
+        self.table: list[int] | None = None
+
+    def entries(self) -> list[int]:
+        """For every value of the next ``longest`` bits: symbol << 4 | bits of its code."""
+        if self.only is not None:
+            return [self.only << 4]
+        if self.table is None:
+            sizes, symbols = np.array(self.used).T
+            natural = np.repeat(symbols << 4 | sizes, 1 << (self.longest - sizes))
+            self.table = natural[REVERSED_BITS[: 1 << self.longest] >> (15 - self.longest)].tolist()
+        return self.table
 
     def read(self, bits: Bits) -> int:
         if self.only is not None:
             return self.only
-        if self.table is None:
-            self.build()
-        n, s = self.table[bits.peek(self.longest)]
-        bits.at += n
+        entry = self.entries()[bits.peek(self.longest)]
+        bits.at += entry & 15
         if bits.at > bits.end:
             raise ValueError("the stream ends early")
-        return s
+        return entry >> 4
+
+
+@lru_cache(512)
+def single(symbol: int) -> Code:
+    """The code of one symbol, which takes no bits."""
+    return Code([0] * symbol + [1])
 
 
 def read_code(bits: Bits, size: int) -> Code:
     lengths = [0] * size
     if bits.take(1):
         two, wide = bits.take(1), bits.take(1)
-        lengths[bits.take(8 if wide else 1)] = 1
-        if two:
-            lengths[bits.take(8)] = 1
+        first = bits.take(8 if wide else 1)
+        if not two:
+            return single(first)
+        lengths[first] = lengths[bits.take(8)] = 1
         return Code(lengths)
     meta = [0] * 19
     for i in range(4 + bits.take(4)):
@@ -113,20 +128,39 @@ def read_code(bits: Bits, size: int) -> Code:
     most = 2 + bits.take(2 + 2 * bits.take(3)) if bits.take(1) else size
     if by.only is not None and by.only < 16:
         return Code([by.only] * min(most, size) + [0] * (size - min(most, size)))
+    entries, mask = by.entries(), (1 << by.longest) - 1
+    data, p, read = bits.data, bits.at, int.from_bytes
     at, last = 0, 8
     while at < size and most > 0:
         most -= 1
-        s = by.read(bits)
+        window = read(data[p >> 3 : (p >> 3) + 4], "little") >> (p & 7)
+        entry = entries[window & mask]
+        n = entry & 15
+        s = entry >> 4
+        p += n
         if s < 16:
-            lengths[at] = s
+            if s:
+                lengths[at] = last = s
             at += 1
-            last = s or last
             continue
-        value, n = (last, 3 + bits.take(2)) if s == 16 else (0, 3 + bits.take(3)) if s == 17 else (0, 11 + bits.take(7))
+        window >>= n
+        if s == 16:
+            value, n = last, 3 + (window & 3)
+            p += 2
+        elif s == 17:
+            value, n = 0, 3 + (window & 7)
+            p += 3
+        else:
+            value, n = 0, 11 + (window & 127)
+            p += 7
         if at + n > size:
             raise ValueError("too many code lengths")
-        lengths[at : at + n] = [value] * n
+        if value:
+            lengths[at : at + n] = [value] * n
         at += n
+    if p > bits.end:
+        raise ValueError("the stream ends early")
+    bits.at = p
     return Code(lengths)
 
 
@@ -155,6 +189,8 @@ def read_image(bits: Bits, width: int, height: int, main: bool = False) -> np.nd
     groups = [[read_code(bits, n) for n in sizes] for _ in range(1 if groups_at is None else int(groups_at.max()) + 1)]
     if len(groups) == 1 and all(c.width in (0, 8) for c in groups[0][:4]) and (groups[0][0].width == 8 or groups[0][0].only < 256):
         return _unpack(bits, groups[0], width * height)
+    if groups_at is None:
+        return _decode_arrays(bits, groups[0], cache_bits, width, width * height)
     return _decode(bits, groups, groups_at, step, cache_bits, width, height)
 
 
@@ -179,26 +215,158 @@ def _unpack(bits: Bits, codes: list[Code], n: int) -> np.ndarray:
     return out
 
 
-def _decode(bits: Bits, groups, groups_at, step: int, cache_bits: int, width: int, height: int) -> np.ndarray:
-    total, at = width * height, 0
-    out = [0] * total
-    cache, cached = [0] * (1 << cache_bits), 0  # pixels before ``cached`` are in the cache
+def _decode_arrays(bits: Bits, codes: list[Code], cache_bits: int, width: int, total: int) -> np.ndarray:
+    """An image with one group of codes. What a token would be and where the next one would begin is looked up for
+    every bit of a window at once; following the chain from the first bit then gives the tokens. Copies and cached
+    pixels become pointers to earlier pixels, which are followed together."""
+    tables = [np.array(c.entries(), np.int32) for c in codes]
+    masks = [np.uint32(len(t) - 1) for t in tables]
+    data = np.frombuffer(bits.data + bytes(16), np.uint8)
+    p, todo, tokens = bits.at, total, []
+    while todo:
+        base = p >> 3
+        take = min(WINDOW, len(bits.data) - base, todo * 8 + 8)
+        if take <= 0:
+            raise ValueError("the stream ends early")
+        loads = np.ndarray((take + 8,), "<u4", data, base, (1,))
+        ahead = (loads[:, None] >> np.arange(8, dtype=np.uint32)).ravel()  # 25 bits from every bit
+        n = 8 * take
+        green = tables[0][ahead[:n] & masks[0]]
+        after = np.arange(n) + (green & 15)
+        far = after
+        for c in (1, 2, 3):
+            if len(tables[c]) > 1:
+                far = far + (tables[c] & 15).astype(np.uint8)[ahead[far] & masks[c]]
+        special = np.flatnonzero(green >= 4096)
+        if len(special):
+            symbol, q = green[special] >> 4, after[special]
+            short = symbol >= 280
+            q2 = q + np.where(short, 0, NUMBER_BITS[np.minimum(symbol - 256, 39)])
+            entry = tables[4][ahead[q2] & masks[4]]
+            if far is after:
+                far = after.copy()
+            far[special] = np.where(short, q, q2 + (entry & 15) + NUMBER_BITS[entry >> 4])
+        chain, at, following = [], p & 7, far.tolist()
+        for _ in range(todo):
+            if at >= n:
+                break
+            chain.append(at)
+            at = following[at]
+        place = np.array(chain)
+        symbol, q = green[place] >> 4, after[place]
+        size, back, slot = np.ones(len(place), np.int64), np.zeros(len(place), np.int64), np.full(len(place), -1)
+        copied = np.flatnonzero((symbol >= 256) & (symbol < 280))
+        if len(copied):
+            code, q1 = symbol[copied] - 256, q[copied]
+            size[copied] = NUMBER_BASE[code] + (ahead[q1] & NUMBER_MASK[code])
+            q2 = q1 + NUMBER_BITS[code]
+            entry = tables[4][ahead[q2] & masks[4]]
+            code, q3 = entry >> 4, q2 + (entry & 15)
+            number = NUMBER_BASE[code] + (ahead[q3] & NUMBER_MASK[code])
+            back[copied] = np.where(number > 120, number - 120, np.maximum(1, (NEAR_STEPS[:, 0] + NEAR_STEPS[:, 1] * width)[np.minimum(number, 120) - 1]))
+        cached = symbol >= 280
+        slot[cached] = symbol[cached] - 280
+        value = (symbol & 255).astype(np.uint32) << np.uint32(8)
+        for c, up in ((1, 16), (2, 0), (3, 24)):
+            entry = tables[c][ahead[q] & masks[c]]
+            value |= (entry >> 4).astype(np.uint32) << np.uint32(up)
+            q = q + (entry & 15)
+        filled = np.cumsum(size)
+        used = int(np.searchsorted(filled, todo)) + 1
+        if used > len(place):  # the image goes on in the next window
+            used = len(place)
+            p = 8 * base + at
+        else:
+            p = 8 * base + int(far[place[used - 1]])
+        if filled[used - 1] > todo:
+            raise ValueError("a back-reference leaves the image")
+        todo -= int(filled[used - 1])
+        tokens.append([x[:used] for x in (size, back, slot, value)])
+    if p > bits.end:
+        raise ValueError("the stream ends early")
+    bits.at = p
+    size, back, slot, value = tokens[0] if len(tokens) == 1 else [np.concatenate(x) for x in zip(*tokens)]
+    if len(size) == total and not cache_bits:
+        return value
+    start = np.cumsum(size) - size
+    if (back > start).any():
+        raise ValueError("a back-reference leaves the image")
+    source = np.arange(total + 1) - np.append(np.repeat(back, size), 0)
+    pixels = np.zeros(total + 1, np.uint32)
+    pixels[start] = value
+    source = _follow(source)
+    if cache_bits:
+        # The slot of a literal follows from its value, that of a copy is its source's.
+        slots = ((pixels * np.uint32(CACHE_FACTOR)) >> np.uint32(32 - cache_bits)).astype(np.int64)
+        asked = slot >= 0
+        slots[start[asked]] = slot[asked]
+        slots = slots[source[:total]]
+        order = np.argsort(slots, kind="stable")
+        same = slots[order[1:]] == slots[order[:-1]]
+        last = np.full(total, total)  # the pixel last put into the slot; none is a zero pixel
+        last[order[1:][same]] = order[:-1][same]
+        source[start[asked]] = last[start[asked]]
+        pixels[start[asked]] = 0
+        source = _follow(source)
+    return pixels[source[:total]]
+
+
+def _follow(source: np.ndarray) -> np.ndarray:
+    """Pointers to earlier places, carried on to where they end."""
+    while True:
+        further = source[source]
+        if (further == source).all():
+            return source
+        source = further
 
-    def enter(upto: int) -> None:
-        for i in range(cached, upto):
-            cache[(CACHE_FACTOR * out[i] & 0xFFFFFFFF) >> (32 - cache_bits)] = out[i]
 
+def _decode(bits: Bits, groups, groups_at, step: int, cache_bits: int, width: int, height: int) -> np.ndarray:
+    total = width * height
+    out: list[int] = []
+    cache, cached = [0] * (1 << cache_bits), 0  # pixels before ``cached`` are in the cache
+    shift = 32 - cache_bits
+    data, p, read = bits.data + bytes(32), bits.at, int.from_bytes
+    # Symbols of a literal stand at their place in the pixel: green, red, blue, alpha.
+    tables = [[t for code, up in zip(codes, (0, 16, 0, 24)) for t in ([(e >> 4) << (up + 4) | e & 15 for e in code.entries()], (1 << code.longest) - 1)] for codes in groups]
+    greens, green_mask, reds, red_mask, blues, blue_mask, alphas, alpha_mask = tables[0]
+    far_code, append = groups[0][4], out.append
+    at = left = 0  # ``left``: bits of the window not yet used
     while at < total:
-        codes = groups[0] if groups_at is None else groups[int(groups_at[at // width >> step, at % width >> step])]
-        s = codes[0].read(bits)
-        if s < 256:
-            red = codes[1].read(bits)
-            blue = codes[2].read(bits)
-            out[at] = codes[3].read(bits) << 24 | red << 16 | s << 8 | blue
+        if groups_at is not None:
+            g = int(groups_at[at // width >> step, at % width >> step])
+            greens, green_mask, reds, red_mask, blues, blue_mask, alphas, alpha_mask = tables[g]
+            far_code = groups[g][4]
+        if left < 60:  # four codes of 15 bits
+            window = read(data[p >> 3 : (p >> 3) + 32], "little") >> (p & 7)
+            left = 249
+        green = greens[window & green_mask]
+        n = green & 15
+        if green < 4096:
+            window >>= n
+            red = reds[window & red_mask]
+            m = red & 15
+            window >>= m
+            blue = blues[window & blue_mask]
+            k = blue & 15
+            window >>= k
+            alpha = alphas[window & alpha_mask]
+            n += m + k
+            if alpha & 15:
+                window >>= alpha & 15
+                n += alpha & 15
+            p += n
+            left -= n
+            append((alpha | red | blue) >> 4 | (green >> 4) << 8)
             at += 1
-        elif s < 280:
+            continue
+        p += n
+        left = 0
+        s = green >> 4
+        if s < 280:
+            bits.at = p
             n = read_number(bits, s - 256)
-            far = read_number(bits, codes[4].read(bits))
+            far = read_number(bits, far_code.read(bits))
+            p = bits.at
             if far > 120:
                 far -= 120
             else:
@@ -206,14 +374,23 @@ def _decode(bits: Bits, groups, groups_at, step: int, cache_bits: int, width: in
                 far = max(1, dx + dy * width)
             if far > at or at + n > total:
                 raise ValueError("a back-reference leaves the image")
-            for _ in range(n):
-                out[at] = out[at - far]
-                at += 1
+            if far >= n:
+                out += out[at - far : at - far + n]
+            else:
+                part = out[at - far :]
+                out += (part * (n // far + 1))[:n]
+            at += n
         else:
-            enter(at)
+            for value in out[cached:]:
+                cache[(CACHE_FACTOR * value & 0xFFFFFFFF) >> shift] = value
             cached = at
-            out[at] = cache[s - 280]
+            append(cache[s - 280])
             at += 1
+        if p > bits.end:
+            raise ValueError("the stream ends early")
+    if p > bits.end:
+        raise ValueError("the stream ends early")
+    bits.at = p
     return np.array(out, np.uint32)
 
 
@@ -222,9 +399,7 @@ def _halves(a, b):
 
 
 def predict(mode: int, left, top, top_right, top_left):
-    """Prediction from neighbours, arrays of four channels (any common order)."""
-    if mode == 0 or mode > 13:
-        raise ValueError("handled by the caller")
+    """Guess from neighbours by a mode that treats every channel alike."""
     if mode < 5:
         return (left, top, top_right, top_left)[mode - 1]
     if mode == 5:
@@ -234,8 +409,6 @@ def predict(mode: int, left, top, top_right, top_left):
         return _halves(a, b)
     if mode == 10:
         return _halves(_halves(left, top_left), _halves(top, top_right))
-    if mode == 11:
-        return left if np.abs(top - top_left).sum() < np.abs(left - top_left).sum() else top
     if mode == 12:
         return np.clip(left + top - top_left, 0, 255)
     mean = _halves(left, top)
@@ -243,36 +416,86 @@ def predict(mode: int, left, top, top_right, top_left):
 
 
 BLACK = np.array([0, 0, 0, 255])  # channels in memory order: blue, green, red, alpha
+LEFTWARD = np.isin(np.arange(256), (1, 5, 6, 7, 10, 11, 12, 13))  # modes that look at the left neighbour
 
 
 def _channels(argb: np.ndarray) -> np.ndarray:
     return np.ascontiguousarray(argb, "<u4").view(np.uint8).reshape(*argb.shape, 4)
 
 
-def walk_predictor(rows: np.ndarray, modes: np.ndarray, bits: int, inverse: bool) -> np.ndarray:
-    """Residuals to pixels (inverse) or pixels to residuals; rows: height x width x 4."""
+def predictions(mode: int, left, top, top_right, top_left):
+    """Guesses of one mode for arrays of pixels (channels last, signed)."""
+    if mode == 0 or mode > 13:
+        return np.broadcast_to(BLACK.astype(top.dtype), top.shape)
+    if mode == 11:
+        nearer = np.abs(top - top_left).sum(axis=-1, keepdims=True) < np.abs(left - top_left).sum(axis=-1, keepdims=True)
+        return np.where(nearer, left, top)
+    return predict(mode, left, top, top_right, top_left)
+
+
+def neighbours(rows: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Left, top, top right and top left of every pixel but the first row and column (signed). The last pixel's
+    top right neighbour is its own row's first one."""
+    wide = rows.astype(np.int16)
+    right = np.concatenate((wide[:-1, 2:], wide[1:, :1]), axis=1)
+    return wide[1:, :-1], wide[:-1, 1:], right, wide[:-1, :-1]
+
+
+def residuals(rows: np.ndarray, modes: np.ndarray, bits: int) -> np.ndarray:
+    """Pixels less their guesses; rows: height x width x 4."""
     height, width, _ = rows.shape
-    source = rows.astype(int)
-    out = source.copy()
-    seen = out if inverse else source  # neighbours are true pixels either way
-    for y in range(height):
-        if y == 0:  # the first row follows its left neighbour: a running sum
-            guess = np.concatenate((BLACK[None], seen[0, :-1])) if not inverse else None
-            if inverse:
-                out[0] = (np.cumsum(source[0], axis=0) + BLACK) % 256
-            else:
-                out[0] = (source[0] - guess) % 256
+    out = rows.copy()
+    out[0, 1:] -= rows[0, :-1]
+    out[0, 0] -= BLACK.astype(np.uint8)
+    out[1:, 0] -= rows[:-1, 0]
+    if height > 1 and width > 1:
+        around = neighbours(rows)
+        each = modes[np.arange(1, height)[:, None] >> bits, np.arange(1, width)[None, :] >> bits]
+        for mode in np.unique(each):
+            guess = predictions(int(mode), *around).astype(np.uint8)
+            out[1:, 1:] = np.where((each == mode)[..., None], rows[1:, 1:] - guess, out[1:, 1:])
+    return out
+
+
+def undo_predictor(rows: np.ndarray, modes: np.ndarray, bits: int) -> np.ndarray:
+    """Residuals back to pixels: whole rows at a time, left to right only where a mode looks to the left."""
+    height, width, _ = rows.shape
+    out = np.empty((height, width, 4), np.uint8)
+    out[0] = np.cumsum(rows[0], axis=0, dtype=np.uint8) + BLACK.astype(np.uint8)
+    out[:, 0] = np.cumsum(np.concatenate((out[:1, 0], rows[1:, 0])), axis=0, dtype=np.uint8)
+    if width == 1:
+        return out
+    tile = np.arange(1, width) >> bits
+    black = BLACK.astype(np.uint8)
+    y = 1
+    while y < height:
+        line = modes[y >> bits]
+        end = min(height, ((y >> bits) + 1) << bits)
+        if ((line == 0) | (line > 13)).all():  # nothing here depends on other pixels
+            out[y:end, 1:] = rows[y:end, 1:] + black
+            y = end
             continue
-        for x in range(width):
-            top = seen[y - 1, x]
-            if x == 0:
-                guess = top
+        each = line[tile]
+        kinds = np.unique(each)
+        ahead = ~LEFTWARD[kinds].any()
+        while y < end:
+            up = np.concatenate((out[y - 1], out[y : y + 1, 0])).astype(np.int16)
+            top, right, corner = up[1:-1], up[2:], up[:-2]
+            if len(kinds) == 1 and kinds[0] == 1:
+                out[y, 1:] = np.cumsum(rows[y, 1:], axis=0, dtype=np.uint8) + out[y, 0]
+            elif ahead:
+                guess = predictions(int(kinds[0]), top, top, right, corner)
+                for mode in kinds[1:]:
+                    guess = np.where((each == mode)[:, None], predictions(int(mode), top, top, right, corner), guess)
+                out[y, 1:] = rows[y, 1:] + guess.astype(np.uint8)
             else:
-                mode = int(modes[y >> bits, x >> bits])
-                right = seen[y - 1, x + 1] if x + 1 < width else seen[y, 0]
-                guess = BLACK if mode == 0 or mode > 13 else predict(mode, seen[y, x - 1], top, right, seen[y - 1, x - 1])
-            out[y, x] = (source[y, x] + guess) % 256 if inverse else (source[y, x] - guess) % 256
-    return out.astype(np.uint8)
+                left = out[y, 0].astype(np.int16)
+                for x in range(width - 1):
+                    guess = predictions(int(each[x]), left, top[x], right[x], corner[x])
+                    left = (rows[y, x + 1] + guess) & 255
+                    out[y, x + 1] = left
+            y += 1
+    return out
 
 
 def cross_colour(rows: np.ndarray, factors: np.ndarray, bits: int, inverse: bool) -> np.ndarray:
@@ -338,7 +561,7 @@ def decode_stream(data: bytes) -> np.ndarray:
             continue
         rows = _channels(argb)
         if kind == PREDICTOR:
-            rows = walk_predictor(rows, part >> 8 & 0xFF, size, True)
+            rows = undo_predictor(rows, part >> 8 & 0xFF, size)
         elif kind == CROSS:
             rows = cross_colour(rows, part, size, True)
         else:
@@ -576,7 +799,7 @@ def encode(rgba: np.ndarray, transforms: tuple[int, ...] = (), cache_bits: int =
             w.put(size - 2, 3)
             if kind == PREDICTOR:
                 part = draw.integers(0, 14, shape, np.uint32) << np.uint32(8) | np.uint32(0xFF000000)
-                rows = walk_predictor(rows, part >> 8 & 0xFF, size, False)
+                rows = residuals(rows, part >> 8 & 0xFF, size)
             else:
                 part = draw.integers(0, 1 << 24, shape, np.uint32) | np.uint32(0xFF000000)
                 rows = cross_colour(rows, part, size, False)

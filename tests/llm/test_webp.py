@@ -1,7 +1,7 @@
 import numpy as np
 import pytest
 
-from relseq.llm import webp
+from relseq.llm import webp, webp_writer
 
 
 def picture(height, width, colours, seed=0):
@@ -50,3 +50,67 @@ def test_files_in_a_row():
     a, b = webp.encode_flat(picture(1, 64, 3)[..., :3]), webp.encode_flat(picture(3, 64, 3)[..., :3])
     assert list(webp.files(a + b)) == [a, b]
     assert len(webp.NEAR) == 120 == len(set(webp.NEAR))
+
+
+def samples(height, width, seed):
+    draw = np.random.default_rng(seed)
+    kind = seed % 6
+    if kind == 0:
+        return draw.integers(0, 256, (height, width, 3), dtype=np.uint8)
+    if kind == 1:
+        return picture(height, width, 1 + seed, seed)[..., :3]
+    if kind == 2:
+        return np.full((height, width, 3), seed, np.uint8)
+    if kind == 3:  # smooth: predictors that look around pay
+        steps = draw.integers(-2, 3, (height, width, 1))
+        return (np.cumsum(np.cumsum(steps, axis=0), axis=1) + np.array([0, 3, 7])).astype(np.uint8)
+    text = " ".join(f"w{i}" for i in draw.integers(0, 40 * seed, height * width)).encode()[: height * width * 3]
+    return np.frombuffer(text.ljust(height * width * 3), np.uint8).reshape(height, width, 3)
+
+
+@pytest.mark.parametrize("seed", range(36))
+def test_stored_files_come_back(seed):
+    height, width = ((1, 64), (2, 64), (9, 64), (70, 64), (200, 64), (33, 7), (5, 1), (1, 1), (130, 130))[seed % 9]
+    rgb = samples(height, width, seed)
+    data = webp_writer.encode(rgb)
+    out = webp.decode(data)
+    assert (out[..., :3] == rgb).all() and (out[..., 3] == 255).all()
+    assert data == webp_writer.encode(rgb.copy())
+
+
+def test_prose_takes_less_and_uses_the_tools():
+    rgb = samples(200, 64, 4)
+    assert len(webp_writer.encode(rgb)) < 0.8 * rgb.size
+    seen = []
+    keep = webp._decode_arrays
+    try:
+        webp._decode_arrays = lambda bits, codes, cache, *rest: seen.append((codes, cache)) or keep(bits, codes, cache, *rest)
+        webp.decode(webp_writer.encode(np.concatenate([rgb, rgb])))
+    finally:
+        webp._decode_arrays = keep
+    codes, cache = seen[-1]
+    assert cache and codes[0].longest > 4 and any(codes[0].lengths[256:280])
+
+
+@pytest.mark.parametrize("tools", [{}, {"cache_bits": 4}, {"references": True}, {"references": True, "cache_bits": 6}])
+@pytest.mark.parametrize("window", [1, 40, 1 << 15])
+def test_arrays_and_token_by_token_agree(tools, window):
+    """One group of codes is read as arrays, in windows of any size, several token by token."""
+    rows = picture(30, 40, 60, 9)
+    data = webp.encode(rows, (webp.GREEN,), **tools)
+    keep, size = webp._decode_arrays, webp.WINDOW
+    try:
+        webp.WINDOW = window
+        assert (webp.decode(data) == rows).all()
+        webp._decode_arrays = lambda bits, codes, cache, width, total: webp._decode(bits, [codes], None, 0, cache, width, total // width)
+        assert (webp.decode(data) == rows).all()
+    finally:
+        webp._decode_arrays, webp.WINDOW = keep, size
+
+
+def test_counts_that_need_long_codes():
+    fib = [1, 1]
+    while len(fib) < 30:
+        fib.append(fib[-1] + fib[-2])
+    lengths = webp_writer.code_lengths(np.array(fib), 15)
+    assert lengths.max() <= 15 and sum(2.0**-n for n in lengths.tolist()) == 1
