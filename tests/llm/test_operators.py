@@ -182,9 +182,10 @@ def test_parser_takes_any_pieces_and_refuses_damage():
 # -- 4 ----------------------------------------------------------------------------------------------------------
 
 
-def brute_lines(rows, least=2):
+def brute_lines(rows, least=2, long=50):
+    """Windows of ``least`` lines, and single lines of ``long`` words, that stood earlier."""
     rows = sorted({(-(2**63) if i is None else i, t or "") for i, t in rows})
-    seen, out = set(), {}
+    seen, single, out = set(), set(), {}
     full = {i: [(n, x) for n, x in enumerate(t.split("\n")) if WORD.search(x)] for i, t in rows}
     for i, t in rows:
         gone = set()
@@ -193,6 +194,10 @@ def brute_lines(rows, least=2):
             if w in seen:
                 gone |= {full[i][q][0] for q in range(p, p + least)}
             seen.add(w)
+        for n, x in full[i]:
+            if x in single and len(WORD.findall(x)) >= long:
+                gone.add(n)
+            single.add(x)
         out[i] = "\n".join(x for n, x in enumerate(t.split("\n")) if n not in gone)
     return out
 
@@ -206,6 +211,27 @@ def test_lines(odd, least):
         assert (r["text"] or "") == want[-(2**63) if r["doc_id"] is None else r["doc_id"]]
 
 
+@pytest.mark.parametrize("hot", [2, 10_000])
+def test_lines_of_shared_passages(spark, monkeypatch, hot):
+    """Passages on one line between other neighbours, copies, long runs and a line that is everywhere."""
+    monkeypatch.setattr(line_dedup, "HOT_GROUPS", hot)
+    draw = np.random.default_rng(6)
+    passage, short, run = words(51, 21), words(49, 22), [f"part {i}" for i in range(37)]
+    rows = []
+    for i in range(60):
+        own = [f"own {i} {k}" for k in range(int(draw.integers(1, 9)))]
+        own.insert(int(draw.integers(0, len(own))), [passage, short, "Menu"][i % 3])
+        if i % 4 == 0:
+            a = int(draw.integers(0, 30))
+            own += run[a : a + int(draw.integers(1, 37))]
+        rows.append((i, "\n".join([*own, "Menu"][:: 1 if i % 2 else -1])))
+    rows += [(100 + i, rows[7 * i][1]) for i in range(8)] + [(200, passage), (201, passage), (202, short), (203, short), (204, "Menu"), (205, "Menu")]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    want = brute_lines(rows)
+    assert not want[201] and want[203] == short and want[205] == "Menu"
+    assert {r["doc_id"]: r["text"] for r in line_dedup.dedupe_lines(df, drop_emptied=False).collect()} == want
+
+
 def test_suffix_order_and_runs(spark):
     draw = np.random.default_rng(2)
     base = [f"line {i}" for i in range(30)]
