@@ -10,8 +10,10 @@ A byte is removed if a string of ``LENGTH`` bytes over it also starts in a docum
    them read backwards, as far as a window can reach. Of equal entries the smallest document's stays and the
    others are removed there and then. Entries are front-coded: common prefix length and the rest.
 4. Merge. A loser tree merges a bucket's runs; entries carry the prefix they share with the last winner,
-   so known prefixes are never compared again. Entries that share the anchor are neighbours in the merged
-   order; for each place of the window around it the smallest document with equal bytes decides.
+   so known prefixes are never compared again. The prefixes that neighbours share in the merged order cut it into
+   intervals: entries of one interval agree from the anchor on for that many bytes. What stands before the anchors
+   is ordered likewise, and a window around an anchor repeats just where both its halves lie in one interval; the
+   smallest document there keeps it. Bytes decide throughout, and hashes only say what meets where.
 5. Removal. Marks meet their texts by block, and removed bytes are cut out.
 
 Defined results: null text is empty; a null id sorts before all others; rows with equal id are one document
@@ -214,8 +216,8 @@ def contexts(data: np.ndarray, at: np.ndarray, start: np.ndarray, end: np.ndarra
 
 
 def _order(rows: np.ndarray, *more: np.ndarray) -> np.ndarray:
-    words = np.zeros((len(rows), (SPAN + 7) // 8 * 8), np.uint8)
-    words[:, :SPAN] = rows
+    words = np.zeros((len(rows), (rows.shape[1] + 7) // 8 * 8), np.uint8)
+    words[:, : rows.shape[1]] = rows
     words = words.view(">u8").astype(U)
     return np.lexsort((*reversed(more), *(words[:, i] for i in reversed(range(words.shape[1])))))
 
@@ -392,31 +394,30 @@ def settle(rows: np.ndarray, info: np.ndarray, shared: np.ndarray) -> np.ndarray
     many = np.bincount(anchor)[anchor] > 1
     cls = np.flatnonzero(many)
     if len(cls):
-        bytes_of, left, right, ids, group = rows[lead[cls]], info["left"][lead[cls]], info["right"][lead[cls]], least[cls], anchor[cls].astype(U)
-        line = np.zeros((len(cls), SPAN + 8), np.uint8)
-        line[:, :REACH] = bytes_of[:, LENGTH:][:, ::-1]
-        line[:, REACH:SPAN] = bytes_of[:, :LENGTH]
+        left, right, ids = info["left"][lead[cls]], info["right"][lead[cls]], least[cls]
+        # Intervals to the right: between two classes the least of the shared prefixes along the merged order.
+        ahead = np.minimum.reduceat(np.append(shared[lead], 0), np.concatenate(([0], cls + 1)))[:-1]
+        behind = rows[lead[cls]][:, LENGTH:]
+        turn = _order(behind)
+        sorted_behind = behind[turn]
+        differ = sorted_behind[1:] != sorted_behind[:-1]
+        back_shared = np.concatenate(([0], np.where(differ.any(axis=1), differ.argmax(axis=1), REACH))) if len(cls) > 1 else np.zeros(1, int)
         hit = np.zeros((REACH + 1, len(cls)), bool)
         for back in range(REACH + 1):  # windows that start ``back`` bytes before the anchor
             ok = np.flatnonzero((left >= back) & (right >= REACH - back))
             if len(ok) < 2:
                 continue
-            window = np.ascontiguousarray(line[ok, REACH - back : REACH - back + LENGTH + 6])
-            window[:, LENGTH:] = 0
-            words = window.view(U)
-            h = group[ok] * U(0x9FB21C651E98DF25)
-            for i in range(words.shape[1]):
-                h ^= words[:, i] * _ODD[i]
-                h ^= h >> U(31)
-                h *= U(0xBF58476D1CE4E5B9)
-                h ^= h >> U(29)
-            order = np.argsort(h, kind="stable")
-            hs = h[order]
-            starts = np.flatnonzero(np.concatenate(([True], hs[1:] != hs[:-1])))
-            if len(starts) == len(hs):
+            to_right = np.cumsum(ahead < LENGTH - back)
+            to_left = np.empty(len(cls), np.int64)
+            to_left[turn] = np.cumsum(back_shared < back)
+            both = to_right[ok] * (len(cls) + 1) + to_left[ok]
+            order = np.argsort(both, kind="stable")
+            in_order = both[order]
+            starts = np.flatnonzero(np.concatenate(([True], in_order[1:] != in_order[:-1])))
+            if len(starts) == len(order):
                 continue
             low = np.minimum.reduceat(ids[ok][order], starts)
-            low = np.repeat(low, np.diff(np.append(starts, len(hs))))
+            low = np.repeat(low, np.diff(np.append(starts, len(order))))
             hit[back, ok[order]] = low < ids[ok][order]
         # Runs of neighbouring places become one mark for each of the class's first document's entries.
         edge = np.diff(np.pad(hit, ((1, 1), (0, 0))).astype(np.int8), axis=0)
