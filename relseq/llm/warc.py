@@ -6,9 +6,11 @@ writer, a record a row with the format's own record end as row end, and gzip; th
 and cut by Content-Length, never by looking for marks inside payloads. ``assemble`` groups records by the
 identifier they are concurrent to and emits one nested row per capture.
 
-Defined results: null html is an empty payload; null url gives no target; rows with equal page_id and equal
-html are one capture; a null page_id is written as such and read back as null; other columns are ignored; an
-empty table gives an empty result. Records of which a part is missing still give a row, that part null.
+Defined results: every row is a capture, repeated rows and rows of equal page_id too (an ordinal in their record
+identifiers tells them apart); null html is an empty payload; null url gives no target; a null page_id is written
+as such and read back as null, and is never the page that others revisit; other columns are ignored; an empty table
+gives an empty result; very long pages go to files of few records, so a file stays below the size that can be
+read as one cell. Records of which a part is missing still give a row, that part null.
 """
 
 from __future__ import annotations
@@ -25,18 +27,31 @@ from relseq.llm import store
 
 DATE = "2024-01-01T00:00:00Z"
 LEAST_SHARED = 100
-RECORDS_PER_FILE = 3000
+FILE_BYTES = 192 << 20  # of payloads, at most, unless a single one has more
+LEAST_CLASS, MOST_RECORDS = 16, 3000  # payloads up to 64 KB go 1000 to a file, each with its three records
+AGAIN = 1000  # repeated rows written from one row of the plan
 END = "\r\n\r\n"
 RECORD = "record_id string, type string, concurrent_to string, refers_to string, target string, payload_bytes long, payload_digest string, fields map<string,string>"
 
 
 def revisit_plan(pages: DataFrame, least: int = LEAST_SHARED) -> DataFrame:
-    """page_id, url, html, n, digest, first: ``first`` is the page of the response with an equal payload, or null."""
+    """page_id, url, html, n, digest, u, ordinal, first, first_u: a capture a row. ``first`` is the page of the response
+    with an equal payload, or null; ``u`` names the url, and ``ordinal`` counts rows that are equal in everything."""
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), "url", F.coalesce("html", F.lit("")).alias("html"))
-    rows = rows.select("*", F.octet_length("html").cast("long").alias("n"), F.sha2("html", 256).alias("digest"))
-    shared = rows.where(F.col("n") >= least).groupBy("digest").agg(F.min("page_id").alias("first"), F.count("*").alias("m")).where("m > 1").drop("m")
+    rows = rows.select("*", F.octet_length("html").cast("long").alias("n"), F.sha2("html", 256).alias("digest"), F.hex(F.xxhash64("url")).alias("u"))
+    keys = rows.groupBy("digest", "n", "page_id", "u").agg(F.count("*").alias("m"))
+    leader = F.min(F.when(F.col("page_id").isNotNull() & (F.col("n") >= least), F.struct("page_id", "u")))
+    shared = keys.groupBy("digest").agg(leader.alias("leader"), F.count("*").alias("k"), F.max("m").alias("m")).where("k > 1 or m > 1").drop("k")
     joined = rows.join(shared, "digest", "left")
-    return joined.withColumn("first", F.when(~F.col("page_id").eqNullSafe(F.col("first")), F.col("first")))
+    once = joined.where("m is null or m = 1").withColumn("ordinal", F.lit(0).cast("long"))
+    # Rows equal in everything are folded before they are exchanged, and written out again in portions.
+    same = ["page_id", "u", "digest"]
+    folded = joined.where("m > 1").groupBy(*same).agg(*[F.first(c).alias(c) for c in ("url", "html", "n", "leader")], F.count("*").alias("m"))
+    portions = folded.withColumn("at", F.explode(F.expr(f"sequence(0L, (m - 1) div {AGAIN})"))).hint("rebalance")
+    again = portions.withColumn("ordinal", F.explode(F.expr(f"sequence(at * {AGAIN}, least(m, (at + 1) * {AGAIN}) - 1)"))).drop("at")
+    every = once.unionByName(again.select(*once.columns)).drop("m")
+    leads = F.col("page_id").eqNullSafe(F.col("leader.page_id"))
+    return every.withColumn("first", F.when(~leads, F.col("leader.page_id"))).withColumn("first_u", F.when(~leads, F.col("leader.u"))).drop("leader")
 
 
 def _record(kind: str, name, extra: list, content_type: str, block):
@@ -48,10 +63,10 @@ def _record(kind: str, name, extra: list, content_type: str, block):
 def records(planned: DataFrame) -> DataFrame:
     """One column of record texts, three rows a capture."""
 
-    def name(page, kind):
-        return F.concat(F.lit("<urn:capture:"), F.coalesce(page.cast("string"), F.lit("null")), F.lit(":"), F.substring("digest", 1, 16), F.lit(f":{kind}>"))
+    def name(kind, page=F.col("page_id"), u=F.col("u"), ordinal=F.col("ordinal")):
+        return F.concat(F.lit("<urn:capture:"), F.coalesce(page.cast("string"), F.lit("null")), F.lit(":"), F.substring("digest", 1, 16), F.lit(":"), u, F.lit(":"), ordinal.cast("string"), F.lit(f":{kind}>"))
 
-    own = name(F.col("page_id"), "response")
+    own = name("response")
     target = F.coalesce(F.concat(F.lit("\r\nWARC-Target-URI: "), F.regexp_replace("url", "[\\r\\n]", "")), F.lit(""))
     also = F.concat(F.lit("\r\nWARC-Concurrent-To: "), own)
     digest = F.concat(F.lit("\r\nWARC-Payload-Digest: sha256:"), F.col("digest"))
@@ -60,15 +75,22 @@ def records(planned: DataFrame) -> DataFrame:
     about = F.concat(F.lit("page: "), F.coalesce(F.col("page_id").cast("string"), F.lit("")), F.lit("\r\npayload-bytes: "), F.col("n").cast("string"), F.lit("\r\n"))
     response = _record("response", own, [target, digest], "application/http; msgtype=response", F.concat(http, F.col("html")))
     profile = F.lit("\r\nWARC-Profile: http://netpreserve.org/warc/1.1/revisit/identical-payload-digest")
-    revisit = _record("revisit", own, [target, digest, profile, F.concat(F.lit("\r\nWARC-Refers-To: "), name(F.col("first"), "response"))], "application/http; msgtype=response", http)
-    request = _record("request", name(F.col("page_id"), "request"), [target, also], "application/http; msgtype=request", ask)
-    metadata = _record("metadata", name(F.col("page_id"), "metadata"), [target, also], "application/warc-fields", about)
+    revisit = _record("revisit", own, [target, digest, profile, F.concat(F.lit("\r\nWARC-Refers-To: "), name("response", F.col("first"), F.col("first_u"), F.lit(0)))], "application/http; msgtype=response", http)
+    request = _record("request", name("request"), [target, also], "application/http; msgtype=request", ask)
+    metadata = _record("metadata", name("metadata"), [target, also], "application/warc-fields", about)
     three = F.array(request, F.when(F.col("first").isNull(), response).otherwise(revisit), metadata)
     return planned.select(F.explode(three).alias("value"))
 
 
 def write_archives(pages: DataFrame, path: str) -> None:
-    records(revisit_plan(pages)).write.option("lineSep", END).option("compression", "gzip").option("maxRecordsPerFile", RECORDS_PER_FILE).text(path)
+    """Files of bounded size: payloads of about the same size stand together, the larger the fewer in a file."""
+    log_size = F.greatest(F.lit(LEAST_CLASS), F.ceil(F.log2(F.greatest(F.octet_length(F.coalesce("html", F.lit(""))), F.lit(1)))))
+    classes = [r["c"] for r in pages.select(log_size.alias("c")).distinct().collect()]  # at most 16 rows: a text has less than 2 GB
+    planned = revisit_plan(pages)
+    for c in sorted(classes) or [LEAST_CLASS]:
+        log_n = F.greatest(F.lit(LEAST_CLASS), F.ceil(F.log2(F.greatest("n", F.lit(1)))))
+        most = min(MOST_RECORDS, 3 * max(1, FILE_BYTES >> c))
+        records(planned.where(log_n == c)).write.option("lineSep", END).option("compression", "gzip").option("maxRecordsPerFile", most).text(f"{path}/size={c}")
 
 
 def parse(chunks: Iterator[bytes]) -> Iterator[tuple]:

@@ -154,8 +154,10 @@ def test_archives(spark, tmp_path):
     warc.write_archives(pages, path)
     records = warc.read_archives(spark, path)
     assert records.groupBy("type").count().collect()
-    got = {r["page_id"]: r for r in warc.captures(warc.assemble(records)).collect()}
-    assert len(got) == 9
+    every = warc.captures(warc.assemble(records)).collect()
+    assert len(every) == len(rows) == records.select("record_id").distinct().count() / 3
+    got = {r["page_id"]: r for r in every}
+    assert sum(r["page_id"] == 3 for r in every) == 2 and {r["refers_to"] for r in every if r["page_id"] == 3} == {None}
     assert (got[3]["record_type"], got[3]["refers_to"]) == ("response", None)
     assert all((got[i]["record_type"], got[i]["refers_to"]) == ("revisit", 3) for i in (5, 9))
     for i, _, html in rows:
@@ -167,6 +169,26 @@ def test_archives(spark, tmp_path):
     assert warc.captures(warc.assemble(warc.read_archives(spark, none))).count() == 0
 
 
+def test_repeated_pages_all_come_back(spark, tmp_path, monkeypatch):
+    """Rows equal in everything, pages of one id with other urls, and files of few records for long pages."""
+    monkeypatch.setattr(warc, "AGAIN", 3)
+    monkeypatch.setattr(warc, "FILE_BYTES", 1 << 19)
+    html, long = "<html>" + "y" * 150, "z" * 300_000
+    rows = [(4, "http://a/", html)] * 8 + [(4, "http://b/", html)] * 2 + [(6, "http://a/", html)] * 4 + [(None, "http://a/", html)] * 2 + [(7, None, "tiny")] * 5 + [(8, "http://l/", long), (9, "http://l/", long + "!"), (10, "http://l/", long)]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string")
+    path = str(tmp_path / "w")
+    warc.write_archives(pages, path)
+    found = warc.read_archives(spark, path)
+    assert found.count() == 3 * len(rows) == found.select("record_id").distinct().count()
+    got = sorted((r["page_id"] is None, r["page_id"], r["url"] or "", r["record_type"], r["refers_to"]) for r in warc.captures(warc.assemble(found)).collect())
+    def kind(page, text):
+        lead = {html: 4, long: 8}.get(text)
+        return ("response", None) if lead is None or page == lead else ("revisit", lead)
+    assert got == sorted((i is None, i, u or "", *kind(i, t)) for i, u, t in rows)
+    missing = found.where("type = 'revisit'").join(found.where("type = 'response'").selectExpr("record_id as refers_to"), "refers_to", "left_anti")
+    assert missing.count() == 0
+
+
 def test_parser_takes_any_pieces_and_refuses_damage():
     block = b"HTTP/1.1 200 OK\r\n\r\nbody\r\n\r\nWARC/1.1"
     head = f"WARC/1.1\r\nWARC-Type: response\r\nWARC-Record-ID: <x>\r\nContent-Type: application/http\r\nContent-Length: {len(block)}\r\n\r\n".encode()
