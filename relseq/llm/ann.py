@@ -1,21 +1,24 @@
 """Nearest neighbours by a hierarchical navigable small-world graph per shard.
 
-Vectors are dealt to shards of bounded size by a hash of their id. Each shard builds one graph over its
-distinct directions, kept as flat arrays (vectors, levels, fixed-width neighbour tables), and is stored as
-one row. Queries go to every shard in blocks; a shard answers with its best few, scored by the exact cosine
-on the original vectors, and the answers are merged by score and id.
-
-Equal vectors are one node that lists its ids in order, so a shard full of copies is still a graph of
-distinct points, and ties go to the smaller id.
-
-Defined results: a vector that is null, zero, of another length than the most common one in its shard's
-block, or has a null or non-finite component takes no part; a query is never its own neighbour; repeated ids
-are candidates once each; fewer candidates than asked for give all of them; other columns are ignored.
+Vectors are dealt, by their length and then by a hash of their id, to shards of bounded size. Each shard builds one
+graph over its distinct directions, kept as flat arrays (vectors, fixed-width neighbour tables, member ids), and is
+stored as one row of them. Queries go to every shard of their length in blocks; a shard answers with its best few,
+scored by the exact cosine, and the answers are merged by score and id.
+
+A node is a direction: vectors that are multiples of each other are one node that lists its ids in order, so a shard
+full of copies is still a graph of distinct points. All members have the score of the one with the smallest id, and
+ties, within a node and between nodes, go to the smaller id: every reached node that ties with the last place takes
+part in the order.
+
+Defined results: a vector that is null, empty, zero, or has a null or non-finite component takes no part; a cosine is
+between vectors of equal length only, so those of another length are no candidates; a query is never its own
+neighbour; rows repeated under one id with the same vector are one candidate, with other vectors each is one; fewer
+candidates than asked for give all that a graph reaches; an empty table gives none; very long vectors make smaller
+shards; other columns are ignored.
 """
 
 from __future__ import annotations
 
-import pickle
 from heapq import heappop, heappush
 
 import numpy as np
@@ -25,13 +28,15 @@ from pyspark.sql import functions as F
 
 from relseq.llm import store
 
-SHARD_ROWS = 4096
+SHARD_ROWS = 16_384
+SHARD_BYTES = 64 << 20  # of a shard's vectors as doubles, at most
 LINKS = 16
 BUILD_WIDTH = 64
 SEARCH_WIDTH = 200
 QUERY_EVERY = 50
 TOP = 5
 QUERY_BLOCK = 4096
+SAME_DIRECTION = 12  # decimals of unit vectors that agree
 
 
 class Graph:
@@ -158,91 +163,108 @@ def usable(vectors: DataFrame, id_col: str, vector_col: str) -> DataFrame:
     return rows.where(fine & F.exists("v", lambda x: x != 0)).dropDuplicates(["vec_id", "v"])
 
 
+def shard_counts(rows: DataFrame, shard_rows: int = SHARD_ROWS) -> DataFrame:
+    """(dim, shards): a row for each length of vectors."""
+    most = F.greatest(F.lit(1), F.least(F.lit(shard_rows), F.expr(f"cast({SHARD_BYTES} div (8 * dim) as int)")))
+    return rows.groupBy(F.size("v").alias("dim")).agg(F.count("*").alias("n")).select("dim", (1 + F.floor(F.col("n") / most)).cast("int").alias("shards"))
+
+
 def _matrix(column) -> np.ndarray:
-    """Rows of equal length as doubles; rows of another length become zero rows and never match."""
+    """Rows, all of one length, as doubles."""
     column = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
-    n = np.diff(column.offsets.to_numpy())
     flat = column.values.to_numpy(zero_copy_only=False)[column.offsets[0].as_py() : column.offsets[-1].as_py()]
-    if len(n) and (n == n[0]).all():
-        return flat.reshape(len(n), n[0]).astype(float)
-    wide = int(np.bincount(n).argmax())
-    out = np.zeros((len(n), wide))
-    ends = np.cumsum(n)
-    for i in np.flatnonzero(n == wide):
-        out[i] = flat[ends[i] - wide : ends[i]]
-    return out
+    return flat.reshape(len(column), -1).astype(float) if len(column) else np.zeros((0, 0))
+
+
+def _units(points: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Unit vectors and lengths; scaled by the largest component first, so that no square over- or underflows."""
+    top = np.abs(points).max(axis=1, keepdims=True)
+    scaled = points / top
+    size = np.linalg.norm(scaled, axis=1, keepdims=True)
+    return scaled / size, (size * top)[:, 0]
 
 
-def build(rows: DataFrame, shards: int) -> DataFrame:
-    """(shard, graph binary), one row for each shard with vectors."""
+GRAPH = "dim int, shard int, points binary, unit binary, links array<binary>, sizes array<binary>, entry int, top int, ids binary, ends binary"
+
+
+def build(rows: DataFrame, counts: DataFrame) -> DataFrame:
+    """A row of flat arrays for each shard with vectors. ``counts(dim, shards)``."""
 
     def make(table: pa.Table) -> pa.Table:
         ids = table.column("vec_id").to_numpy()
         order = np.argsort(ids, kind="stable")
         ids, points = ids[order], _matrix(table.column("v"))[order]
-        distinct, first, node = np.unique(points, axis=0, return_index=True, return_inverse=True)
+        unit = _units(points)[0]
+        # The first member, the one with the smallest id, stands for the direction.
+        _, first, node = np.unique(np.round(unit, SAME_DIRECTION) + 0.0, axis=0, return_index=True, return_inverse=True)
         node = node.ravel()
         by_node = np.argsort(node, kind="stable")
-        ends = np.concatenate(([0], np.cumsum(np.bincount(node, minlength=len(distinct)))))
-        size = np.linalg.norm(distinct, axis=1)
-        unit = (distinct / np.where(size > 0, size, 1)[:, None]).astype(np.float32)
-        graph = Graph(unit)
-        flat = {"points": distinct, "unit": unit, "links": graph.links, "sizes": graph.sizes, "entry": graph.entry, "top": graph.top, "ids": ids[by_node], "ends": ends}
-        return pa.table({"shard": pa.array([table.column("shard")[0].as_py()], pa.int32()), "graph": pa.array([pickle.dumps(flat, 5)], pa.binary())})
-
-    dealt = rows.withColumn("shard", F.pmod(F.xxhash64("vec_id"), F.lit(shards)).cast("int"))
-    return dealt.groupBy("shard").applyInArrow(make, "shard int, graph binary")
-
-
-def _load(blob: bytes) -> tuple[Graph, dict]:
-    flat = pickle.loads(blob)
+        ends = np.concatenate(([0], np.cumsum(np.bincount(node, minlength=len(first)))))
+        graph = Graph(unit[first].astype(np.float32))
+        raw = {"points": points[first], "unit": graph.points, "ids": ids[by_node], "ends": ends.astype(np.int64)}
+        cells = {k: [x.tobytes()] for k, x in raw.items()}
+        lists = {"links": [[x.tobytes() for x in graph.links]], "sizes": [[x.tobytes() for x in graph.sizes]]}
+        row = {"dim": [points.shape[1]], "shard": [table.column("shard")[0].as_py()], **cells, **lists, "entry": [graph.entry], "top": [graph.top]}
+        types = {"dim": pa.int32(), "shard": pa.int32(), "entry": pa.int32(), "top": pa.int32(), "links": pa.list_(pa.binary()), "sizes": pa.list_(pa.binary())}
+        names = [x.split(" ")[0] for x in GRAPH.split(", ")]
+        return pa.table({k: pa.array(row[k], types.get(k, pa.binary())) for k in names})
+
+    dealt = rows.withColumn("dim", F.size("v")).join(counts, "dim").withColumn("shard", F.pmod(F.xxhash64("vec_id"), F.col("shards")).cast("int"))
+    return dealt.groupBy("dim", "shard").applyInArrow(make, GRAPH)
+
+
+def _load(row: dict) -> tuple[Graph, np.ndarray, np.ndarray, np.ndarray]:
+    """Graph, its nodes' original vectors, member ids and their bounds by node."""
+    dim = row["dim"]
+    points = np.frombuffer(row["points"]).reshape(-1, dim)
     graph = Graph.__new__(Graph)
-    graph.points, graph.links, graph.sizes, graph.entry, graph.top, graph.m = flat["unit"], flat["links"], flat["sizes"], flat["entry"], flat["top"], LINKS
-    return graph, flat
+    graph.points, graph.m, graph.entry, graph.top = np.frombuffer(row["unit"], np.float32).reshape(-1, dim), LINKS, row["entry"], row["top"]
+    graph.links = [np.frombuffer(x, np.int32).reshape(len(points), -1) for x in row["links"]]
+    graph.sizes = [np.frombuffer(x, np.int32) for x in row["sizes"]]
+    return graph, points, np.frombuffer(row["ids"], np.int64), np.frombuffer(row["ends"], np.int64)
 
 
-def search(graphs: DataFrame, queries: DataFrame, shards: int, top: int = TOP, width: int = SEARCH_WIDTH, block: int = QUERY_BLOCK) -> DataFrame:
-    """(query_id, rank, vec_id, score). ``queries(vec_id, v)`` go to all shards in blocks of about ``block``."""
+def search(graphs: DataFrame, queries: DataFrame, counts: DataFrame, top: int = TOP, width: int = SEARCH_WIDTH, block: int = QUERY_BLOCK) -> DataFrame:
+    """(query_id, rank, vec_id, score). ``queries(vec_id, v)`` go to all shards of their length in blocks of about ``block``."""
     blocks = 1 + queries.count() // block
     # A block stands once for each shard; the rows it adds are the stated query set against every shard.
-    sent = queries.withColumn("block", F.pmod(F.xxhash64(F.lit(3), "vec_id"), F.lit(blocks)).cast("int")).withColumn("shard", F.explode(F.sequence(F.lit(0), F.lit(shards - 1))))
+    blocked = queries.withColumn("dim", F.size("v")).withColumn("block", F.pmod(F.xxhash64(F.lit(3), "vec_id"), F.lit(blocks)).cast("int"))
+    sent = blocked.join(counts, "dim").withColumn("shard", F.explode(F.sequence(F.lit(0), F.col("shards") - 1))).drop("shards")
 
     def find(left: pa.Table, right: pa.Table) -> pa.Table:
-        none = pa.table({"query_id": pa.array([], pa.int64()), "vec_id": pa.array([], pa.int64()), "score": pa.array([], pa.float64())})
-        if not left.num_rows or not right.num_rows:
-            return none
-        graph, flat = _load(left.column("graph")[0].as_py())
-        ids, ends, points = flat["ids"], flat["ends"], flat["points"]
-        norms = np.linalg.norm(points, axis=1)
-        asked = right.column("vec_id").to_numpy()
-        vectors = _matrix(right.column("v"))
         out_q, out_v, out_s = [], [], []
-        for q, v in zip(asked.tolist(), vectors):
-            size = float(np.linalg.norm(v))
-            if size == 0 or len(v) != points.shape[1]:
-                continue
-            near = np.array(graph.search((v / size).astype(np.float32), min(width, max(1, len(points)))))
-            score = points[near] @ v / (norms[near] * size)
-            best: list[tuple[float, int]] = []
-            for k in near[np.argsort(-score, kind="stable")][: top + 1]:
-                own = ids[ends[k] : min(ends[k + 1], ends[k] + top + 1)]
-                s = float(points[k] @ v / (norms[k] * size))
-                best += [(-s, int(j)) for j in own if j != q]
-            for s, j in sorted(best)[:top]:
-                out_q.append(q)
-                out_v.append(j)
-                out_s.append(-s)
+        if left.num_rows and right.num_rows:
+            graph, points, ids, ends = _load(left.slice(0, 1).to_pylist()[0])
+            units, _ = _units(points)
+            asked, _ = _units(_matrix(right.column("v")))
+            for q, v in zip(right.column("vec_id").to_pylist(), asked):
+                near = np.array(graph.search(v.astype(np.float32), min(width, max(1, len(points)))))
+                score = units[near] @ v
+                order = np.argsort(-score, kind="stable")
+                best: list[tuple[float, int]] = []
+                last = None
+                for k in order.tolist():
+                    if last is not None and score[k] < last:
+                        break
+                    lo, hi = int(ends[near[k]]), int(ends[near[k] + 1])
+                    best += [(-float(score[k]), j) for j in ids[lo : min(hi, lo + top + 1)].tolist() if j != q]
+                    if last is None and len(best) >= top:
+                        last = score[k]  # nodes of this very score still count
+                for s, j in sorted(best)[:top]:
+                    out_q.append(q)
+                    out_v.append(j)
+                    out_s.append(-s)
         return pa.table({"query_id": pa.array(out_q, pa.int64()), "vec_id": pa.array(out_v, pa.int64()), "score": pa.array(out_s, pa.float64())})
 
     # One graph meets one block of queries in a group of bounded size.
     each = graphs.withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
-    found = each.groupBy("shard", "block").cogroup(sent.groupBy("shard", "block")).applyInArrow(find, "query_id long, vec_id long, score double")
+    found = each.groupBy("dim", "shard", "block").cogroup(sent.groupBy("dim", "shard", "block")).applyInArrow(find, "query_id long, vec_id long, score double")
     order = Window.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id")
     return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= top).select("query_id", "rank", "vec_id", "score")
 
 
 def op7_hnsw_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = store.materialise(usable(store.table(spark, sf_dir, "embeddings"), "vec_id", "embedding"), "vectors")
-    shards = 1 + rows.count() // SHARD_ROWS
-    graphs = store.materialise(build(rows, shards), "graphs")
-    return search(graphs, rows.where(F.col("vec_id") % QUERY_EVERY == 0), shards)
+    counts = shard_counts(rows)
+    graphs = store.materialise(build(rows, counts), "graphs")
+    return search(graphs, rows.where(F.col("vec_id") % QUERY_EVERY == 0), counts)

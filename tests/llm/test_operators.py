@@ -372,7 +372,9 @@ def test_neighbours(spark):
     ids = np.array([r[0] for r in rows[:3040]])
     x = np.array([r[1] for r in rows[:3040]])
     x = x / np.linalg.norm(x, axis=1)[:, None]
-    got = ann.search(ann.build(good, 3), good.where("vec_id % 50 = 0 and vec_id < 5000"), 3).toPandas()
+    three = ann.shard_counts(good, 1100)
+    assert sorted(map(tuple, three.collect())) == [(2, 1), (16, 3)]
+    got = ann.search(ann.build(good, three), good.where("vec_id % 50 = 0 and vec_id < 5000"), three).toPandas()
     hit = n = 0
     for q in [i for i in ids if i % 50 == 0]:
         at = int(np.flatnonzero(ids == q)[0])
@@ -388,9 +390,45 @@ def test_neighbours(spark):
     copies = got[got.query_id == 4000].sort_values("rank")
     assert list(copies.vec_id) == [7, 4001, 4002, 4003, 4004]
     few = ann.usable(df.where("vec_id < 3"), "vec_id", "embedding")
-    assert ann.search(ann.build(few, 1), few.where("vec_id = 0"), 1).count() == 2
+    one = ann.shard_counts(few)
+    assert ann.search(ann.build(few, one), few.where("vec_id = 0"), one).count() == 2
     none = ann.usable(df.limit(0), "vec_id", "embedding")
-    assert ann.search(ann.build(none, 1), none, 1).count() == 0
+    assert ann.search(ann.build(none, one), none, one).count() == 0
+
+
+@pytest.mark.parametrize("shard_rows", [4, 1000])
+def test_neighbours_of_scaled_copies_and_other_lengths(spark, shard_rows):
+    """Multiples of a vector tie and go by id, whatever their scale; other lengths are another space."""
+    rows = [(0, [1.0, 0.0, 0.0])] + [(989 + j, [2.0**j, 0.0, 0.0]) for j in range(11)] + [(50, [3.0, 1.0, 2.0])]
+    rows += [(2000 + j, [0.3 * x * (j + 1) for x in (3.0, 1.0, 2.0)]) for j in range(9)] + [(100, [1.0, 1.0]), (3001, [2.0, 2.0]), (3002, [1e-300, 1e-300]), (3003, [1e300, 1.1e300])]
+    good = ann.usable(spark.createDataFrame(rows, "vec_id long, embedding array<double>"), "vec_id", "embedding")
+    counts = ann.shard_counts(good, shard_rows)
+    got = {}
+    for r in ann.search(ann.build(good, counts), good.where("vec_id % 50 = 0 and vec_id < 900"), counts).orderBy("query_id", "rank").collect():
+        got.setdefault(r["query_id"], []).append((r["vec_id"], r["score"]))
+    assert [v for v, _ in got[0]] == [989, 990, 991, 992, 993] and all(s == 1.0 for _, s in got[0])
+    assert [v for v, _ in got[50]] == [2000, 2001, 2002, 2003, 2004] and all(abs(s - 1) < 1e-12 for _, s in got[50])
+    assert [v for v, _ in got[100]] == [3001, 3002, 3003]
+
+
+def test_neighbours_recall_of_the_query(spark):
+    c = duckdb.connect()
+    d = f"{DATA}/sf0.1"
+    rows = c.execute(f"select vec_id, embedding from '{d}/embeddings.parquet' where embedding is not null").fetchall()
+    ids = np.array([r[0] for r in rows])
+    x = np.array([r[1] for r in rows], float)
+    x = x / np.linalg.norm(x, axis=1)[:, None]
+    got = {}
+    for r in ann.op7_hnsw_neighbours(spark, d).collect():
+        got.setdefault(r["query_id"], []).append(r["score"])
+    hit = n = 0
+    for at in np.flatnonzero(ids % 50 == 0):
+        s = x @ x[at]
+        s[at] = -9
+        fifth = np.sort(s)[-5]
+        hit += sum(v >= fifth - 1e-9 for v in got[int(ids[at])])
+        n += 5
+    assert hit / n >= 0.95
 
 
 # -- 8 ----------------------------------------------------------------------------------------------------------
