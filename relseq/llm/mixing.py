@@ -6,9 +6,13 @@ source is above its cap. The level is found in closed form from one sorted pass
 A source's share is then taken as whole repetitions of all its documents plus a seeded fraction: documents
 stand in the order of a keyed digest, and those before the cut are taken once more.
 
-Defined results: null text has size 0; null source is a source of its own, ordered last; an empty table
-gives an empty result; repeated rows and ties in the digest are ordered by id and size; input columns with
-any other names are ignored by ``plan_mix`` and kept by ``apply_mix``.
+Documents meet their source's row of the plan by a broadcast of that table, whose rows are counted first; above
+``BROADCAST_SOURCES`` they are joined by source and a salt, so that no source is one task.
+
+Defined results: null text has size 0; a very long text is one size; null source is a source of its own, ordered
+last; an empty table gives an empty result; repeated rows and ties in the digest are ordered by id and size; an id
+that stands in several sources is a document of each; input columns with any other names are ignored by
+``plan_mix`` and kept by ``apply_mix``.
 """
 
 from __future__ import annotations
@@ -21,6 +25,8 @@ from relseq.llm import store
 WEIGHTS = (5, 2, 1)
 MAX_EPOCHS = 3
 SEED = "mix-7"
+BROADCAST_SOURCES = 100_000
+SALTS = 64
 WORD = r"[^\x20\x09-\x0D]+"
 
 
@@ -53,21 +59,30 @@ def source_targets(sizes: DataFrame, weights=WEIGHTS, max_epochs: int = MAX_EPOC
     return rows.select("source", "source_size", "weight", F.least(F.col("cap"), F.col("weight") * F.col("open_level")).alias("target"))
 
 
+def _keyed(docs: DataFrame, payload, id_col: str, source_col: str, text_col: str, seed: str) -> DataFrame:
+    """(row, doc_id, source, size, digest, bucket): ``payload`` as a row, and what the plan goes by."""
+    digest = F.md5(F.concat(F.lit(seed + ":"), F.coalesce(F.col(f"`{id_col}`").cast("string"), F.lit("null"))))
+    rows = docs.select(payload.alias("row"), F.col(f"`{id_col}`").alias("doc_id"), F.col(f"`{source_col}`").alias("source"), word_count(F.col(f"`{text_col}`")).alias("size"), digest.alias("digest"))
+    return rows.withColumn("bucket", F.substring("digest", 1, 3))
+
+
 def plan_mix(docs: DataFrame, id_col: str = "doc_id", source_col: str = "source", text_col: str = "text", weights=WEIGHTS, max_epochs: int = MAX_EPOCHS, seed: str = SEED, partial: bool = True) -> DataFrame:
     """One row per document: id, size, source_size, target, taken, repeats.
 
     ``partial``: the document on which a source's cut falls gives just the words still due (``taken``), so
     a source's sum equals its rounded target; otherwise it is taken whole or not, whichever is nearer.
     """
-    digest = F.md5(F.concat(F.lit(seed + ":"), F.coalesce(F.col(id_col).cast("string"), F.lit("null"))))
-    rows = docs.select(F.col(id_col).alias("doc_id"), F.col(source_col).alias("source"), word_count(F.col(text_col)).alias("size"), digest.alias("digest"))
-    return _plan(rows, weights, max_epochs, partial)
+    # Texts are read once: what is kept of a document is a few dozen bytes.
+    rows = store.materialise(_keyed(docs, F.struct(F.col(f"`{id_col}`").alias("id")), id_col, source_col, text_col, seed), "sizes")
+    done = _taken(rows, _cuts(rows, weights, max_epochs), partial)
+    return done.select(F.col("row.id").alias("doc_id"), "size", "source_size", "target", "taken", "repeats")
 
 
-def _plan(rows: DataFrame, weights, max_epochs: int, partial: bool) -> DataFrame:
+def _cuts(rows: DataFrame, weights, max_epochs: int) -> DataFrame:
+    """(source, source_size, target, whole, rest, cut, before), one row a source: its whole repetitions, the words due
+    beyond them, and the digest bucket in which these run out."""
     # Digest buckets are summed first, so a source's cut is known up to one bucket without sorting documents.
-    rows = rows.withColumn("bucket", F.substring("digest", 1, 3))
-    buckets = rows.groupBy("source", "bucket").agg(F.sum("size").alias("words"))
+    buckets = store.materialise(rows.groupBy("source", "bucket").agg(F.sum("size").alias("words")), "buckets")
     targets = source_targets(buckets.groupBy("source").agg(F.sum("words").alias("source_size")), weights, max_epochs)
     due = F.floor(F.col("target") + 0.5).cast("long")
     targets = targets.withColumn("due", due).withColumn("whole", F.when(F.col("source_size") > 0, F.expr("due div source_size")).otherwise(F.lit(0)).cast("long"))
@@ -76,9 +91,23 @@ def _plan(rows: DataFrame, weights, max_epochs: int, partial: bool) -> DataFrame
     cuts = buckets.withColumn("before", F.coalesce(F.sum("words").over(run), F.lit(0).cast("long")))
     same = F.col("t.source").eqNullSafe(F.col("c.source"))
     cuts = cuts.alias("c").join(targets.alias("t"), same).where("c.before <= t.rest and c.before + c.words > t.rest").select(F.col("t.source").alias("source"), F.col("c.bucket").alias("cut"), F.col("c.before").alias("before"))
-    targets = targets.alias("t").join(cuts.alias("c"), same, "left").select("t.*", "c.cut", "c.before")
+    return store.materialise(targets.alias("t").join(cuts.alias("c"), same, "left").select("t.*", "c.cut", "c.before"), "cuts")
+
+
+def _meet(rows: DataFrame, targets: DataFrame, broadcast_sources: int) -> DataFrame:
+    """``rows`` with the columns of their source."""
+    same = F.col("d.source").eqNullSafe(F.col("t.source"))
+    own = ["source_size", "target", "whole", "rest", "cut", "before"]
+    if targets.count() <= broadcast_sources:
+        return rows.alias("d").join(F.broadcast(targets).alias("t"), same).select("d.*", *[f"t.{c}" for c in own])
+    salted = targets.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    dealt = rows.withColumn("salt", F.pmod(F.xxhash64("digest"), F.lit(SALTS)).cast("int"))
+    return dealt.alias("d").join(salted.alias("t"), same & (F.col("d.salt") == F.col("t.salt"))).select("d.*", *[f"t.{c}" for c in own]).drop("salt")
+
 
-    sized = rows.alias("d").join(targets.alias("t"), F.col("d.source").eqNullSafe(F.col("t.source"))).select("d.doc_id", "d.source", "d.size", "d.digest", "d.bucket", "t.source_size", "t.target", "t.whole", "t.rest", "t.cut", "t.before")
+def _taken(rows: DataFrame, targets: DataFrame, partial: bool) -> DataFrame:
+    """``rows`` with source_size, target, taken and repeats."""
+    sized = _meet(rows, targets, BROADCAST_SOURCES)
     in_cut = F.coalesce(F.col("bucket") == F.col("cut"), F.lit(False))
     outside = sized.where(~in_cut).withColumn("extra", F.when(F.col("bucket") < F.coalesce("cut", F.lit("")), F.col("size")).otherwise(F.lit(0).cast("long")))
     walk = Window.partitionBy("source").orderBy("digest", "doc_id", "size").rowsBetween(Window.unboundedPreceding, -1)
@@ -89,16 +118,15 @@ def _plan(rows: DataFrame, weights, max_epochs: int, partial: bool) -> DataFrame
         extra = F.when(2 * F.col("left") >= F.col("size"), F.col("size")).otherwise(F.lit(0).cast("long"))
     inside = inside.withColumn("extra", F.when(F.col("left") > 0, extra).otherwise(F.lit(0).cast("long"))).drop("left")
     both = outside.unionByName(inside)
-    return both.select("doc_id", "size", "source_size", "target", (F.col("whole") * F.col("size") + F.col("extra")).alias("taken"), (F.col("whole") + (F.col("extra") > 0).cast("long")).alias("repeats"))
+    return both.select("row", "size", "source_size", "target", (F.col("whole") * F.col("size") + F.col("extra")).alias("taken"), (F.col("whole") + (F.col("extra") > 0).cast("long")).alias("repeats"))
 
 
 def apply_mix(docs: DataFrame, id_col: str = "doc_id", source_col: str = "source", text_col: str = "text", weights=WEIGHTS, max_epochs: int = MAX_EPOCHS, seed: str = SEED) -> DataFrame:
     """The mixed corpus: each document's row as often as the mix takes it (whole documents only)."""
-    repeats = plan_mix(docs, id_col, source_col, text_col, weights, max_epochs, seed, partial=False)
-    repeats = repeats.where("repeats > 0").groupBy("doc_id").agg(F.max("repeats").alias("repeats"))
-    joined = docs.alias("d").join(repeats.alias("r"), F.col(f"d.{id_col}").eqNullSafe(F.col("r.doc_id")))
-    times = F.expr("explode(sequence(1L, r.repeats))")
-    return joined.select(*[F.col(f"d.`{c}`") for c in docs.columns], times.alias("__copy")).drop("__copy")
+    rows = _keyed(docs, F.struct(*[F.col(f"`{c}`") for c in docs.columns]), id_col, source_col, text_col, seed)
+    done = _taken(rows, _cuts(rows, weights, max_epochs), False).where("repeats > 0")
+    each = done.select("row", F.explode(F.expr("sequence(1L, repeats)")))
+    return each.select(*[F.col("row").getField(c).alias(c) for c in docs.columns])
 
 
 def op8_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:

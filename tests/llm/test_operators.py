@@ -470,6 +470,25 @@ def test_mix(odd, empty):
     assert mixed.columns == odd.columns and mixed.groupBy("doc_id", "text").count().agg(F.max("count")).first()[0] <= 6
 
 
+@pytest.mark.parametrize("broadcast", [0, 1000])
+def test_mix_of_clashing_names_and_an_id_in_two_sources(spark, monkeypatch, broadcast):
+    monkeypatch.setattr(mixing, "BROADCAST_SOURCES", broadcast)
+    rows = [(i, words(10 + i, i), "big", i, "r") for i in range(40)] + [(i, words(3, i), "small", i, "r") for i in range(3)] + [(100 + i, words(9, i), None, i, "r") for i in range(20)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string, __copy int, row string")
+    plan = mixing.plan_mix(docs, partial=False)
+    want = {}
+    for r in plan.collect():
+        want[(r["doc_id"], r["size"])] = want.get((r["doc_id"], r["size"]), 0) + r["repeats"]
+    mixed = mixing.apply_mix(docs)
+    assert mixed.columns == docs.columns
+    got = {}
+    for r in mixed.collect():
+        assert (r["doc_id"], r["text"], r["source"], r["__copy"], r["row"]) in rows
+        key = (r["doc_id"], len(r["text"].split()))
+        got[key] = got.get(key, 0) + 1
+    assert got == {k: n for k, n in want.items() if n} and len({i for i, _ in got if i < 3}) == 3
+
+
 def test_mix_equals_sql(spark):
     c = duckdb.connect()
     c.execute(f"create view documents as select * from '{DATA}/sf0.001/documents.parquet'")
