@@ -13,7 +13,7 @@ is covered by its first and last window of the smaller power; covered lines are
 ``min_lines`` lines on, or as one line if that has ``min_words`` words.
 
 Windows never cross documents and are judged on the input, not on what is left of it. A name is a 128-bit
-hash in round 0 and exact ranks after it. Very frequent names are joined apart: at most ``HOT_GROUPS`` of them can
+hash in round 0 and exact ranks after it. Very frequent names are joined apart: at most ``store.HOT_GROUPS`` of them can
 hold that share of all positions, so theirs is a small table, and the positions stay where they are.
 
 Defined results: null text is empty text; blank lines are never deleted and do not separate runs; a document
@@ -38,7 +38,6 @@ from relseq.llm import store
 MIN_LINES = 2
 MIN_WORDS = 50
 LINE_END = "\n"
-HOT_GROUPS = 10_000
 WORD = r"[^\x20\x09-\x0D]+"
 BLANK = "\x20\x09\x0a\x0b\x0c\x0d"
 
@@ -64,18 +63,6 @@ def positions(ids: DataFrame) -> DataFrame:
     return once.select("k1", "k2", F.posexplode("lines").alias("seq", "x")).select("k1", "k2", "seq", "x.long", "x.h1", "x.h2")
 
 
-def with_groups(rows: DataFrame, groups: DataFrame, keys: list[str], total: int) -> DataFrame:
-    """``rows`` with the columns of their group; rows without one go. ``groups`` has a row for each key with its
-    size ``n``, and ``total`` is the sum of sizes, so fewer than ``HOT_GROUPS`` groups have more than that share."""
-    hot = groups.where(F.col("n") > total // HOT_GROUPS)
-    cool = groups.where(F.col("n") <= total // HOT_GROUPS)
-    if total < HOT_GROUPS:  # then every group is hot, and there are fewer than that many
-        return rows.join(F.broadcast(groups), keys).drop("n")
-    apart = rows.join(F.broadcast(hot), keys).drop("n")
-    rest = rows.join(F.broadcast(hot.select(*keys)), keys, "left_anti").join(cool, keys).drop("n")
-    return apart.unionByName(rest)
-
-
 def global_ranks(groups: DataFrame, keys: list[str]) -> tuple[DataFrame, int]:
     """``groups`` with ``rank``, the sum of ``n`` over groups whose keys sort before, and the sum of all. Range-
     partitioned; one total for each partition comes to the driver."""
@@ -105,7 +92,7 @@ def levels(lines: DataFrame, min_lines: int) -> Iterator[tuple[int, DataFrame]]:
         step = min(size, min_lines - size) if size < min_lines else size
         # The rank of the window one step further in the same document, if that occurs again too.
         further = Window.partitionBy("k1", "k2").orderBy("seq").rangeBetween(step, step)
-        named = with_groups(now, groups, keys, total).withColumn("r2", F.max("rank").over(further))
+        named = store.with_groups(now, groups, keys, total).withColumn("r2", F.max("rank").over(further))
         named = store.materialise(named.select("k1", "k2", "seq", "long", "rank", "r2", F.col("first.k1").alias("f1"), F.col("first.k2").alias("f2"), F.col("first.seq").alias("f3")), "windows")
         yield size, named.drop("r2")
         now = named.where("r2 is not null").select("k1", "k2", "seq", "long", F.col("rank").alias("r1"), "r2")
@@ -147,7 +134,7 @@ def removed_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     texts = ids.groupBy("k2", "k3").agg(F.count("*").alias("n"), F.min("k1").alias("first")).where("n > 1")
     texts = store.materialise(texts, "texts")
     copies = texts.agg(F.sum("n")).first()[0] or 0
-    same = with_groups(ids.select("k1", "k2", "k3"), texts, ["k2", "k3"], copies).where("k1 > first").select("k1", "k2").distinct()
+    same = store.with_groups(ids.select("k1", "k2", "k3"), texts, ["k2", "k3"], copies).where("k1 > first").select("k1", "k2").distinct()
     out = same.select("k1", "k2", F.lit(True).alias("whole"), F.expr("cast(array() as array<struct<seq: int, size: int>>)").alias("spans"))
     later = None
     for size, named in levels(positions(ids), min_lines):

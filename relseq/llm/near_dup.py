@@ -17,7 +17,8 @@ pair just at the threshold is missed with a probability below one in a million);
 
 Defined results: null, empty or blank text has no shingles and no links; a text with fewer words than the
 shingle width is one shingle; a null id is never linked (its component is null, kept); repeated rows share
-an id and so a component; an empty table gives an empty result; other columns are ignored.
+an id and so a component; ties (sets of equal size and values) are one class; a very long text is one sketch and one
+set; an empty table gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -27,7 +28,7 @@ from math import ceil, floor, log, sqrt
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from relseq.llm import store
@@ -175,12 +176,13 @@ def cross_pairs(members: DataFrame, k: int, percent: int, block: int = BLOCK) ->
     """Candidate pairs across components inside each list. ``members(value, rep, n, m, sig, comp, sketch)``:
     ``m`` and ``sig`` bound overlaps, and the low bits of the sketch mark the values listed.
 
-    Lists are cut into blocks, and two blocks meet in one task-sized group, whatever the list's length.
+    Lists are dealt into blocks by a hash, and two blocks meet in one task-sized group, whatever the list's length.
     """
-    rank = F.row_number().over(Window.partitionBy("value").orderBy("rep")) - 1
-    cut = members.withColumn("i", F.floor(rank / block).cast("int"))
-    blocks = cut.groupBy("value").agg((F.max("i") + 1).alias("blocks"))
-    sent = cut.join(blocks, "value").withColumn("o", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    lists = store.materialise(members.groupBy("value").agg(F.count("*").alias("n"), F.ceil(F.count("*") / block).cast("int").alias("blocks")), "blocks", few=True)
+    total = lists.agg(F.sum("n")).first()[0] or 0
+    counted = store.with_groups(members.withColumnRenamed("n", "size"), lists, ["value"], total).withColumnRenamed("size", "n")
+    cut = counted.withColumn("i", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int"))
+    sent = cut.withColumn("o", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     sent = sent.select("value", F.least("i", "o").alias("lo"), F.greatest("i", "o").alias("hi"), "i", "rep", "n", "m", "sig", "comp", "sketch")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -277,10 +279,10 @@ def overlap_bounds(sets: DataFrame) -> DataFrame:
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, percent: int = PERCENT, k: int = K) -> DataFrame:
     """One row per document: doc_id, n_shingles, component_id, kept."""
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    every = store.materialise(sketches(texts, width, k), "sketches", few=True)
+    every = store.materialise(sketches(texts, width, k), "sketches")
     some = every.where("n_shingles > 0 and doc_id is not null")
     classes = some.groupBy("fp1", "fp2", "n_shingles").agg(F.min("doc_id").alias("rep"), F.first("sketch").alias("sketch"))
-    reps = store.materialise(classes.withColumnRenamed("n_shingles", "n"), "classes", few=True)
+    reps = store.materialise(classes.withColumnRenamed("n_shingles", "n"), "classes")
 
     # Rarest values of each sketch among those that more than one class has.
     listed = reps.select("rep", "n", F.explode("sketch").alias("value"))
@@ -293,14 +295,14 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     room = prefix - (held - F.size("own"))  # values of one class only come first
     kept = own.where(room > 0).select("rep", "n", F.explode(F.slice(F.sort_array("own"), 1, F.greatest(room, F.lit(1)))).alias("x")).select("x.value", "rep", "n")
     kept = kept.withColumn("c", F.floor(F.log(F.col("n").cast("double")) / log(100 / percent + 1e-9)).cast("int"))
-    kept = store.materialise(kept, "lists", few=True)
+    kept = store.materialise(kept, "lists")
 
     first = kept.groupBy("value", "c").agg(F.min("rep").alias("a"), F.count("*").alias("m")).where("m > 1").drop("m")
     stars = kept.join(first, ["value", "c"]).where("rep <> a").select("a", F.col("rep").alias("b")).distinct()
     stars = store.materialise(estimated(stars, reps, k, percent), "stars", few=True)
     several = kept.groupBy("value").agg(F.count("*").alias("m")).where("m > 1").select("value")
     wanted = kept.join(several, "value", "left_semi").select(F.col("rep").alias("doc_id")).distinct()
-    sets = store.materialise(full_sets(texts.join(wanted, "doc_id", "left_semi"), width), "sets", "none", few=True)
+    sets = store.materialise(full_sets(texts.join(wanted, "doc_id", "left_semi"), width), "sets", "none")
     links = store.materialise(verified(stars, sets, percent), "links", few=True)
 
     labels = components(links)

@@ -1,8 +1,8 @@
 """Shared storage for intermediate results.
 
 Every table that must outlive its lineage is written as Parquet below ``spark.checkpoint.dir`` (a folder
-that driver and executors share), so a lost executor never takes the only copy with it. Where the session
-has no such folder (tests on one machine) a temporary one is set.
+that driver and executors share), so a lost executor never takes the only copy with it. Where a session on one
+machine has no such folder (tests) a temporary one is set; on a cluster its absence is an error.
 """
 
 from __future__ import annotations
@@ -12,10 +12,12 @@ import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from relseq.session import ship
 
 CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+HOT_GROUPS = 10_000
 _written: list[tuple[SparkSession, str]] = []
 
 
@@ -25,6 +27,8 @@ def shared_dir(spark: SparkSession) -> str:
     if not folder:
         folder = spark.sparkContext.getCheckpointDir()
         if not folder:
+            if not spark.sparkContext.master.startswith("local"):
+                raise ValueError("spark.checkpoint.dir has to name a folder that driver and executors share")
             folder = "file://" + tempfile.mkdtemp(prefix="relseq-")
             spark.sparkContext.setCheckpointDir(folder)
     return folder.rstrip("/")
@@ -39,11 +43,11 @@ def new_path(spark: SparkSession, name: str) -> str:
 
 
 def materialise(df: DataFrame, name: str, compression: str = "zstd", few: bool = False) -> DataFrame:
-    """Write ``df`` to the shared folder and read it back: cuts lineage, computes once. ``few``: at most two files
-    for each core of the cluster, for operators that write many small tables."""
+    """Write ``df`` to the shared folder and read it back: cuts lineage, computes once. ``few``: small results of many
+    tasks are brought together in a few files after they are computed."""
     spark = df.sparkSession
     path = new_path(spark, name)
-    df = df.coalesce(2 * spark.sparkContext.defaultParallelism) if few else df
+    df = df.hint("rebalance") if few else df
     # What was exchanged for the write is of no use after it; else it stays on disk until the driver collects garbage.
     before = spark.conf.get(CLEANUP, "false")
     spark.conf.set(CLEANUP, "true")
@@ -54,6 +58,18 @@ def materialise(df: DataFrame, name: str, compression: str = "zstd", few: bool =
     return spark.read.schema(df.schema).parquet(path)
 
 
+def with_groups(rows: DataFrame, groups: DataFrame, keys: list[str], total: int, hot_groups: int = HOT_GROUPS) -> DataFrame:
+    """``rows`` with the columns of their group; rows without one go. ``groups`` has a row for each key with its
+    size ``n``, and ``total`` is the sum of sizes: fewer than ``hot_groups`` groups can have more than that share of
+    it, so these are broadcast and their rows stay where they are; all others are small."""
+    if total < hot_groups:  # there are fewer groups than that, too
+        return rows.join(F.broadcast(groups), keys).drop("n")
+    hot, cool = groups.where(F.col("n") > total // hot_groups), groups.where(F.col("n") <= total // hot_groups)
+    apart = rows.join(F.broadcast(hot), keys).drop("n")
+    rest = rows.join(F.broadcast(hot.select(*keys)), keys, "left_anti").join(cool, keys).drop("n")
+    return apart.unionByName(rest)
+
+
 def drop(df: DataFrame) -> None:
     """Delete the files behind a table that ``materialise`` returned and nobody reads any more."""
     spark = df.sparkSession

@@ -236,7 +236,7 @@ def test_lines(odd, least):
 @pytest.mark.parametrize("hot", [2, 10_000])
 def test_lines_of_shared_passages(spark, monkeypatch, hot):
     """Passages on one line between other neighbours, copies, long runs and a line that is everywhere."""
-    monkeypatch.setattr(line_dedup, "HOT_GROUPS", hot)
+    monkeypatch.setattr(line_dedup.store.with_groups, "__defaults__", (hot,))
     draw = np.random.default_rng(6)
     passage, short, run = words(51, 21), words(49, 22), [f"part {i}" for i in range(37)]
     rows = []
