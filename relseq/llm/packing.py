@@ -64,6 +64,7 @@ class Encoder:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(vocabulary if os.path.isabs(vocabulary) else public_tokenizers.path(vocabulary))
+        self.short = os.path.basename(vocabulary) == VOCABULARY  # the word pattern and lower-casing are that file's
         self.odd = re.compile(self.ODD).search
         split, words = re.compile(self.WORD).findall, Cached(self.whole, 600_000)
         self.chunks = Cached(lambda chunk: b"".join([words[w] for w in split(chunk)]), 300_000)
@@ -72,6 +73,8 @@ class Encoder:
         return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
 
     def __call__(self, text: str) -> bytes:
+        if not self.short:
+            return self.whole(text)
         if any(x in text for x in self.ODD_ASCII) if text.isascii() else self.odd(text):
             return self.whole(text)
         chunks = self.chunks
