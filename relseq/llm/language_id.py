@@ -29,6 +29,7 @@ SYMBOLS = 64
 FOLDS = 5
 SCALE = 10**9
 BATCH = 256
+CHUNK = 4096  # trigram vectors held at a time
 
 
 @cache
@@ -105,8 +106,8 @@ def learn(docs: DataFrame, text_col: str = "text", lang_col: str = "lang") -> tu
         for lang, grams in sums.items():
             seen = np.flatnonzero(grams)
             vector = np.zeros(DIM)
-            for at in range(0, len(seen), 4096):
-                vector += grams[seen[at : at + 4096]] @ gram_vectors(seen[at : at + 4096])
+            for at in range(0, len(seen), CHUNK):
+                vector += grams[seen[at : at + CHUNK]] @ gram_vectors(seen[at : at + CHUNK])
             whole = np.rint(vector * SCALE / 1000).astype(np.int64)
             yield pa.RecordBatch.from_arrays([pa.array([lang] * (DIM + 1)), pa.array(np.arange(DIM + 1, dtype=np.int32)), pa.array(np.append(whole, count[lang]))], ["lang", "dim", "value"])
 
@@ -143,9 +144,14 @@ def classify(docs: DataFrame, labels: list[str], model: np.ndarray, text_col: st
                     present[grams] = 1
                     seen = np.flatnonzero(present)
                     present[seen] = np.arange(len(seen))
-                    counts = np.bincount(own * len(seen) + present[grams], minlength=(b - a) * len(seen)).reshape(b - a, len(seen)).astype(np.float32)
-                    total = counts.sum(axis=1)
-                    vectors = counts @ gram_vectors(seen) / np.maximum(total, 1)[:, None] - model[-1]
+                    total = np.bincount(own, minlength=b - a)
+                    bundle, place = np.zeros((b - a, DIM), np.float32), present[grams]
+                    for at in range(0, len(seen), CHUNK):
+                        some = seen[at : at + CHUNK]
+                        mine = (place >= at) & (place < at + CHUNK)
+                        counts = np.bincount(own[mine] * len(some) + place[mine] - at, minlength=(b - a) * len(some)).reshape(b - a, len(some))
+                        bundle += counts.astype(np.float32) @ gram_vectors(some)
+                    vectors = bundle / np.maximum(total, 1)[:, None] - model[-1]
                     size = np.linalg.norm(vectors, axis=1)
                     cosine = vectors @ profiles / np.where(size > 0, size, 1)[:, None]
                     top = cosine.argmax(axis=1)
