@@ -148,7 +148,9 @@ def train(docs: DataFrame, grades: DataFrame, levels: int = 3, sample: int = SAM
     """``docs(doc_id, text)`` and ``grades(doc_id, grade)``; at most ``sample`` rows are learned from."""
     chosen = grades.where("grade is not null and doc_id is not null").groupBy("doc_id").agg(F.min("grade").cast("int").alias("grade"))
     chosen = chosen.orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample)  # bounded by ``sample``, so it is broadcast
-    rows = hashed(docs.join(F.broadcast(chosen), "doc_id").select("grade", "text")).toArrow()
+    # Repeated ids are one document, so ``sample`` bounds the rows that come to the driver.
+    texts = docs.join(F.broadcast(chosen), "doc_id").groupBy("doc_id").agg(F.min("grade").alias("grade"), F.min(F.coalesce("text", F.lit(""))).alias("text"))
+    rows = hashed(texts.select("grade", "text")).toArrow()
     if not rows.num_rows:
         return fit(np.zeros(0, int), np.zeros(0, int), np.zeros(1, int), levels)
     lists = rows.column("features").combine_chunks()
