@@ -69,6 +69,19 @@ def extended_sequences(corpus: Corpus) -> DataFrame:
     return corpus.sequences.select("seq_id", sets.alias("sequence"))
 
 
+def extended_mining(corpus: Corpus, min_support: float, max_items: int = 3) -> DataFrame:
+    """Taxonomic sequences by the library's pattern growth over the extended form, in which an event counts for each
+    of its ancestors: (pattern, n_items, support). Items of a transaction that lie on one path are kept, so the
+    result holds every generalisation, and patterns that repeat an ancestor beside its concept are left out."""
+    from pyspark.ml.fpm import PrefixSpan
+
+    found = PrefixSpan(minSupport=min_support, maxPatternLength=max_items).findFrequentSequentialPatterns(extended_sequences(corpus))
+    below = lambda a, b: (a != b) & F.startswith(b, F.concat(a, F.when(F.contains(a, F.lit(":")), F.lit("/")).otherwise(F.lit(":"))))
+    twice = F.exists("sequence", lambda s: F.exists(s, lambda a: F.exists(s, lambda b: below(a, b))))
+    text = F.array_join(F.transform("sequence", lambda s: F.array_join(F.array_sort(s), " ")), " ; ")
+    return found.where(~twice).select(text.alias("pattern"), F.aggregate("sequence", F.lit(0), lambda n, s: n + F.size(s)).alias("n_items"), F.col("freq").alias("support"))
+
+
 def prefixspan(corpus: Corpus, min_support: float, max_events: int | None = None) -> DataFrame:
     """Pattern growth by the library's own miner over type sets; comparable where no type repeats inside a
     transaction. (skeleton, n_events, support)."""
@@ -81,22 +94,54 @@ def prefixspan(corpus: Corpus, min_support: float, max_events: int | None = None
     return found.select(text.alias("skeleton"), F.aggregate("sequence", F.lit(0), lambda n, s: n + F.size(s)).alias("n_events"), F.col("freq").alias("support"))
 
 
-def prefix_growth(corpus: Corpus, min_support: float, max_events: int = 3) -> dict[str, int]:
-    """Supports by growing prefixes over projected rows, presence only, no gap: each row keeps the earliest ends of
-    a prefix in its own transaction and later; one count a prefix travels."""
-    total = corpus.size()
-    theta = patterns.threshold(min_support, total)
+def prefix_growth(corpus: Corpus, min_support: float, max_gap: int | None = None, max_events: int | None = None) -> dict[str, int]:
+    """Supports by growing prefixes over projected rows, presence only. A row keeps, for each frequent prefix, the
+    positions at which it can end: without a gap the earliest in each transaction, since no later one reaches
+    further, with a gap all of them. What follows those ends is all that is looked at; extensions are read off
+    the projected rows, so there are no candidates to generate, and one count an extension travels."""
+    theta = patterns.threshold(min_support, corpus.size())
+    ends = "array<struct<skeleton:string,ends:array<int>>>"
+
+    def earliest(e):
+        return F.filter(e, lambda p, i: (i == 0) | (F.element_at("events", p)["txn"] != F.element_at("events", F.get(e, i - 1))["txn"]))
+
+    def step(p):
+        """Every event behind an end, under the name that it would give the prefix."""
+
+        def behind(end):
+            last = F.element_at("events", end)
+            window = F.slice("events", end + 1, F.greatest(F.lit(0), F.size("events") - end) if max_gap is None else F.lit(max_gap))
+            return F.transform(window, lambda e: F.struct(F.concat(p["skeleton"], F.when(e["txn"] > last["txn"], patterns.BREAK).otherwise(patterns.SAME), e["type"]).alias("skeleton"), e["pos"].alias("pos")))
+
+        return F.flatten(F.transform(p["ends"], behind))
+
+    def gathered(steps):
+        names = F.array_distinct(F.transform(steps, lambda s: s["skeleton"]))
+        at = lambda n: F.array_sort(F.array_distinct(F.transform(F.filter(steps, lambda s: s["skeleton"] == n), lambda s: s["pos"])))
+        return F.transform(names, lambda n: F.struct(n.alias("skeleton"), at(n).alias("ends")))
+
+    first = F.transform("events", lambda e: F.struct(e["type"].alias("skeleton"), e["pos"].alias("pos")))
+    rows = corpus.sequences.select("seq_id", "events", F.array(first).alias("steps"))
+    held: list[DataFrame] = []
     out: dict[str, int] = {}
-    level = [patterns.parse(t) for t in corpus.types]
-    while level:
-        names = [patterns.render(s) for s in level]
-        counts = {r["skeleton"]: r["support"] for r in presence(corpus, names).collect()}
-        frequent = {s for s in level if counts.get(patterns.render(s), 0) >= theta}
-        out |= {patterns.render(s): counts[patterns.render(s)] for s in frequent}
-        if not frequent or len(next(iter(frequent))[0]) >= max_events:
-            break
-        level = patterns.extend(frequent, False)
-    return out
+    try:
+        while True:
+            rows = rows.withColumn("now", F.flatten(F.transform("steps", gathered)).cast(ends))
+            if max_gap is None:
+                rows = rows.withColumn("now", F.transform("now", lambda p: F.struct(p["skeleton"].alias("skeleton"), earliest(p["ends"]).alias("ends"))))
+            rows = rows.select("seq_id", "events", "now").persist()
+            held.append(rows)
+            # A prefix stands once in a row.
+            counts = rows.select(F.explode("now").alias("p")).groupBy("p.skeleton").agg(F.count("*").alias("support")).where(F.col("support") >= theta)
+            level = {r["skeleton"]: int(r["support"]) for r in counts.collect()}  # one row a frequent prefix
+            out |= level
+            if not level or (max_events is not None and len(patterns.parse(next(iter(level)))[0]) >= max_events):
+                return out
+            alive = F.filter("now", lambda p: F.array_contains(F.array(*[F.lit(x) for x in sorted(level)]), p["skeleton"]))
+            rows = rows.where(F.size(alive) > 0).select("seq_id", "events", F.transform(alive, step).alias("steps"))
+    finally:
+        for df in held:
+            df.unpersist()
 
 
 def row_support(leafs: DataFrame) -> DataFrame:
