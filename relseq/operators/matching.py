@@ -47,13 +47,13 @@ def grown(events: Column, occurrences: Column, allowed: list[str], max_gap: int
         last = F.element_at(events, F.element_at(o["lambda"], -1))
         first = F.element_at(events, F.element_at(o["lambda"], 1))
         begin = last["pos"] + 1
-        window = F.slice(events, begin, F.lit(max_gap)) if max_gap and unit == "event" else F.slice(events, begin, F.greatest(F.size(events) - begin + 1, F.lit(0)))
+        window = F.slice(events, begin, F.lit(max_gap)) if max_gap is not None and unit == "event" else F.slice(events, begin, F.greatest(F.size(events) - begin + 1, F.lit(0)))
 
         def fits(e: Column) -> Column:
             ok = F.lit(True)
-            if max_gap and unit != "event":
+            if max_gap is not None and unit != "event":
                 ok = ok & (measure(e, unit) - measure(last, unit) <= max_gap)
-            if max_span:
+            if max_span is not None:
                 ok = ok & (measure(e, unit) - measure(first, unit) <= max_span)
             return ok
 
@@ -61,7 +61,7 @@ def grown(events: Column, occurrences: Column, allowed: list[str], max_gap: int
             name = F.concat(o["skeleton"], F.when(e["txn"] > last["txn"], BREAK).otherwise(SAME), e["type"])
             return F.struct(name.alias("skeleton"), F.array_append(o["lambda"], e["pos"]).alias("lambda"))
 
-        near = F.filter(window, fits) if max_span or (max_gap and unit != "event") else window
+        near = F.filter(window, fits) if max_span is not None or (max_gap is not None and unit != "event") else window
         return F.transform(near, add)
 
     return F.filter(F.flatten(F.transform(occurrences, steps)), lambda o: F.array_contains(wanted, o["skeleton"])).cast(OCCURRENCE)
@@ -113,9 +113,9 @@ def _joined(corpus: Corpus, s: Skeleton, max_gap, max_span, unit: str) -> DataFr
     for t, brk in zip(types[1:], breaks):
         step = base.where(F.col("type") == t).select(F.col("seq_id").alias("s2"), F.col("pos").alias("p2"), F.col("txn").alias("t2"), F.col("at").alias("a2"))
         on = (F.col("seq_id") == F.col("s2")) & (F.col("p2") > F.col("p")) & ((F.col("t2") > F.col("t")) if brk else (F.col("t2") == F.col("t")))
-        if max_gap:
+        if max_gap is not None:
             on = on & (F.col("a2") - F.col("a") <= max_gap)
-        if max_span:
+        if max_span is not None:
             on = on & (F.col("a2") - F.col("a0") <= max_span)
         out = out.join(step, on).select("seq_id", F.array_append("lambda", F.col("p2")).alias("lambda"), F.col("p2").alias("p"), F.col("t2").alias("t"), F.col("a2").alias("a"), "a0")
     return out.select("seq_id", F.lit(patterns.render(s)).alias("skeleton"), "lambda")
@@ -152,7 +152,7 @@ def search_one(types: list[str], txns: list[int], at: list[int], s: Skeleton, ma
             continue
         if m:
             last = chosen[-1]
-            if (max_gap and at[i] - at[last] > max_gap) or (max_span and at[i] - at[chosen[0]] > max_span) or (not breaks[m - 1] and txns[i] > txns[last]):
+            if (max_gap is not None and at[i] - at[last] > max_gap) or (max_span is not None and at[i] - at[chosen[0]] > max_span) or (not breaks[m - 1] and txns[i] > txns[last]):
                 continue
         stack.append((i + 1, chosen))
         if types[i] == want[m] and (not m or (txns[i] > txns[chosen[-1]]) == breaks[m - 1]):

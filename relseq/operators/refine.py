@@ -7,8 +7,9 @@ per slot and so are such vectors, and the search runs over vectors directly.
 
 ``grouped``: one search per skeleton, where the occurrences counted in stage 1 fit a task. ``partitioned``, for
 any size: each chunk of sequences is searched with the threshold scaled down to it, which finds every vector
-that is frequent in all (it is frequent in some chunk); a second pass counts those candidates exactly. Only
-candidate vectors and counts travel, never occurrences.
+that is frequent in all (it is frequent in some chunk); those that the chunks' counts leave possible are counted
+exactly where no count of them is known. Nothing but the result's own counts comes together, and nothing is
+gathered on the driver.
 """
 
 from __future__ import annotations
@@ -28,9 +29,11 @@ from relseq.operators import patterns
 from relseq.operators.corpus import concept_view, slot_names
 from relseq.operators.matching import permuted
 from relseq.operators.typemining import Mined
+from relseq.session import ship
 
 GROUP_LIMIT = 1_000_000  # occurrences of one skeleton that a task may hold
 CHUNK_ROWS = 400_000
+VECTOR_BLOCK = 5_000  # candidates that meet a chunk at a time
 LEAF = "skeleton string, seq_id string, leaf array<string>"
 VECTORS = "skeleton string, vector array<string>, support long"
 
@@ -59,22 +62,51 @@ def item_support(leafs: DataFrame) -> DataFrame:
     return items(leafs).distinct().groupBy("skeleton", "slot", "concept").agg(F.count("*").alias("support"))
 
 
+def approximate_item_support(leafs: DataFrame, error: float = 0.02) -> DataFrame:
+    """The same by a sketch of the sequences of each item: no exchange of distinct pairs, for a first look."""
+    return items(leafs).groupBy("skeleton", "slot", "concept").agg(F.approx_count_distinct("seq_id", error).alias("support"))
+
+
+def support_cube(leafs: DataFrame, mined_total: int) -> DataFrame:
+    """(skeleton, slot, depth, concepts, best_support, best_pct): frequent concepts summed up by every grouping of
+    skeleton, slot and depth."""
+    own = item_support(leafs).withColumn("depth", F.size(F.split("concept", "/")))
+    return own.cube("skeleton", "slot", "depth").agg(F.count("*").alias("concepts"), F.max("support").alias("best_support")).withColumn("best_pct", F.round(100 * F.col("best_support") / mined_total, 4))
+
+
 def vocabulary(leafs: DataFrame) -> DataFrame:
     """(skeleton, item_id, slot, concept, support), numbered by slot and concept."""
     return item_support(leafs).withColumn("item_id", F.row_number().over(Window.partitionBy("skeleton").orderBy("slot", "concept")))
 
 
+def numbered(leafs: DataFrame) -> DataFrame:
+    """Leaf rows with an ``occurrence`` number. Numbers of a partition follow each other, so their bitmaps are dense;
+    store or persist the result before it is used twice."""
+    return leafs.withColumn("occurrence", F.monotonically_increasing_id())
+
+
 def matrix(leafs: DataFrame, layout: str = "rows") -> DataFrame:
-    """The occurrence-by-item matrix, sparse: item ids of each occurrence, or a bitmap of sequences per item."""
+    """The occurrence-by-item matrix, sparse: item ids of each occurrence, or for each item bitmaps of the occurrences
+    (of ``numbered`` leaf rows) that have it, by bucket of occurrence numbers."""
     ids = vocabulary(leafs).select("skeleton", "slot", "concept", "item_id")
-    occ = leafs.withColumn("occurrence", F.monotonically_increasing_id())
+    occ = leafs if "occurrence" in leafs.columns else numbered(leafs)
     long = occ.select("skeleton", "seq_id", "occurrence", F.posexplode("leaf").alias("slot", "c")).select("skeleton", "seq_id", "occurrence", (F.col("slot") + 1).alias("slot"), F.explode(taxonomy.ancestors(F.col("c"))).alias("concept"))
     long = long.join(ids, ["skeleton", "slot", "concept"])
     if layout == "rows":
         return long.groupBy("skeleton", "seq_id", "occurrence").agg(F.array_sort(F.collect_set("item_id")).alias("items"))
-    numbered = long.withColumn("n", F.dense_rank().over(Window.partitionBy("skeleton").orderBy("seq_id")).cast("long"))
-    bucketed = numbered.groupBy("skeleton", "item_id", F.bitmap_bucket_number("n").alias("bucket")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("n")).alias("bits"))
-    return bucketed
+    return long.groupBy("skeleton", "item_id", F.bitmap_bucket_number("occurrence").alias("bucket")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("occurrence")).alias("bits"))
+
+
+def bitmap_support(bitmaps: DataFrame, occ: DataFrame, skeleton: str, item_ids: list[int]) -> int:
+    """Sequences with an occurrence that has all the items: the items' bitmaps are joined bit by bit, and the set bits
+    lead back to sequences. ``occ`` are the ``numbered`` leaf rows that the bitmaps were made of."""
+    own = bitmaps.where(F.col("skeleton") == skeleton).where(F.col("item_id").isin(item_ids))
+    both = own.groupBy("bucket").agg(F.collect_list("bits").alias("all"), F.count("*").alias("n")).where(F.col("n") == len(set(item_ids)))  # one entry an item
+    at = F.bitmap_bit_position("occurrence")
+    byte = lambda b: F.conv(F.hex(F.substring(b, (at / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("int")
+    bit = lambda b: F.floor(byte(b) / F.pow(F.lit(2), at % 8)) % 2 == 1
+    rows = occ.where(F.col("skeleton") == skeleton).withColumn("bucket", F.bitmap_bucket_number("occurrence"))
+    return rows.join(both, "bucket").where(F.forall("all", bit)).select("seq_id").distinct().count()
 
 
 def cover(leafs: DataFrame, vector: list[str]) -> DataFrame:
@@ -252,9 +284,10 @@ def _grouped(leafs: DataFrame, theta: int, algorithm: str) -> DataFrame:
 
 
 def _chunks(batches: Iterator[pa.RecordBatch], most: int) -> Iterator[pa.Table]:
-    """Whole sequences, about ``most`` leaf rows at a time."""
+    """Whole sequences, about ``most`` leaf rows at a time; a small rest joins the chunk before it."""
     held: list[pa.RecordBatch] = []
     rows = 0
+    before: pa.Table | None = None
     for batch in batches:
         held.append(batch)
         rows += batch.num_rows
@@ -263,61 +296,97 @@ def _chunks(batches: Iterator[pa.RecordBatch], most: int) -> Iterator[pa.Table]:
             seq = table.column("seq_id").to_numpy(zero_copy_only=False)
             cut = int(np.flatnonzero(seq != seq[-1])[-1]) + 1 if (seq != seq[-1]).any() else 0
             if cut:
-                yield table.slice(0, cut)
+                if before is not None:
+                    yield before
+                before = table.slice(0, cut)
                 rest = table.slice(cut)
                 held, rows = rest.to_batches(), rest.num_rows
-    if rows:
-        yield pa.Table.from_batches(held)
+    if rows and before is not None and 2 * rows < most:
+        before = pa.concat_tables([before, pa.Table.from_batches(held)])
+    elif rows:
+        if before is not None:
+            yield before
+        before = pa.Table.from_batches(held)
+    if before is not None:
+        yield before
+
 
+def _leaves(table: pa.Table) -> Leaves:
+    return Leaves(table.column("seq").to_numpy(), table.column("leaf").to_pylist())
 
-def _by_skeleton(table: pa.Table) -> Iterator[tuple[str, Leaves]]:
-    names = table.column("skeleton").to_numpy(zero_copy_only=False).astype(str)
-    _, seq = np.unique(table.column("seq_id").to_numpy(zero_copy_only=False).astype(str), return_inverse=True)
-    for name in np.unique(names):
-        own = np.flatnonzero(names == name)
-        yield str(name), Leaves(seq[own], table.take(own).column("leaf").to_pylist())
+
+def _packed_chunks(leafs: DataFrame, most: int) -> DataFrame:
+    """(skeleton, sequences, leaves): the leaf rows of one skeleton in one chunk of sequences, as one value."""
+    schema = pa.schema([("seq", pa.int32()), ("leaf", pa.list_(pa.string()))])
+
+    def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for table in _chunks(batches, most):
+            names = table.column("skeleton").to_numpy(zero_copy_only=False).astype(str)
+            different, seq = np.unique(table.column("seq_id").to_numpy(zero_copy_only=False).astype(str), return_inverse=True)
+            for skeleton in np.unique(names):
+                own = np.flatnonzero(names == skeleton)
+                part = pa.Table.from_arrays([pa.array(seq[own].astype(np.int32)), table.column("leaf").take(pa.array(own))], schema=schema)
+                sink = pa.BufferOutputStream()
+                with pa.ipc.new_stream(sink, schema) as writer:
+                    writer.write_table(part)
+                yield pa.RecordBatch.from_arrays([pa.array([str(skeleton)]), pa.array([len(different)], pa.int64()), pa.array([sink.getvalue().to_pybytes()], pa.binary())], ["skeleton", "sequences", "leaves"])
+
+    return leafs.mapInArrow(pack, "skeleton string, sequences long, leaves binary")
 
 
 def _partitioned(leafs: DataFrame, theta: int, total: int, together: bool = False) -> DataFrame:
     """``together``: the rows of a sequence stand side by side in one partition already; if not, they are brought
-    there, since a sequence in two chunks would be counted twice."""
+    there, since a sequence in two chunks would be counted twice.
+
+    What a chunk finds comes with its count there. A chunk that does not report a vector has fewer sequences of it
+    than the chunk's threshold, which bounds the support from above: vectors below ``theta`` even so are dropped, the
+    others are counted in the chunks that did not report them. Chunks and blocks of candidates meet by skeleton.
+    """
     if not together:
         leafs = leafs.repartition("seq_id").sortWithinPartitions("seq_id")
-    most = CHUNK_ROWS
+    chunks = _packed_chunks(leafs, CHUNK_ROWS).persist()
+    # Sequences without any occurrence are in no chunk, so the chunk's share can only be too high.
+    least = lambda n: max(1, ceil(theta * n / total - 1e-9))
+    least_of = F.greatest(F.lit(1), F.ceil(F.col("sequences") * theta / total - 1e-9))
 
     def local(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for table in _chunks(batches, most):
-            n = len(set(table.column("seq_id").to_pylist()))
-            # Sequences without any occurrence are in no chunk, so the chunk's share can only be too high.
-            least = max(1, ceil(theta * n / total - 1e-9))
-            for name, leaves in _by_skeleton(table):
-                found = list(frequent_vectors(leaves, least))
+        for batch in batches:
+            for row in batch.to_pylist():
+                found = frequent_vectors(_leaves(pa.ipc.open_stream(row["leaves"]).read_all()), least(row["sequences"]))
                 if found:
-                    yield pa.RecordBatch.from_arrays([pa.array([name] * len(found)), pa.array([list(v) for v in found], pa.list_(pa.string()))], ["skeleton", "vector"])
-
-    candidates = leafs.mapInArrow(local, "skeleton string, vector array<string>").distinct()
-    wanted: dict[str, list[tuple[str, ...]]] = {}
-    for r in candidates.toLocalIterator():  # bounded by what is frequent in some chunk
-        wanted.setdefault(r["skeleton"], []).append(tuple(r["vector"]))
+                    n = len(found)
+                    yield pa.RecordBatch.from_arrays([pa.array([row["skeleton"]] * n), pa.array([list(v) for v in found], pa.list_(pa.string())), pa.array(list(found.values()), pa.int64()), pa.array([least(row["sequences"]) - 1] * n, pa.int64())], ["skeleton", "vector", "support", "slack"])
+
+    reported = chunks.mapInArrow(local, "skeleton string, vector array<string>, support long, slack long").persist()
+    room = chunks.groupBy("skeleton").agg(F.sum(least_of - 1).cast("long").alias("room"), F.count("*").alias("chunks"))
+    summed = reported.groupBy("skeleton", "vector").agg(F.sum("support").alias("support"), F.sum("slack").alias("slack"), F.count("*").alias("seen"))
+    possible = summed.join(room, "skeleton").where(F.col("support") + F.col("room") - F.col("slack") >= theta)
+    done = possible.where("seen = chunks").select("skeleton", "vector", "support")
+    open_ = possible.where("seen < chunks").select("skeleton", "vector")
+    # One row a skeleton, and their number does not depend on the data.
+    many = F.broadcast(open_.groupBy("skeleton").agg(F.ceil(F.count("*") / VECTOR_BLOCK).alias("blocks")))
+    dealt = open_.join(many, "skeleton").withColumn("block", F.pmod(F.xxhash64("vector"), "blocks"))
+    blocks = dealt.groupBy("skeleton", "block").agg(F.collect_list("vector").alias("vectors"))  # about VECTOR_BLOCK
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for table in _chunks(batches, most):
-            for name, leaves in _by_skeleton(table):
+        for batch in batches:
+            for row in batch.to_pylist():
+                leaves = _leaves(pa.ipc.open_stream(row["leaves"]).read_all())
                 vectors, counts = [], []
-                for v in wanted.get(name, ()):
+                for v in row["vectors"]:
                     mask = np.ones(len(leaves.sequences), bool)
                     for s, c in enumerate(v):
                         if c:
                             mask = mask & leaves.slots[s][c] if c in leaves.slots[s] else np.zeros_like(mask)
-                    n = leaves.support(mask)
-                    if n:
-                        vectors.append(list(v))
+                    if n := leaves.support(mask):
+                        vectors.append(v)
                         counts.append(n)
                 if vectors:
-                    yield pa.RecordBatch.from_arrays([pa.array([name] * len(vectors)), pa.array(vectors, pa.list_(pa.string())), pa.array(counts, pa.int64())], ["skeleton", "vector", "support"])
+                    yield pa.RecordBatch.from_arrays([pa.array([row["skeleton"]] * len(vectors)), pa.array(vectors, pa.list_(pa.string())), pa.array(counts, pa.int64())], ["skeleton", "vector", "support"])
 
-    counted = leafs.mapInArrow(count, VECTORS).groupBy("skeleton", "vector").agg(F.sum("support").alias("support"))
-    return counted.where(F.col("support") >= theta)
+    counted = chunks.select("skeleton", "leaves").join(blocks, "skeleton").select("skeleton", "leaves", "vectors").mapInArrow(count, VECTORS)
+    counted = counted.groupBy("skeleton", "vector").agg(F.sum("support").alias("support")).where(F.col("support") >= theta)
+    return done.where(F.col("support") >= theta).unionByName(counted)
 
 
 def broader(vector) -> object:
@@ -343,6 +412,7 @@ def refine_any(leafs: DataFrame, theta: int, kind: str = "maximal", algorithm: s
     """(skeleton, vector, support) for any table (skeleton, seq_id, leaf): the second stage by itself, for
     patterns of other structures too. ``largest``: rows of the largest skeleton, if known. ``together``: rows of a
     sequence stand side by side."""
+    ship(leafs.sparkSession)
     if algorithm in ("backtrack", "levelwise"):
         found = _grouped(leafs, theta, algorithm)
         return found if algorithm == "backtrack" and kind == "maximal" else keep(found.distinct().groupBy("skeleton", "vector").agg(F.max("support").alias("support")), kind)
