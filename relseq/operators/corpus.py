@@ -152,3 +152,26 @@ def slot_names(types: list[str], trees: dict[str, list[str]], relations: tuple[R
 def capped_occurrences(df: DataFrame, most: int, by: list[str]) -> DataFrame:
     """At most ``most`` rows for each of ``by``; the result is marked incomplete by its caller."""
     return df.withColumn("__n", F.row_number().over(Window.partitionBy(*by).orderBy("lambda"))).where(F.col("__n") <= most).drop("__n")
+
+
+def length_cut(corpus: Corpus, share: float) -> int:
+    """The number of events that this share of sequences does not exceed (approximate above 10,000 lengths)."""
+    found = corpus.sequences.agg(F.percentile_approx("n_events", share, 10_000)).first()[0]
+    return int(found or 0)
+
+
+def drop_outliers(corpus: Corpus, share: float) -> Corpus:
+    """Without the sequences longer than ``length_cut``: the few that would make most of the occurrences."""
+    return drop_long(corpus, length_cut(corpus, share))
+
+
+def length_bands(corpus: Corpus, width: int) -> DataFrame:
+    """(band, from_events, sequences): a histogram of lengths in bands of equal width."""
+    band = F.floor((F.col("n_events") - 1) / width).cast("int")
+    return corpus.sequences.groupBy(band.alias("band")).agg(F.count("*").alias("sequences")).select("band", (F.col("band") * width + 1).alias("from_events"), "sequences")
+
+
+def event_gaps(corpus: Corpus) -> DataFrame:
+    """(seq_id, pos, day_gap): days since the event before, null for the first."""
+    rows = unpack(corpus).select("seq_id", "pos", F.col("attrs.day").alias("day"))
+    return rows.select("seq_id", "pos", (F.col("day") - F.lag("day").over(Window.partitionBy("seq_id").orderBy("pos"))).alias("day_gap"))

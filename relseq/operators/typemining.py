@@ -16,6 +16,7 @@ from pyspark.sql import functions as F
 from relseq.operators import matching, patterns
 from relseq.operators.corpus import Corpus
 from relseq.operators.matching import OCCURRENCE
+from relseq.session import ship
 
 
 @dataclass
@@ -62,6 +63,7 @@ def mine(
     are more than ``when_total_over`` in all; the result is then marked incomplete. ``accepts`` is a mining
     constraint; it is refused if it is not safe.
     """
+    ship(corpus.sequences.sparkSession)
     total = corpus.size()
     theta = patterns.threshold(min_support, total, strict)
     gapped = max_gap is not None

@@ -5,8 +5,12 @@ Events come in the long layout with an event time ``at``; the time column has to
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from relseq.operators import matching
 from relseq.operators.corpus import Corpus, dedupe, pack
@@ -48,6 +52,53 @@ def without_replays(events: DataFrame) -> DataFrame:
     return events.dropDuplicatesWithinWatermark(["event_id"])
 
 
+def late_rows(query) -> int:
+    """Rows that came after the watermark had passed them and were dropped, over the progress still known."""
+    return sum(int(op.get("numRowsDroppedByWatermark", 0)) for p in query.recentProgress for op in _plain(p).get("stateOperators", []))
+
+
+def _plain(progress) -> dict:
+    import json
+
+    return progress if isinstance(progress, dict) else json.loads(progress.json)
+
+
+def partial_matches(events: DataFrame, skeletons: list[list[str]], span_seconds: int) -> DataFrame:
+    """(user_id, skeleton, event_ids) of all occurrences of type sequences inside ``span_seconds``, as they complete.
+
+    ``events(user_id, event_id, type, at)`` with a watermark. The state of a user are the begun matches, which
+    leave once no later event can complete them; a user without events for that long is forgotten. Events of one
+    micro-batch are taken by time and id; across batches they have to come in that order.
+    """
+
+    def step(key, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        if state.hasTimedOut:
+            state.remove()
+            return
+        begun = [tuple(x) for x in state.get[0]] if state.exists else []
+        rows = pd.concat(list(batches)).sort_values(["at", "event_id"])
+        out: list[tuple[int, str, list[int]]] = []
+        last = 0.0
+        for kind, event, at in zip(rows["type"], rows["event_id"], rows["at"]):
+            last = at.timestamp()
+            begun = [b for b in begun if last - b[2] <= span_seconds]
+            for i, done, first, ids in [*begun, *((i, 0, last, ()) for i in range(len(skeletons)))]:
+                if skeletons[i][done] != kind:
+                    continue
+                ids = (*ids, int(event))
+                if done + 1 == len(skeletons[i]):
+                    out.append((key[0], " ; ".join(skeletons[i]), list(ids)))
+                else:
+                    begun.append((i, done + 1, first, ids))
+        state.update(([(i, done, first, list(ids)) for i, done, first, ids in begun],))
+        until = int((last + span_seconds) * 1000) + 1
+        state.setTimeoutTimestamp(max(until, state.getCurrentWatermarkMs() + 1))
+        yield pd.DataFrame(out, columns=["user_id", "skeleton", "event_ids"])
+
+    begun = "array<struct<skeleton:int,done:int,first:double,ids:array<long>>>"
+    return events.groupBy("user_id").applyInPandasWithState(step, "user_id long, skeleton string, event_ids array<long>", f"begun {begun}", "append", GroupStateTimeout.EventTimeTimeout)
+
+
 def with_lookup(events: DataFrame, table: DataFrame, key: str) -> DataFrame:
     """A static table (a taxonomy, a relation's outcomes) at the side of the stream."""
     return events.join(table, key, "left")

@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 from relseq import corpora
 from relseq.functions import taxonomy
 from relseq.functions.relations import oriented
-from relseq.operators import baselines, costs, matching, patterns, refine, typemining
+from relseq.operators import baselines, costs, matching, patterns, patternsets, refine, typemining
 from relseq.operators import corpus as ops
 from relseq.operators.costs import Cell
 from relseq.operators.typemining import Mined
@@ -23,6 +23,7 @@ from relseq.streaming.state import scratch
 MS_GRID = (0.045, 0.09, 0.18, 0.2252, 0.2703)
 MG_GRID = (1, 2, 3, 4, 5)
 SPAN_GRID = (10, 13, 16, 19)
+SWEEPS = ("gap", "span", "support", "size")
 KEY_RANGE = 10_000  # keys whose neighbours one window finds
 LAMBDA = lambda: F.array_join(F.transform("lambda", lambda p: p.cast("string")), ",")
 
@@ -179,7 +180,8 @@ def skeletons_ms_sweep(spark: SparkSession, d: str) -> DataFrame:
 
 def skeletons_span_sweep(spark: SparkSession, d: str) -> DataFrame:
     c = corpora.weeks(spark, d)
-    return _union([typemining.mine(c, 0.10, None, w, 3).table().groupBy("n_events").agg(F.count("*").alias("skeletons"), F.sum("occurrences").alias("occurrences")).withColumn("span", F.lit(w)) for w in SPAN_GRID])
+    cells = [(ms, w) for ms in (0.10, 0.18) for w in SPAN_GRID]
+    return _union([typemining.mine(c, ms, None, w, 3).table().groupBy("n_events").agg(F.count("*").alias("skeletons"), F.sum("occurrences").alias("occurrences")).withColumns({"ms": F.lit(ms), "span": F.lit(w)}) for ms, w in cells])
 
 
 def skeletons_orders_year(spark: SparkSession, d: str) -> DataFrame:
@@ -194,7 +196,7 @@ def skeletons_size_sweep(spark: SparkSession, d: str) -> DataFrame:
     c = corpora.sessions(spark, d)
     user, bucket = F.split("seq_id", "-")[0].cast("long"), F.split("seq_id", "-")[1].cast("long")
     parts = []
-    for tenths in range(2, 11, 4):
+    for tenths in range(1, 11):
         m = typemining.mine(ops.sample(c, tenths, user * 7 + bucket * 3), 0.10, 3, None, 3)
         parts.append(m.table().withColumn("tenths", F.lit(tenths)))
     return _union(parts)
@@ -308,8 +310,8 @@ def prefixspan_crosscheck(spark: SparkSession, d: str) -> DataFrame:
     return baselines.plain(c, 0.10).table().join(theirs, ["skeleton", "n_events"]).select("skeleton", "support", "prefixspan_support")
 
 
-def pattern_growth(spark: SparkSession, d: str) -> DataFrame:
-    found = baselines.prefix_growth(corpora.sessions(spark, d), 0.10)
+def pattern_growth(spark: SparkSession, d: str, gap: int | None = None) -> DataFrame:
+    found = baselines.prefix_growth(corpora.sessions(spark, d), 0.10, gap, 3)
     return spark.createDataFrame(sorted(found.items()), "skeleton string, support long")
 
 
@@ -402,6 +404,87 @@ def grid_relations(spark: SparkSession, d: str) -> DataFrame:
     return run_grid(spark, d, gap_sweep_cells(0.10, "relations") + gap_sweep_cells(0.18, "relations")).select("workload", "mg", "n_skeletons", "n_occurrences", "n_patterns")
 
 
+def grid(spark: SparkSession, d: str, sweep: str, kind: str, k: int) -> DataFrame:
+    """One of the published sweeps through both stages in one scenario, without its clock."""
+    cells = [c for c in all_cells(k) if c.scenario == kind and c.workload.startswith(sweep)]
+    found = run_grid(spark, d, cells, "weeks" if sweep == "span" else "sessions")
+    return found.select("workload", "ms", "mg", "span", "sample_pct", "n_skeletons", "n_occurrences", "n_patterns")
+
+
+def stage_shapes(timed: DataFrame) -> DataFrame:
+    """(workload, scenario, settings, stage1_dominates, stage2_share): which stage takes the time, from ``run_grid``."""
+    return timed.groupBy("workload", "scenario").agg(F.count("*").alias("settings"), F.sum((F.col("t_stage1") > F.col("t_stage2")).cast("long")).alias("stage1_dominates"), F.round(F.sum("t_stage2") / F.sum("t_total"), 4).alias("stage2_share"))
+
+
+# -- comparing runs, first looks, streams ----------------------------------------------------------------------
+
+
+def _rel2(spark, d, gap):
+    return two_and_more(refine.refine(mined_sessions(spark, d, 0.10, gap, 2, "relations")))
+
+
+def pattern_set_changes(spark: SparkSession, d: str) -> DataFrame:
+    """Maximal refinements at gap 1 beside those at gap 3."""
+    found = patternsets.changes(_rel2(spark, d, 1), _rel2(spark, d, 3))
+    return found.withColumn("vector", F.array_join("vector", "|"))
+
+
+def pattern_set_operations(spark: SparkSession, d: str) -> DataFrame:
+    a, b = _rel2(spark, d, 1), _rel2(spark, d, 3)
+    parts = [("union", patternsets.union(a, b)), ("intersection", patternsets.intersection(a, b)), ("difference", patternsets.difference(a, b))]
+    return _union([x.select(F.lit(name).alias("operation"), "skeleton", F.array_join("vector", "|").alias("vector"), "support") for name, x in parts])
+
+
+def approximate_item_support(spark: SparkSession, d: str) -> DataFrame:
+    """Exact supports, and whether the sketched ones are near them."""
+    leafs = refine.leaf_rows(mined_sessions(spark, d, 0.10, 3, 2))
+    near = refine.approximate_item_support(leafs).withColumnRenamed("support", "guess")
+    both = refine.item_support(leafs).join(near, ["skeleton", "slot", "concept"])
+    return two_and_more(both).select("skeleton", "slot", "concept", "support", (F.abs(F.col("guess") - F.col("support")) <= F.greatest(F.lit(2.0), 0.1 * F.col("support"))).alias("near"))
+
+
+def item_support_cube(spark: SparkSession, d: str) -> DataFrame:
+    m = mined_sessions(spark, d, 0.10, 3, 2)
+    return refine.support_cube(two_and_more(refine.leaf_rows(m)), m.total)
+
+
+def outlier_cut(spark: SparkSession, d: str) -> DataFrame:
+    """The length that 95 % of sequences do not exceed, and what a cut there leaves."""
+    c = corpora.sessions(spark, d)
+    kept = ops.drop_outliers(c, 0.95)
+    return kept.sequences.agg(F.count("*").alias("sequences"), F.sum("n_events").cast("long").alias("events")).withColumn("longest", F.lit(ops.length_cut(c, 0.95)))
+
+
+def length_bands(spark: SparkSession, d: str) -> DataFrame:
+    return ops.length_bands(corpora.sessions(spark, d), 3)
+
+
+def event_gaps(spark: SparkSession, d: str) -> DataFrame:
+    """How many days lie between neighbouring events."""
+    return ops.event_gaps(corpora.sessions(spark, d)).groupBy("day_gap").agg(F.count("*").alias("events"))
+
+
+PARTIAL = [["error", "purchase"], ["error", "view", "error"], ["click", "click"]]
+PARTIAL_SPAN = 36 * 3600
+
+
+def stream_partial_matches(spark: SparkSession, d: str) -> DataFrame:
+    """Occurrences of type sequences inside 36 hours, completed from a stream with a state for each user."""
+    events = read_table(spark, d, "events")
+    path = scratch(spark)
+    live = streams.with_time(streams.replay(spark, d, "events", events.schema), "ts").withColumnRenamed("event_type", "type")
+    found = streams.partial_matches(live.select("user_id", "event_id", "type", "at"), PARTIAL, PARTIAL_SPAN)
+    found.writeStream.format("parquet").option("path", f"{path}/out").option("checkpointLocation", f"{path}/state").trigger(availableNow=True).start().awaitTermination()
+    done = spark.read.schema("user_id long, skeleton string, event_ids array<long>").parquet(f"{path}/out")
+    return done.groupBy("skeleton").agg(F.count("*").alias("occurrences"), F.count_distinct("user_id").alias("users"))
+
+
+def extended_form(spark: SparkSession, d: str) -> DataFrame:
+    """Pairs of generalised events in successive transactions, mined in the form where events carry their ancestors."""
+    found = baselines.extended_mining(corpora.sessions(spark, d), 0.10, 2)
+    return found.where("n_items = 2 and contains(pattern, ' ; ')").select("pattern", "support")
+
+
 Query = Callable[[SparkSession, str], DataFrame]
 
 QUERIES: dict[str, Query] = {
@@ -427,6 +510,9 @@ QUERIES: dict[str, Query] = {
     "parent_lists": parent_lists,
     **{f"skeletons_k3_ms10_mg{g}": partial(skeletons, ms=0.10, gap=g) for g in MG_GRID},
     "skeletons_k4_ms18_mg3": partial(skeletons, ms=0.18, gap=3, k=4),
+    "skeletons_all_ms18_mg1": partial(skeletons, ms=0.18, gap=1, k=None),
+    "skeletons_all_ms18_mg3": partial(skeletons, ms=0.18, gap=3, k=None),
+    "skeletons_all_ms10_mg3": partial(skeletons, ms=0.10, gap=3, k=None),
     "skeletons_ms_sweep": skeletons_ms_sweep,
     "skeletons_span_sweep": skeletons_span_sweep,
     "skeletons_orders_year": skeletons_orders_year,
@@ -444,6 +530,8 @@ QUERIES: dict[str, Query] = {
     "refine_all_full_k2": partial(refined, kind="all", scenario="full", ms=0.10, gap=3, k=2),
     "refine_closed_full_k2": partial(refined, kind="closed", scenario="full", ms=0.10, gap=3, k=2),
     "refine_maximal_full_k2": partial(refined, kind="maximal", scenario="full", ms=0.10, gap=3, k=2),
+    "refine_maximal_full_k3": partial(refined, kind="maximal", scenario="full", ms=0.10, gap=3, k=3),
+    "refine_maximal_full_k3_partitioned": partial(refined, kind="maximal", scenario="full", ms=0.10, gap=3, k=3, algorithm="partitioned"),
     "refine_taxonomic_only_k2": partial(refined, kind="maximal", scenario="taxonomic", ms=0.10, gap=3, k=2),
     "example_patterns": example_patterns,
     "specialised_share": specialised_share,
@@ -456,6 +544,7 @@ QUERIES: dict[str, Query] = {
     "row_vs_sequence_support": row_vs_sequence_support,
     "prefixspan_crosscheck": prefixspan_crosscheck,
     "pattern_growth": pattern_growth,
+    "pattern_growth_mg2": partial(pattern_growth, gap=2),
     "pruning_ablation": pruning_ablation,
     "crowded_remedy": crowded_remedy,
     "long_remedy": long_remedy,
@@ -464,4 +553,14 @@ QUERIES: dict[str, Query] = {
     "complexity_bounds": complexity_bounds,
     "grid_relations": grid_relations,
     "stream_equals_batch": stream_equals_batch,
+    **{f"grid_{sweep}_{kind}_k{k}": partial(grid, sweep=sweep, kind=kind, k=k) for sweep in SWEEPS for kind, k in (("relations", 3), ("full", 2))},
+    "pattern_set_changes": pattern_set_changes,
+    "pattern_set_operations": pattern_set_operations,
+    "approximate_item_support": approximate_item_support,
+    "item_support_cube": item_support_cube,
+    "outlier_cut": outlier_cut,
+    "length_bands": length_bands,
+    "event_gaps": event_gaps,
+    "stream_partial_matches": stream_partial_matches,
+    "extended_form": extended_form,
 }

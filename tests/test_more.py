@@ -3,7 +3,7 @@ from pyspark.sql import functions as F
 
 from relseq import corpora, workloads
 from relseq.functions import relations, taxonomy
-from relseq.operators import baselines, costs, refine, typemining
+from relseq.operators import baselines, costs, matching, patterns, patternsets, refine, typemining
 from relseq.operators import corpus as ops
 from relseq.sources import tables
 from relseq.streaming import sequences as streams
@@ -19,12 +19,94 @@ def mined(spark):
 
 
 def test_matrix_layouts_agree_with_item_support(mined):
-    leafs = refine.leaf_rows(mined)
+    leafs = refine.numbered(refine.leaf_rows(mined)).persist()
     want = {(r["skeleton"], r["item_id"]): r["support"] for r in refine.vocabulary(leafs).collect()}
-    bits = refine.matrix(leafs, "bitmaps").groupBy("skeleton", "item_id").agg(F.sum(F.bitmap_count("bits")).alias("n"))
-    assert {(r["skeleton"], r["item_id"]): r["n"] for r in bits.collect()} == want
-    rows = refine.matrix(leafs, "rows").select("skeleton", "seq_id", F.explode("items").alias("i")).distinct().groupBy("skeleton", "i").count()
-    assert {(r["skeleton"], r["i"]): r["count"] for r in rows.collect()} == want
+    rows = refine.matrix(leafs, "rows").select("skeleton", "seq_id", "occurrence", F.explode("items").alias("i"))
+    by_sequence = rows.select("skeleton", "seq_id", "i").distinct().groupBy("skeleton", "i").count()
+    assert {(r["skeleton"], r["i"]): r["count"] for r in by_sequence.collect()} == want
+    bits = refine.matrix(leafs, "bitmaps").persist()
+    set_bits = bits.groupBy("skeleton", "item_id").agg(F.sum(F.bitmap_count("bits")).alias("n"))
+    by_occurrence = rows.groupBy("skeleton", "i").count()
+    assert {(r["skeleton"], r["item_id"]): r["n"] for r in set_bits.collect()} == {(r["skeleton"], r["i"]): r["count"] for r in by_occurrence.collect()}
+    # Joined bit by bit, bitmaps give the support of a vector: both concepts in one occurrence, not in one sequence.
+    names = {(r["skeleton"], r["slot"], r["concept"]): r["item_id"] for r in refine.vocabulary(leafs).collect()}
+    some = [k for k in refine.refine(mined, "all").where("skeleton = 'A ; A'").collect() if sum(c != "" for c in k["vector"]) == 2][:4]
+    assert some
+    for r in some:
+        asked = [names[("A ; A", i + 1, c)] for i, c in enumerate(r["vector"]) if c]
+        assert refine.bitmap_support(bits, leafs, "A ; A", asked) == r["support"]
+
+
+@pytest.mark.parametrize("gap", [None, 1, 3])
+def test_pattern_growth_equals_the_miner(spark, gap):
+    c = corpora.sessions(spark, SMALL)
+    want = typemining.mine(c, 0.12, gap)
+    got = baselines.prefix_growth(c, 0.12, gap)
+    assert got == {s: n for s, (n, _) in want.skeletons.items()} and max(len(patterns.parse(s)[0]) for s in got) > 3
+
+
+def test_a_gap_of_nothing_allows_nothing(spark):
+    c = corpora.sessions(spark, SMALL)
+    for strategy in ("grow", "sql"):
+        assert matching.occurrences(c, ["A ; A", "A A"], 0, strategy=strategy).count() == 0
+        assert matching.occurrences(c, ["A ; A"], None, 0, strategy=strategy).count() == 0
+
+
+@pytest.mark.parametrize("rows", [50, 700])
+def test_partitioned_refinement_in_many_chunks(spark, mined, monkeypatch, rows):
+    want = {(r["skeleton"], tuple(r["vector"])): r["support"] for r in refine.refine(mined, "all").collect()}
+    monkeypatch.setattr(refine, "CHUNK_ROWS", rows)
+    monkeypatch.setattr(refine, "VECTOR_BLOCK", 100)
+    got = {(r["skeleton"], tuple(r["vector"])): r["support"] for r in refine.refine(mined, "all", "partitioned").collect()}
+    assert got == want
+
+
+def test_sets_of_patterns(spark):
+    a = spark.createDataFrame([("s", ["x"], 3), ("s", ["y"], 4), ("t", ["x"], 5), ("s", ["w"], 2)], "skeleton string, vector array<string>, support long")
+    b = spark.createDataFrame([("s", ["x"], 3), ("s", ["y"], 6), ("s", ["z"], 1), ("s", ["w"], 1)], "skeleton string, vector array<string>, support long")
+    kinds = {(r["skeleton"], r["vector"][0]): r["change"] for r in patternsets.changes(a, b).collect()}
+    assert kinds == {("s", "x"): "same", ("s", "y"): "more", ("t", "x"): "gone", ("s", "z"): "new", ("s", "w"): "less"}
+    assert patternsets.union(a, b).count() == 5 and patternsets.intersection(a, b).count() == 3 and patternsets.difference(a, b).count() == 1
+    assert {r["support"] for r in patternsets.union(a, b).where("vector[0] = 'y'").collect()} == {6}
+
+
+def test_partial_matches_across_batches(spark, tmp_path):
+    """Matches that begin in one file and end in a later one, and none beyond the span."""
+    at = "timestamp'2024-01-01 00:00:00' + make_interval(0, 0, 0, 0, 0, 0, s)"
+    rows = [(1, 1, "F", 0), (1, 2, "A", 50), (2, 3, "F", 10), (1, 4, "F", 90), (1, 5, "A", 100), (2, 6, "A", 111), (1, 7, "A", 190)]
+    schema = "user_id long, event_id long, type string, s long"
+    for n, part in enumerate((rows[:3], rows[3:5], rows[5:])):
+        spark.createDataFrame(part, schema).selectExpr("user_id", "event_id", "type", f"{at} at").coalesce(1).write.parquet(str(tmp_path / "in" / f"part={n}"))
+    live = spark.readStream.schema("user_id long, event_id long, type string, at timestamp, part int").option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in"))
+    found = streams.partial_matches(live.withWatermark("at", "10 minutes").select("user_id", "event_id", "type", "at"), [["F", "A"], ["F", "F", "A"]], 100)
+    query = found.writeStream.format("memory").queryName("matches").option("checkpointLocation", str(tmp_path / "state")).trigger(availableNow=True).start()
+    query.awaitTermination()
+    got = sorted((r["user_id"], r["skeleton"], tuple(r["event_ids"])) for r in spark.table("matches").collect())
+    assert got == [(1, "F ; A", (1, 2)), (1, "F ; A", (1, 5)), (1, "F ; A", (4, 5)), (1, "F ; A", (4, 7)), (1, "F ; F ; A", (1, 4, 5))]
+    assert streams.late_rows(query) == 0
+
+
+def test_late_rows_are_counted(spark, tmp_path):
+    for n, seconds in enumerate(([5, 4000], [9000], [1, 2, 9100])):
+        rows = [(1, 10 * n + i, s) for i, s in enumerate(seconds)]
+        spark.createDataFrame(rows, "user_id long, event_id long, s long").selectExpr("user_id", "event_id", "timestamp'2024-01-01 00:00:00' + make_interval(0, 0, 0, 0, 0, 0, s) ts").coalesce(1).write.parquet(str(tmp_path / "in" / f"part={n}"))
+    live = spark.readStream.schema("user_id long, event_id long, ts timestamp, part int").option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in"))
+    counted = streams.with_time(live, "ts", "10 minutes").groupBy(F.window("at", "10 minutes")).count()
+    query = counted.writeStream.format("memory").queryName("late").outputMode("append").option("checkpointLocation", str(tmp_path / "state")).trigger(availableNow=True).start()
+    query.awaitTermination()
+    assert streams.late_rows(query) >= 1
+
+
+def test_stage_shapes_and_the_archive(spark, tmp_path):
+    import zipfile
+    from pathlib import Path
+
+    from relseq import session
+
+    timed = spark.createDataFrame([("gap", "full", 1.0, 3.0, 4.0), ("gap", "full", 2.0, 1.0, 3.0)], "workload string, scenario string, t_stage1 double, t_stage2 double, t_total double")
+    assert [tuple(r) for r in workloads.stage_shapes(timed).collect()] == [("gap", "full", 2, 1, round(4 / 7, 4))]
+    names = zipfile.ZipFile(session.archive(Path(session.__file__).resolve().parent.parent)).namelist()
+    assert "relseq/operators/refine.py" in names
 
 
 def test_library_miner_counts_rows(mined):
