@@ -210,7 +210,9 @@ def build(rows: DataFrame, counts: DataFrame) -> DataFrame:
         return pa.table({k: pa.array(row[k], types.get(k, pa.binary())) for k in names})
 
     dealt = rows.withColumn("dim", F.size("v")).join(counts, "dim").withColumn("shard", F.pmod(F.xxhash64("vec_id"), F.col("shards")).cast("int"))
-    return dealt.groupBy("dim", "shard").applyInArrow(make, GRAPH)
+    # A graph is minutes of work on few bytes, which must not be taken for a reason to put shards together.
+    shards = counts.agg(F.sum("shards")).first()[0] or 1
+    return dealt.repartition(2 * shards, "dim", "shard").groupBy("dim", "shard").applyInArrow(make, GRAPH)
 
 
 def _load(row: dict) -> tuple[Graph, np.ndarray, np.ndarray, np.ndarray]:
