@@ -26,6 +26,7 @@ from pyspark.sql import functions as F
 from relseq.llm import store
 from relseq.llm import text_kernels as tk
 
+BLOCK = 1 << 20
 BITS = 18
 SAMPLE = 12_000
 LEAST_DOCS = 4
@@ -109,11 +110,19 @@ def fit(grades: np.ndarray, feature: np.ndarray, ends: np.ndarray, levels: int,
     if n == 0 or len(np.unique(grades)) < 2:
         sure = int(grades[0]) if n else levels - 1
         return OrdinalModel(weights, np.where(np.arange(1, levels) <= sure, -20.0, 20.0))
-    owner = np.repeat(np.arange(n), np.diff(ends))
     common = np.bincount(feature, minlength=1 << BITS) >= LEAST_DOCS
+    used = np.flatnonzero(common)
+    number = np.zeros(1 << BITS, np.int32)
+    number[used] = np.arange(len(used))
     use = common[feature]
-    used, column = np.unique(feature[use], return_inverse=True)
-    owner = owner[use]
+    column = number[feature[use]]
+    before = np.cumsum(use, dtype=np.int32)
+    cuts = np.concatenate(([0], before))[ends]
+    del before, use
+    # Rows are gone through in blocks of about so many features, which bounds what a round needs beside them.
+    edges = [0, *(np.searchsorted(cuts, np.arange(BLOCK, cuts[-1], BLOCK)).tolist()), n]
+    blocks = [(lo, hi) for lo, hi in zip(edges, edges[1:]) if lo < hi]
+    size = np.diff(cuts)
     # Parameters: the used weights, the first threshold, logs of the steps between thresholds.
     params = np.concatenate((np.zeros(len(used)), first[:1], np.log(np.maximum(np.diff(first), 0.3))))
     m, v = np.zeros_like(params), np.zeros_like(params)
@@ -122,7 +131,7 @@ def fit(grades: np.ndarray, feature: np.ndarray, ends: np.ndarray, levels: int,
     for step in range(1, rounds + 1):
         steps = np.exp(params[k + 1 :])
         theta = params[k] + np.concatenate(([0], np.cumsum(steps)))
-        eta = np.bincount(owner, params[:k][column], n)
+        eta = np.concatenate([np.bincount(np.repeat(np.arange(hi - lo), size[lo:hi]), params[column[cuts[lo] : cuts[hi]]], hi - lo) for lo, hi in blocks])
         cdf = 1 / (1 + np.exp(np.clip(eta[:, None] - theta[None, :], -40, 40)))
         full = np.hstack((np.zeros((n, 1)), cdf, np.ones((n, 1))))
         rows = np.arange(n)
@@ -136,7 +145,10 @@ def fit(grades: np.ndarray, feature: np.ndarray, ends: np.ndarray, levels: int,
         inner = low >= 0
         np.add.at(g_theta, low[inner], (dl / p / n)[inner])
         tail = np.cumsum(g_theta[::-1])[::-1]
-        grad = np.concatenate((np.bincount(column, slope[owner], k) + penalty * params[:k], tail[:1], tail[1:] * steps))
+        by_weight = penalty * params[:k]
+        for lo, hi in blocks:
+            by_weight += np.bincount(column[cuts[lo] : cuts[hi]], np.repeat(slope[lo:hi], size[lo:hi]), k)
+        grad = np.concatenate((by_weight, tail[:1], tail[1:] * steps))
         m = 0.9 * m + 0.1 * grad
         v = 0.999 * v + 0.001 * grad * grad
         params = params - 0.05 * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.999**step)) + 1e-8)
