@@ -29,6 +29,7 @@ DATE = "2024-01-01T00:00:00Z"
 LEAST_SHARED = 100
 FILE_BYTES = 192 << 20  # of payloads, at most, unless a single one has more
 LEAST_CLASS, MOST_RECORDS = 16, 3000  # payloads up to 64 KB go 1000 to a file, each with its three records
+BROADCAST_DIGESTS = 100_000
 AGAIN = 1000  # repeated rows written from one row of the plan
 END = "\r\n\r\n"
 RECORD = "record_id string, type string, concurrent_to string, refers_to string, target string, payload_bytes long, payload_digest string, fields map<string,string>"
@@ -42,16 +43,25 @@ def revisit_plan(pages: DataFrame, least: int = LEAST_SHARED) -> DataFrame:
     keys = rows.groupBy("digest", "n", "page_id", "u").agg(F.count("*").alias("m"))
     leader = F.min(F.when(F.col("page_id").isNotNull() & (F.col("n") >= least), F.struct("page_id", "u")))
     shared = keys.groupBy("digest").agg(leader.alias("leader"), F.count("*").alias("k"), F.max("m").alias("m")).where("k > 1 or m > 1").drop("k")
+    shared = store.materialise(shared, "shared")
     joined = rows.join(shared, "digest", "left")
     once = joined.where("m is null or m = 1").withColumn("ordinal", F.lit(0).cast("long"))
+    repeated = shared.where("m > 1")
+    several = repeated.count()
+    if not several:
+        return _led(once)
     # Rows equal in everything are folded before they are exchanged, and written out again in portions.
     same = ["page_id", "u", "digest"]
-    folded = joined.where("m > 1").groupBy(*same).agg(*[F.first(c).alias(c) for c in ("url", "html", "n", "leader")], F.count("*").alias("m"))
+    pages_again = rows.join(F.broadcast(repeated) if several <= BROADCAST_DIGESTS else repeated, "digest")
+    folded = pages_again.groupBy(*same).agg(*[F.first(c).alias(c) for c in ("url", "html", "n", "leader")], F.count("*").alias("m"))
     portions = folded.withColumn("at", F.explode(F.expr(f"sequence(0L, (m - 1) div {AGAIN})"))).hint("rebalance")
     again = portions.withColumn("ordinal", F.explode(F.expr(f"sequence(at * {AGAIN}, least(m, (at + 1) * {AGAIN}) - 1)"))).drop("at")
-    every = once.unionByName(again.select(*once.columns)).drop("m")
+    return _led(once.unionByName(again.select(*once.columns)))
+
+
+def _led(every: DataFrame) -> DataFrame:
     leads = F.col("page_id").eqNullSafe(F.col("leader.page_id"))
-    return every.withColumn("first", F.when(~leads, F.col("leader.page_id"))).withColumn("first_u", F.when(~leads, F.col("leader.u"))).drop("leader")
+    return every.withColumn("first", F.when(~leads, F.col("leader.page_id"))).withColumn("first_u", F.when(~leads, F.col("leader.u"))).drop("leader", "m")
 
 
 def _record(kind: str, name, extra: list, content_type: str, block):
