@@ -524,8 +524,9 @@ def _bundle(colours: int) -> int:
     return 3 if colours <= 2 else 2 if colours <= 4 else 1 if colours <= 16 else 0
 
 
-def decode_stream(data: bytes) -> np.ndarray:
-    """The content of a lossless chunk -> height x width uint32 ARGB."""
+def steps(data: bytes):
+    """Decodes the content of a lossless chunk to height x width uint32 ARGB, leaving the entropy-coded images to the
+    caller: each is asked for as (bits, width, height, main) and expected as flat pixels, with ``bits`` moved on."""
     bits = Bits(data)
     if bits.take(8) != 0x2F:
         raise ValueError("not a lossless image")
@@ -541,16 +542,16 @@ def decode_stream(data: bytes) -> np.ndarray:
         seen.add(kind)
         if kind in (PREDICTOR, CROSS):
             size = bits.take(3) + 2
-            part = read_image(bits, _blocks(inner, size), _blocks(height, size)).reshape(-1, _blocks(inner, size))
+            part = (yield bits, _blocks(inner, size), _blocks(height, size), False).reshape(-1, _blocks(inner, size))
             undo.append((kind, inner, size, part))
         elif kind == GREEN:
             undo.append((kind, inner, 0, None))
         else:
             colours = bits.take(8) + 1
-            table = np.cumsum(_channels(read_image(bits, colours, 1)), axis=0, dtype=np.uint8).view("<u4").ravel()
+            table = np.cumsum(_channels((yield bits, colours, 1, False)), axis=0, dtype=np.uint8).view("<u4").ravel()
             undo.append((kind, inner, _bundle(colours), table))
             inner = _blocks(inner, _bundle(colours))
-    argb = read_image(bits, inner, height, main=True).reshape(height, inner)
+    argb = (yield bits, inner, height, True).reshape(height, inner)
     for kind, wide, size, part in reversed(undo):
         if kind == PALETTE:
             index = argb >> 8 & 0xFF
@@ -570,12 +571,27 @@ def decode_stream(data: bytes) -> np.ndarray:
     return argb
 
 
-def decode(data: bytes) -> np.ndarray:
-    """A file -> height x width x 4 samples: red, green, blue, alpha."""
+def content(data: bytes) -> bytes:
+    """The lossless chunk of a file."""
     if data[:4] != b"RIFF" or data[8:16] != b"WEBPVP8L":
         raise ValueError("not a simple lossless file")
-    size = struct.unpack("<I", data[16:20])[0]
-    return _channels(decode_stream(data[20 : 20 + size]))[..., [2, 1, 0, 3]]
+    return data[20 : 20 + struct.unpack("<I", data[16:20])[0]]
+
+
+def samples(argb: np.ndarray) -> np.ndarray:
+    """height x width x 4: red, green, blue, alpha."""
+    return _channels(argb)[..., [2, 1, 0, 3]]
+
+
+def decode(data: bytes) -> np.ndarray:
+    """A file -> height x width x 4 samples: red, green, blue, alpha."""
+    run = steps(content(data))
+    try:
+        asked = next(run)
+        while True:
+            asked = run.send(read_image(*asked))
+    except StopIteration as done:
+        return samples(done.value)
 
 
 def files(data: bytes):

@@ -1,9 +1,10 @@
-"""The encoder that stores media: small files at array speed.
+"""The encoder that stores media: many small files at a time, at array speed.
 
 Each image is either a palette of its colours with bundled indices, or samples less their guesses by a predictor
 (one mode a tile, chosen by entropy), with green taken off red and blue where that pays. What is left is written
 with back-references (the last place where three pixels stood in a row, as far as they agree), a colour cache
-(where that pays) and prefix codes fitted to the image. Equal pixels give equal files.
+(where that pays) and prefix codes fitted to the image. Equal pixels give equal files, whatever stands beside them:
+arrays run over all images of a batch, but nothing is shared between images.
 """
 
 from __future__ import annotations
@@ -22,158 +23,174 @@ FARTHEST = (1 << 20) - 120
 MOST_CODE_BITS, MOST_META_BITS = 15, 7
 SYMBOL_BITS = 5  # about what a symbol's code length takes in the header
 META_ORDER = np.array(webp.LENGTH_ORDER)
+BATCH_BYTES = 2 << 20  # samples encoded at a time
+GREEN_SYMBOLS, CACHE_SYMBOLS, FAR_SYMBOLS = 280, 1024, 40
+#: Parts of an image in the stream: its head, three for each of five codes, its tokens.
+PARTS = 17
+_BIG = np.int64(1) << 60
 #: n log2(n) for small n.
 _N_LOG_N = np.arange(1 << 12) * np.log2(np.maximum(np.arange(1 << 12), 1))
 
 
-class Pieces:
-    """Bit fields in order, joined as arrays at the end."""
+def _starts(sizes: np.ndarray) -> np.ndarray:
+    return np.cumsum(sizes) - sizes
 
-    def __init__(self) -> None:
-        self.done: list[tuple[np.ndarray, np.ndarray]] = []
-        self.values: list[int] = []
-        self.sizes: list[int] = []
 
-    def put(self, value: int, size: int) -> None:
-        self.values.append(value)
-        self.sizes.append(size)
+def _counted(rows: np.ndarray, values: np.ndarray, n: int, width: int) -> np.ndarray:
+    """How often each value below ``width`` stands in each of ``n`` rows."""
+    return np.bincount(rows * width + values, minlength=n * width).reshape(n, width)
 
-    def flush(self) -> None:
-        if self.values:
-            self.done.append((np.array(self.values, np.uint64), np.array(self.sizes, np.int64)))
-            self.values, self.sizes = [], []
 
-    def many(self, values: np.ndarray, sizes: np.ndarray) -> None:
-        self.flush()
-        self.done.append((values.astype(np.uint64), sizes.astype(np.int64)))
+def n_log_n(counts: np.ndarray) -> np.ndarray:
+    if counts.max(initial=0) < len(_N_LOG_N):
+        return _N_LOG_N[counts]
+    return counts * np.log2(np.maximum(counts, 1))
 
-    def bytes(self) -> bytes:
-        self.flush()
-        values, sizes = (np.concatenate(x) for x in zip(*self.done))
-        ends = np.cumsum(sizes)
-        at = ends - sizes
-        words = (at >> 5).astype(np.int64)
-        wide = values << (at & 31).astype(np.uint64)  # fields have at most 32 bits
-        count = int(ends[-1] >> 5) + 2
-        # Fields never share a bit, so sums are unions; every sum stays below 2**32 and is exact.
-        low = np.bincount(words, (wide & np.uint64(0xFFFFFFFF)).astype(float), count) + np.bincount(words + 1, (wide >> np.uint64(32)).astype(float), count)
-        return low.astype(np.uint32).astype("<u4").tobytes()[: int(ends[-1] + 7) // 8]
+
+def entropies(counts: np.ndarray) -> np.ndarray:
+    """For each row: bits that symbols with these counts take, and their codes' header."""
+    used, total = np.count_nonzero(counts, axis=1), counts.sum(axis=1)
+    return np.where(used < 2, 0.0, n_log_n(total) - n_log_n(counts).sum(axis=1) + SYMBOL_BITS * used)
 
 
-def code_lengths(counts: np.ndarray, most: int) -> np.ndarray:
-    """Lengths of a shortest prefix code, none above ``most`` bits (rare symbols are taken for less rare until so)."""
+def code_lengths(counts: np.ndarray, most: int, sizes: np.ndarray | None = None) -> np.ndarray:
+    """Lengths of shortest prefix codes, none above ``most`` bits (rare symbols are taken for less rare until so).
+    ``sizes``: the alphabets that ``counts`` holds one after the other."""
+    sizes = np.array([len(counts)]) if sizes is None else sizes
     out = np.zeros(len(counts), np.int64)
     used = np.flatnonzero(counts)
-    if len(used) < 2:
-        out[used] = 1
-        return out
-    floor = 0
-    while True:
-        weight = np.maximum(counts[used], floor)
-        order = np.argsort(weight, kind="stable")
-        depth = _depths(weight[order].tolist())
-        if depth[0] <= most:  # the lightest symbol lies deepest
-            out[used[order]] = depth
-            return out
-        floor = 2 * floor + 1 + int(weight.sum()) // (1 << most)
-
-
-def _depths(weights: list[int]) -> list[int]:
-    """Depths in a Huffman tree of sorted weights, by two queues."""
-    n = len(weights)
-    joined: list[int] = []
-    parent = [0] * (2 * n - 1)
-    leaf = inner = 0
-    for fresh in range(n, 2 * n - 1):
-        total = 0
+    by = np.repeat(np.arange(len(sizes)), sizes)[used]
+    many = np.bincount(by, minlength=len(sizes))
+    out[used] = 1
+    floor, todo = np.zeros(len(sizes), np.int64), many >= 2
+    while todo.any():
+        pick = todo[by]
+        symbol, code = used[pick], by[pick]
+        weight = np.maximum(counts[symbol], floor[code])
+        order = np.argsort(code << 32 | weight, kind="stable")
+        weight, each = weight[order], np.flatnonzero(todo)
+        depth, start = _depths(weight, many[each]), _starts(many[each])
+        out[symbol[order]] = depth
+        floor[each] = 2 * floor[each] + 1 + (np.add.reduceat(weight, start) >> most)
+        todo[each[depth[start] <= most]] = False  # the lightest symbol lies deepest
+    return out
+
+
+def _depths(weights: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """Depths in Huffman trees of sorted weights, two or more each. Trees grow side by side, each by two queues
+    (leaves, and inner nodes in the order they were made); larger trees come first, so those not done are a prefix."""
+    rank = np.argsort(-sizes, kind="stable")
+    m = sizes[rank]
+    lane, within = np.repeat(np.arange(len(m)), m), np.arange(m.sum()) - np.repeat(_starts(m), m)
+    source = _starts(sizes)[rank][lane] + within
+    low, node = _starts(m + 1), 2 * _starts(m)
+    leaves, inner = np.full(int((m + 1).sum()), _BIG + 1), np.full(int((m + 1).sum()), _BIG)
+    leaves[low[lane] + within] = weights[source]
+    parent = np.zeros(int(2 * m.sum()), np.int64)
+    leaf, made = low.copy(), low.copy()
+    to_leaf, to_inner = node - low, node + m - low
+    joins = np.bincount(m - 1, minlength=int(m[0]))
+    active = len(m) - np.cumsum(joins)  # trees with more joins than so many
+    for step in range(int(m[0]) - 1):
+        k = int(active[step])
+        a, b, total, fresh = leaf[:k], made[:k], 0, node[:k] + m[:k] + step
         for _ in range(2):
-            if leaf < n and (inner >= len(joined) or weights[leaf] <= joined[inner]):
-                total += weights[leaf]
-                parent[leaf] = fresh
-                leaf += 1
-            else:
-                total += joined[inner]
-                parent[n + inner] = fresh
-                inner += 1
-        joined.append(total)
-    depth = [0] * (2 * n - 1)
-    for i in range(2 * n - 3, -1, -1):
-        depth[i] = depth[parent[i]] + 1
-    return depth[:n]
-
-
-def bit_codes(lengths: np.ndarray) -> np.ndarray:
-    """Canonical codes, as they stand in the stream (first bit lowest)."""
+            x, y = leaves[a], inner[b]
+            first = x <= y
+            total = total + np.minimum(x, y)
+            parent[np.where(first, a + to_leaf[:k], b + to_inner[:k])] = fresh
+            a += first
+            b += ~first
+        inner[low[:k] + step] = total
+    depth, root = np.zeros(len(parent), np.int64), node + 2 * m - 2
+    for step in range(1, 2 * int(m[0]) - 1):
+        at = root[: int(active[(step - 1) >> 1])] - step
+        depth[at] = depth[parent[at]] + 1
+    out = np.empty(len(weights), np.int64)
+    out[source] = depth[node[lane] + within]
+    return out
+
+
+def bit_codes(lengths: np.ndarray, owner: np.ndarray) -> np.ndarray:
+    """Canonical codes, as they stand in the stream (first bit lowest); codes of one symbol have no lengths here."""
     used = np.flatnonzero(lengths)
     out = np.zeros(len(lengths), np.int64)
-    if len(used) > 1:
-        used = used[np.argsort(lengths[used], kind="stable")]
-        span = 1 << (MOST_CODE_BITS - lengths[used])
-        out[used] = webp.REVERSED_BITS[np.cumsum(span) - span]
+    used = used[np.argsort(owner[used] << 4 | lengths[used], kind="stable")]
+    span = 1 << (MOST_CODE_BITS - lengths[used])
+    # The spans of a code fill all of 15 bits, so the next one begins at 0 again.
+    out[used] = webp.REVERSED_BITS[_starts(span) & ((1 << MOST_CODE_BITS) - 1)]
     return out
 
 
-def write_code(out: Pieces, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """The header of a code for ``counts``; returns codes and how many bits each takes."""
+def write_codes(counts: np.ndarray, sizes: np.ndarray):
+    """Codes for alphabets one after the other: codes and how many bits each takes, and the headers' fields as
+    (code, part, value, bits)."""
+    n = len(sizes)
+    owner, start = np.repeat(np.arange(n), sizes), _starts(sizes)
     used = np.flatnonzero(counts)
-    bits = np.zeros(len(counts), np.int64)
-    if len(used) <= 2 and (not len(used) or used[-1] < 256):
-        out.put(1, 1)
-        out.put(int(len(used) == 2), 1)
-        out.put(1, 1)
-        for symbol in used.tolist() or [0]:
-            out.put(symbol, 8)
-        if len(used) == 2:
-            bits[used] = 1
-        return bit_codes(bits), bits
-    lengths = code_lengths(counts, MOST_CODE_BITS)
-    symbol, extra, extra_bits = _runs(lengths)
-    meta = code_lengths(np.bincount(symbol, minlength=19), MOST_META_BITS)
-    listed = max(4, 1 + int(np.flatnonzero(meta[META_ORDER])[-1]))
-    out.put(0, 1)
-    out.put(listed - 4, 4)
-    out.many(meta[META_ORDER[:listed]], np.full(listed, 3))
-    out.put(0, 1)  # lengths are given for the whole alphabet
-    meta_bits = meta if np.count_nonzero(meta) > 1 else np.zeros(19, np.int64)
-    # A code of at most 7 bits and its extra bits (at most 7) are one field.
-    out.many(bit_codes(meta)[symbol] | extra << meta_bits[symbol], meta_bits[symbol] + extra_bits)
-    if len(used) > 1:
-        bits = lengths
-    return bit_codes(bits), bits
-
-
-def _runs(lengths: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(symbol, extra, bits of extra): code lengths with runs written as repeats."""
-    starts = np.flatnonzero(np.diff(lengths, prepend=-1))
-    size = np.diff(starts, append=len(lengths))
+    many = np.bincount(owner[used], minlength=n)
+    ends = np.cumsum(many)
+    padded = np.append(used, 0)
+    lowest = np.where(many > 0, padded[np.minimum(ends - many, len(used))] - start, 0)
+    highest = np.where(many > 0, padded[ends - 1] - start, 0)
+    lengths = code_lengths(counts, MOST_CODE_BITS, sizes)
+    bits = np.where(many[owner] > 1, lengths, 0)
+    short = (many <= 2) & (highest < 256)
+    two = many == 2
+    each = np.flatnonzero(short)
+    fields = [(each, 0, 5 | two[each] << 1 | lowest[each] << 3 | np.where(two, highest, 0)[each] << 11, 11 + 8 * two[each])]
+    long = np.flatnonzero(~short)
+    if len(long):
+        pick = ~short[owner]
+        number = np.cumsum(~short) - 1
+        symbol, extra, extra_bits, code = _runs(lengths[pick], number[owner[pick]])
+        k = len(long)
+        meta = code_lengths(_counted(code, symbol, k, 19).ravel(), MOST_META_BITS, np.full(k, 19))
+        meta_bits = np.where(np.repeat(np.count_nonzero(meta.reshape(k, 19), axis=1) > 1, 19), meta, 0)
+        meta_codes = bit_codes(meta_bits, np.repeat(np.arange(k), 19))
+        ordered = meta.reshape(k, 19)[:, META_ORDER]
+        listed = np.maximum(4, 19 - np.argmax(ordered[:, ::-1] > 0, axis=1))
+        fields.append((long, 0, (listed - 4) << 1, np.full(k, 5)))
+        # After the lengths' own lengths, a bit that says they are given for the whole alphabet.
+        ordered = np.append(ordered, np.zeros((k, 1), np.int64), axis=1)
+        taken = np.append(np.where(np.arange(19) < listed[:, None], 3, 0), np.ones((k, 1), np.int64), axis=1)
+        fields.append((np.repeat(long, 20), 1, ordered.ravel(), taken.ravel()))
+        at = code * 19 + symbol
+        fields.append((long[code], 2, meta_codes[at] | extra << meta_bits[at], meta_bits[at] + extra_bits))
+    return bit_codes(bits, owner), bits, fields
+
+
+def _runs(lengths: np.ndarray, owner: np.ndarray):
+    """(symbol, extra, bits of extra, owner): code lengths with runs written as repeats."""
+    change = np.ones(len(lengths), bool)
+    change[1:] = (lengths[1:] != lengths[:-1]) | (owner[1:] != owner[:-1])
+    starts = np.flatnonzero(change)
+    size = np.append(starts[1:], len(lengths)) - starts
     value = lengths[starts]
     some = value > 0
     # A run is its value (unless 0), then the longest repeats, then a shorter one or single values.
-    most = np.where(some, 6, 138)
-    whole, rest = np.divmod(size - some, most)
+    whole, rest = np.divmod(size - some, np.where(some, 6, 138))
     one = rest >= 3
-    again = np.where(some, 16, np.where(rest > 10, 18, 17))
-    again_bits = np.where(some, 2, np.where(rest > 10, 7, 3))
-    again_extra = rest - np.where(some | (rest <= 10), 3, 11)
-    zero = np.zeros(len(value), np.int64)
+    big = ~some & (rest > 10)
     count = np.stack((some, whole, np.where(one, 1, rest)), axis=1).ravel()
-    symbol = np.stack((value, np.where(some, 16, 18), np.where(one, again, value)), axis=1).ravel()
-    extra = np.stack((zero, np.where(some, 3, 127), np.where(one, again_extra, 0)), axis=1).ravel()
-    bits = np.stack((zero, np.where(some, 2, 7), np.where(one, again_bits, 0)), axis=1).ravel()
-    return np.repeat(symbol, count), np.repeat(extra, count), np.repeat(bits, count)
+    zero = np.zeros(len(value), np.int64)
+    symbol = np.stack((value, np.where(some, 16, 18), np.where(one, np.where(some, 16, np.where(big, 18, 17)), value)), axis=1).ravel()
+    extra = np.stack((zero, np.where(some, 3, 127), np.where(one, rest - np.where(big, 11, 3), 0)), axis=1).ravel()
+    bits = np.stack((zero, np.where(some, 2, 7), np.where(one, np.where(some, 2, np.where(big, 7, 3)), 0)), axis=1).ravel()
+    return np.repeat(symbol, count), np.repeat(extra, count), np.repeat(bits, count), np.repeat(np.repeat(owner[starts], 3), count)
 
 
 def numbers(values: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(symbol, extra, bits of extra) of lengths or distance codes."""
     v = values - 1
-    top = np.frexp(np.maximum(v, 1))[1] - 1
+    top = np.frexp(np.maximum(v, 1))[1].astype(np.int64) - 1
     small = values <= 4
     up = np.maximum(top - 1, 0)
     half = v >> up & 1
     return np.where(small, v, 2 * top + half), np.where(small, 0, v & ((1 << up) - 1)), np.where(small, 0, up)
 
 
-@lru_cache(8)
+@lru_cache(512)
 def near_codes(width: int) -> np.ndarray:
     """Short code of each near distance in an image of this width, 0 where there is none."""
     out = np.zeros(8 * width + 9, np.int64)
@@ -184,7 +201,7 @@ def near_codes(width: int) -> np.ndarray:
     return out
 
 
-def copies(flat: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def copies(flat: np.ndarray, image: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(place, length, distance) of the back-references to write, first come first served."""
     none = np.zeros(0, np.int64)
     n = len(flat) - (LEAST_COPY - 1)
@@ -192,17 +209,21 @@ def copies(flat: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         return none, none, none
     wide = flat.astype(np.uint64)
     key = (wide[:n] * np.uint64(0x9E3779B97F4A7C15) + wide[1 : n + 1]) * np.uint64(0xC2B2AE3D27D4EB4F) + wide[2 : n + 2]
+    key = key * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(24)
+    key |= image[:n].astype(np.uint64) << np.uint64(40)
+    places = np.flatnonzero(image[:n] == image[2:])  # three pixels of one image
+    key = key[places]
     order = np.argsort(key, kind="stable")
     again = np.flatnonzero(key[order[1:]] == key[order[:-1]])
     if not len(again):
         return none, none, none
-    far = np.zeros(n, np.int64)
-    now, was = order[again + 1], order[again]
+    far = np.zeros(len(flat), np.int64)
+    now, was = places[order[again + 1]], places[order[again]]
     same = (flat[now] == flat[was]) & (flat[now + 1] == flat[was + 1]) & (flat[now + 2] == flat[was + 2]) & (now - was <= FARTHEST)
     far[now[same]] = (now - was)[same]
-    # Where the distance stays the same the copy goes on.
+    # Where the distance stays the same the copy goes on; an image's last two places have none.
     starts = np.flatnonzero(np.diff(far, prepend=0))
-    ends = np.append(starts[1:], n)
+    ends = np.append(starts[1:], len(far))
     held = far[starts] > 0
     out, at = [], 0
     for lo, hi, d in zip(starts[held].tolist(), ends[held].tolist(), far[starts[held]].tolist()):
@@ -217,159 +238,215 @@ def copies(flat: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return tuple(np.array(out, np.int64).reshape(-1, 3).T)
 
 
-def n_log_n(counts: np.ndarray) -> np.ndarray:
-    if counts.max(initial=0) < len(_N_LOG_N):
-        return _N_LOG_N[counts]
-    return counts * np.log2(np.maximum(counts, 1))
-
-
-def entropy(counts: np.ndarray) -> float:
-    """Bits that symbols with these counts take, and their codes' header."""
-    used = np.count_nonzero(counts)
-    if used < 2:
-        return 0.0
-    total = float(counts.sum())
-    return total * float(np.log2(total)) - float(n_log_n(counts).sum()) + SYMBOL_BITS * used
-
-
-def write_pixels(out: Pieces, argb: np.ndarray, main: bool = False) -> None:
-    """An entropy-coded image with one group of codes."""
-    width, flat = argb.shape[1], np.ascontiguousarray(argb).ravel()
+def write_images(images: list[tuple[int, np.ndarray]], heads: list[list[tuple[int, int]]], file_of: np.ndarray) -> list[bytes]:
+    """The streams of files whose images are given in order as (width, ARGB pixels); each image has one group of codes.
+    ``heads``: what stands before an image, as (value, bits); every file's second image is its main one."""
+    n = len(images)
+    # In an image of one colour every code has one symbol, and pixels take no bits.
+    kept = [flat[:1] if (flat == flat[0]).all() else flat for _, flat in images]
+    sizes = np.array([len(k) for k in kept])
+    flat, image = np.concatenate(kept), np.repeat(np.arange(n), sizes)
     channels = np.ascontiguousarray(flat, "<u4").view(np.uint8).reshape(-1, 4)
-    if (flat == flat[0]).all():  # every code has one symbol, and pixels take no bits
-        out.put(0, 2 if main else 1)
-        for value in (*channels[0, [1, 2, 0, 3]].tolist(), 0):
-            out.put(0b101 | value << 3, 11)
-        return
-    begin, size, distance = copies(flat)
-    fresh = np.ones(len(flat), bool)
-    if len(begin):
-        edge = np.zeros(len(flat) + 1, np.int64)
-        edge[begin] += 1
-        edge[begin + size] -= 1
-        fresh = np.cumsum(edge[:-1]) == 0
-    literal = np.flatnonzero(fresh)
+    begin, size, distance = copies(flat, image)
+    edge = np.zeros(len(flat) + 1, np.int64)
+    edge[begin] += 1
+    edge[begin + size] -= 1
+    literal = np.flatnonzero(np.cumsum(edge[:-1]) == 0)
     size_symbol, size_extra, size_bits = numbers(size)
-    near = near_codes(width)
-    short = near[np.minimum(distance, len(near) - 1)] * (distance < len(near))
+    copy_of, short = image[begin], np.zeros(len(begin), np.int64)
+    wide = np.array([w for w, _ in images])[copy_of]
+    for width in np.unique(wide).tolist():
+        near, own = near_codes(width), wide == width
+        d = distance[own]
+        short[own] = near[np.minimum(d, len(near) - 1)] * (d < len(near))
     far_symbol, far_extra, far_bits = numbers(np.where(short > 0, short, distance + 120))
 
     # Literals and copies in order; a cached pixel is a literal with its place in the cache for a symbol.
     place = np.concatenate((literal, begin))
     order = np.argsort(place, kind="stable")
-    copied = (np.arange(len(place)) >= len(literal))[order]
-    of_literal = np.flatnonzero(~copied)
-    pixels = channels[literal]
-    lengths_of = [np.bincount(size_symbol + 256, minlength=280)]
-    best = (0, np.zeros(len(literal), bool), None)
-    plain = entropy(np.bincount(pixels[:, 1], minlength=280) + lengths_of[0]) + sum(entropy(np.bincount(pixels[:, c])) for c in (2, 0, 3))
-    cache_bits = int(np.clip(len(flat).bit_length() - 3, 1, 10))
-    slot = (flat * np.uint32(webp.CACHE_FACTOR)) >> np.uint32(32 - cache_bits)
-    by_slot = np.argsort(slot, kind="stable")
+    rank = np.empty(len(place), np.int64)
+    rank[order] = np.arange(len(place))
+    token_of = image[place[order]]
+    pixels, of = channels[literal].astype(np.int64), image[literal]
+    lengths = _counted(copy_of, size_symbol + 256, n, GREEN_SYMBOLS)
+    plain = entropies(_counted(of, pixels[:, 1], n, GREEN_SYMBOLS) + lengths) + sum(entropies(_counted(of, pixels[:, c], n, 256)) for c in (2, 0, 3))
+    cache_bits = np.clip(np.frexp(sizes)[1] - 3, 1, 10)
+    slot = (flat * np.uint32(webp.CACHE_FACTOR)) >> (32 - cache_bits).astype(np.uint32)[image]
+    key = image.astype(np.uint64) << np.uint64(43) | slot.astype(np.uint64) << np.uint64(32) | np.arange(len(flat), dtype=np.uint64)
+    key.sort()
+    by_slot = (key & np.uint64(0xFFFFFFFF)).astype(np.int64)
+    key >>= np.uint64(32)
     known = np.zeros(len(flat), bool)
-    known[by_slot[1:]] = (slot[by_slot[1:]] == slot[by_slot[:-1]]) & (flat[by_slot[1:]] == flat[by_slot[:-1]])
-    hit = known[literal]
-    if np.count_nonzero(hit) > len(hit) >> 6:
-        left = pixels[~hit]
-        counts = np.bincount(left[:, 1], minlength=280) + lengths_of[0]
-        with_cache = entropy(np.concatenate((counts, np.bincount(slot[literal[hit]])))) + sum(entropy(np.bincount(left[:, c])) for c in (2, 0, 3))
-        if with_cache < plain:
-            best = (cache_bits, hit, slot[literal])
-    cache_bits, hit, index = best
-
-    out.put(int(cache_bits > 0), 1)
-    if cache_bits:
-        out.put(cache_bits, 4)
-    if main:
-        out.put(0, 1)
-    first = pixels[:, 1].astype(np.int64)
-    if cache_bits:
-        first = np.where(hit, 280 + index.astype(np.int64), first)
-    left = pixels[~hit]
-    counts = [np.bincount(first, minlength=280 + (1 << cache_bits if cache_bits else 0))]
-    counts[0][:280] += lengths_of[0]
-    counts += [np.bincount(left[:, c], minlength=256) for c in (2, 0, 3)]
-    counts.append(np.bincount(far_symbol, minlength=40))
-    codes = [write_code(out, c) for c in counts]
-
-    values, sizes = np.zeros((len(place), 4), np.int64), np.zeros((len(place), 4), np.int64)
-    values[of_literal, 0], sizes[of_literal, 0] = codes[0][0][first], codes[0][1][first]
-    own = of_literal[~hit]
-    for i, c in ((1, 2), (2, 0), (3, 3)):
-        values[own, i], sizes[own, i] = codes[i][0][left[:, c]], codes[i][1][left[:, c]]
-    rows = np.flatnonzero(copied)
-    values[rows, 0], sizes[rows, 0] = codes[0][0][size_symbol + 256], codes[0][1][size_symbol + 256]
-    values[rows, 1], sizes[rows, 1] = size_extra, size_bits
-    values[rows, 2], sizes[rows, 2] = codes[4][0][far_symbol], codes[4][1][far_symbol]
-    values[rows, 3], sizes[rows, 3] = far_extra, far_bits
-    out.many(values.ravel(), sizes.ravel())
-
-
-def choose_modes(rows: np.ndarray) -> np.ndarray:
-    """The predictor's mode for each tile: the one whose residuals have the least entropy."""
-    height, width, _ = rows.shape
-    down, across = webp._blocks(height, TILE_BITS), webp._blocks(width, TILE_BITS)
-    if height < 2 or width < 2:
-        return np.zeros((down, across), np.int64)
-    around = webp.neighbours(rows[..., :3])
-    tile = (np.arange(1, height)[:, None] >> TILE_BITS) * across + (np.arange(1, width)[None, :] >> TILE_BITS)
-    base = (tile << 8).ravel()[:, None]
+    known[by_slot[1:]] = (key[1:] == key[:-1]) & (flat[by_slot[1:]] == flat[by_slot[:-1]])
+    hit, index = known[literal], slot[literal].astype(np.int64)
+    left, left_of = pixels[~hit], of[~hit]
+    with_cache = entropies(np.append(_counted(left_of, left[:, 1], n, GREEN_SYMBOLS) + lengths, _counted(of[hit], index[hit], n, CACHE_SYMBOLS), axis=1))
+    with_cache += sum(entropies(_counted(left_of, left[:, c], n, 256)) for c in (2, 0, 3))
+    cached = (np.bincount(of[hit], minlength=n) > np.bincount(of, minlength=n) >> 6) & (with_cache < plain)
+    hit &= cached[of]
+    left, left_of = pixels[~hit], of[~hit]
+
+    alphabets = np.tile(np.array([GREEN_SYMBOLS, 256, 256, 256, FAR_SYMBOLS]), (n, 1))
+    alphabets[:, 0] += np.where(cached, 1 << cache_bits, 0)
+    base = _starts(alphabets.ravel()).reshape(n, 5)
+    first = base[of, 0] + np.where(hit, GREEN_SYMBOLS + index, pixels[:, 1])
+    others = [base[left_of, i] + left[:, c] for i, c in ((1, 2), (2, 0), (3, 3))]
+    size_at, far_at = base[copy_of, 0] + 256 + size_symbol, base[copy_of, 4] + far_symbol
+    counts = np.bincount(np.concatenate((first, *others, size_at, far_at)), minlength=int(alphabets.sum()))
+    code, bits, fields = write_codes(counts, alphabets.ravel())
+
+    # A token is two fields: green and red, blue and alpha; or a copy's length and its distance.
+    values, taken = np.zeros((len(place), 2), np.int64), np.zeros((len(place), 2), np.int64)
+    by_literal, by_copy = rank[: len(literal)], rank[len(literal) :]
+    values[by_literal, 0], taken[by_literal, 0] = code[first], bits[first]
+    own = by_literal[~hit]
+    red, blue, alpha = others
+    values[own, 0] |= code[red] << taken[own, 0]
+    taken[own, 0] += bits[red]
+    values[own, 1], taken[own, 1] = code[blue] | code[alpha] << bits[blue], bits[blue] + bits[alpha]
+    values[by_copy, 0], taken[by_copy, 0] = code[size_at] | size_extra << bits[size_at], bits[size_at] + size_bits
+    values[by_copy, 1], taken[by_copy, 1] = code[far_at] | far_extra << bits[far_at], bits[far_at] + far_bits
+
+    main = np.append(file_of[1:] != file_of[:-1], True)
+    for i, head in enumerate(heads):
+        head.append((int(cached[i]) | int(cache_bits[i]) << 1, 5) if cached[i] else (0, 1))
+        if main[i]:
+            head.append((0, 1))
+    head_fields = np.array([(i, value, size) for i, head in enumerate(heads) for value, size in head])
+    groups = [(head_fields[:, 0] * PARTS, head_fields[:, 1], head_fields[:, 2])]
+    groups += [(c // 5 * PARTS + 1 + 3 * (c % 5) + part, value, size) for c, part, value, size in fields]
+    groups.append((np.repeat(token_of, 2) * PARTS + PARTS - 1, values.ravel(), taken.ravel()))
+    return _join(groups, np.repeat(file_of, PARTS))
+
+
+def _join(groups: list[tuple[np.ndarray, np.ndarray, np.ndarray]], file_of: np.ndarray) -> list[bytes]:
+    """Fields as bytes. A group is (part, value, bits), ordered by part; ``file_of`` gives each part's file."""
+    parts = len(file_of)
+    each = [np.bincount(part, size, parts).astype(np.int64) for part, _, size in groups]
+    bits = sum(each)
+    total = np.bincount(file_of, bits).astype(np.int64)
+    words = (total >> 5) + 2
+    first = _starts(words)
+    start = 32 * first[file_of] + _starts(bits) - _starts(total)[file_of]
+    out = np.zeros(int(words.sum()))
+    for (part, value, size), own in zip(groups, each):
+        at = _starts(size) + (start - _starts(own))[part]
+        shifted = value.astype(np.uint64) << (at & 31).astype(np.uint64)  # fields have at most 33 bits
+        word = at >> 5
+        # Fields never share a bit, so sums are unions; every sum stays below 2**32 and is exact.
+        out += np.bincount(word, (shifted & np.uint64(0xFFFFFFFF)).astype(float), len(out))
+        out += np.bincount(word + 1, (shifted >> np.uint64(32)).astype(float), len(out))
+    data = out.astype(np.uint32).astype("<u4").tobytes()
+    return [data[4 * a : 4 * a + (b + 7) // 8] for a, b in zip(first.tolist(), total.tolist())]
+
+
+def _around(rows: np.ndarray, inner: np.ndarray):
+    """Neighbours as ``webp.neighbours`` gives them, for the rows ``inner``."""
+    above, own = rows[inner - 1].astype(np.int16), rows[inner].astype(np.int16)
+    return own[:, :-1], above[:, 1:], np.concatenate((above[:, 2:], own[:, :1]), axis=1), above[:, :-1]
+
+
+def choose_modes(rows: np.ndarray, inner: np.ndarray, tile: np.ndarray, tiles: int) -> np.ndarray:
+    """The predictor's mode for each tile: the one whose residuals have the least entropy. ``inner``: rows that have
+    one above them; ``tile``: the tile of each of their pixels but the first."""
+    if not tile.size:
+        return np.zeros(tiles, np.int64)
+    around, own, base = _around(rows[..., :3], inner), rows[inner, 1:, :3], (tile << 8)[..., None]
     costs = []
     for mode in MODES:
         guess = webp.predictions(mode, *around).astype(np.uint8) if mode else np.uint8(0)
-        rest = (rows[1:, 1:, :3] - guess).reshape(-1, 3)
-        counts = np.bincount((base + rest).ravel(), minlength=down * across << 8).reshape(-1, 256)
+        counts = np.bincount((base + (own - guess)).ravel(), minlength=tiles << 8).reshape(-1, 256)
         costs.append(-n_log_n(counts).sum(axis=1))
-    return np.array(MODES)[np.argmin(costs, axis=0)].reshape(down, across)
+    return np.array(MODES)[np.argmin(costs, axis=0)]
+
+
+def residuals(rows: np.ndarray, top: np.ndarray, inner: np.ndarray, each: np.ndarray) -> np.ndarray:
+    """Pixels less their guesses; ``top``: rows with none above, ``each``: modes of the inner rows' pixels."""
+    out = rows.copy()
+    out[top, 1:] = rows[top, 1:] - rows[top, :-1]
+    out[top, 0] = rows[top, 0] - webp.BLACK.astype(np.uint8)
+    out[inner, 0] = rows[inner, 0] - rows[inner - 1, 0]
+    for mode in np.unique(each).tolist():
+        here = (each == mode).any(axis=1)
+        line = inner[here]
+        guess = webp.predictions(mode, *_around(rows, line)).astype(np.uint8)
+        out[line, 1:] = np.where((each[here] == mode)[..., None], rows[line, 1:] - guess, out[line, 1:])
+    return out
 
 
-def _of_channels(rows: np.ndarray) -> float:
-    return sum(entropy(np.bincount(rows[..., c].ravel(), minlength=256)) for c in range(3))
+def _of_channels(rows: np.ndarray, owner: np.ndarray, n: int) -> np.ndarray:
+    """Bits of each owner's blue, green and red samples."""
+    at = ((owner * 3)[:, None] + np.arange(3)) << 8
+    counts = np.bincount((at.reshape(len(rows), *[1] * (rows.ndim - 2), 3) + rows[..., :3]).ravel(), minlength=n * 768)
+    return entropies(counts.reshape(n * 3, 256)).reshape(n, 3).sum(axis=1)
 
 
 def encode(rgb: np.ndarray) -> bytes:
     """height x width x 3 samples -> a file."""
-    height, width, _ = rgb.shape
-    rows = np.empty((height, width, 4), np.uint8)
-    rows[..., :3], rows[..., 3] = rgb[..., ::-1], 255
+    return encode_many([rgb])[0]
+
+
+def encode_many(pictures: list[np.ndarray]) -> list[bytes]:
+    """A file for each picture of height x width x 3 samples."""
+    out = [b""] * len(pictures)
+    widths: dict[int, list[int]] = {}
+    for i, picture in enumerate(pictures):
+        widths.setdefault(picture.shape[1], []).append(i)
+    for group in widths.values():
+        held, size = [], 0
+        for i in [*group, None]:
+            if held and (i is None or size + pictures[i].size > BATCH_BYTES):
+                for j, data in zip(held, _encode([pictures[j] for j in held])):
+                    out[j] = data
+                held, size = [], 0
+            if i is not None:
+                held.append(i)
+                size += pictures[i].size
+    return out
+
+
+def _encode(pictures: list[np.ndarray]) -> list[bytes]:
+    """Files of pictures of one width."""
+    n, width = len(pictures), pictures[0].shape[1]
+    heights = np.array([len(p) for p in pictures])
+    first, owner = _starts(heights), np.repeat(np.arange(n), heights)
+    rows = np.empty((len(owner), width, 4), np.uint8)
+    rows[..., :3], rows[..., 3] = np.concatenate(pictures)[..., ::-1], 255
+    y = np.arange(len(owner)) - first[owner]
+    across = webp._blocks(width, TILE_BITS)
+    tiles = webp._blocks(heights, TILE_BITS) * across
+    tile_at, inner = _starts(tiles), np.flatnonzero(y)
+    tile = (tile_at[owner] + (y >> TILE_BITS) * across)[inner][:, None] + (np.arange(1, width) >> TILE_BITS)
+    modes = choose_modes(rows, inner, tile, int(tiles.sum()))
+    rest = residuals(rows, first, inner, modes[tile])
+    off = rest.copy()
+    off[..., 0] -= rest[..., 1]
+    off[..., 2] -= rest[..., 1]
+    plain = _of_channels(rest, owner, n)
+    green = _of_channels(off, owner, n) < plain
+    body = np.where(green[owner][:, None, None], off, rest).view("<u4")[..., 0].reshape(-1)
+
     argb = rows.view("<u4")[..., 0]
-    out = Pieces()
-    for value, size in ((0x2F, 8), (width - 1, 14), (height - 1, 14), (0, 1), (0, 3)):
-        out.put(value, size)
-    modes = choose_modes(rows)
-    rest = webp.residuals(rows, modes, TILE_BITS)
-    table = np.unique(argb.ravel()[:4096])
-    if len(table) <= 256 and argb.size > 4096:
-        table = np.unique(argb)
-    if len(table) <= 256:
-        deltas = np.diff(table.view(np.uint8).reshape(-1, 4), axis=0, prepend=np.zeros((1, 4), np.uint8))
-        index = np.searchsorted(table, argb)
-        if _of_channels(deltas) + entropy(np.bincount(index.ravel())) < _of_channels(rest):
-            return _palette(out, table, deltas, index)
-    out.put(1, 1)
-    out.put(webp.PREDICTOR, 2)
-    out.put(TILE_BITS - 2, 3)
-    write_pixels(out, (modes << 8).astype(np.uint32) | np.uint32(0xFF000000))
-    off = webp.subtract_green(rest, False)
-    if _of_channels(off) < _of_channels(rest):
-        out.put(1, 1)
-        out.put(webp.GREEN, 2)
-        rest = off
-    out.put(0, 1)
-    write_pixels(out, np.ascontiguousarray(rest).view("<u4")[..., 0], True)
-    return webp._file(out.bytes())
-
-
-def _palette(out: Pieces, table: np.ndarray, deltas: np.ndarray, index: np.ndarray) -> bytes:
-    height, width = index.shape
-    out.put(1, 1)
-    out.put(webp.PALETTE, 2)
-    out.put(len(table) - 1, 8)
-    write_pixels(out, np.ascontiguousarray(deltas).view("<u4").reshape(1, -1))
-    fold = webp._bundle(len(table))
-    wide = webp._blocks(width, fold)
-    index = np.pad(index, ((0, 0), (0, (wide << fold) - width))).reshape(height, wide, 1 << fold)
-    packed = (index << (np.arange(1 << fold) * (8 >> fold))).sum(axis=2).astype(np.uint32)
-    out.put(0, 1)
-    write_pixels(out, packed << np.uint32(8) | np.uint32(0xFF000000), True)
-    return webp._file(out.bytes())
+    colour = np.sort((owner.astype(np.uint64) << np.uint64(32))[:, None] | argb, axis=None)
+    colour = colour[np.append(True, colour[1:] != colour[:-1])]
+    colours = np.bincount((colour >> np.uint64(32)).astype(np.int64), minlength=n)
+    colour_at = _starts(colours)
+    images, heads = [], []
+    for i, (at, height) in enumerate(zip(first.tolist(), heights.tolist())):
+        head = [(0x2F | (width - 1) << 8, 22), (height - 1, 18), (1, 1)]
+        if colours[i] <= 256:
+            table = colour[colour_at[i] : colour_at[i] + colours[i]].astype("<u4")
+            deltas = np.diff(table.view(np.uint8).reshape(-1, 4), axis=0, prepend=np.zeros((1, 4), np.uint8))
+            index = np.searchsorted(table, argb[at : at + height])
+            if _of_channels(deltas, np.zeros(len(table), np.int64), 1)[0] + entropies(np.bincount(index.ravel(), minlength=256)[None])[0] < plain[i]:
+                fold = webp._bundle(len(table))
+                wide = webp._blocks(width, fold)
+                index = np.pad(index, ((0, 0), (0, (wide << fold) - width))).reshape(height, wide, 1 << fold)
+                packed = (index << (np.arange(1 << fold) * (8 >> fold))).sum(axis=2).astype(np.uint32).ravel()
+                images += [(len(table), np.ascontiguousarray(deltas).view("<u4").ravel()), (wide, packed << np.uint32(8) | np.uint32(0xFF000000))]
+                heads += [[*head, (webp.PALETTE, 2), (len(table) - 1, 8)], [(0, 1)]]
+                continue
+        images.append((across, (modes[tile_at[i] : tile_at[i] + tiles[i]] << 8).astype(np.uint32) | np.uint32(0xFF000000)))
+        images.append((width, body[at * width : (at + height) * width]))
+        heads += [[*head, (webp.PREDICTOR, 2), (TILE_BITS - 2, 3)], [*([(1, 1), (webp.GREEN, 2)] if green[i] else []), (0, 1)]]
+    return [webp._file(stream) for stream in write_images(images, heads, np.repeat(np.arange(n), 2))]

@@ -139,7 +139,7 @@ def test_media(odd, empty):
 
 def test_long_text_takes_several_files():
     raw = bytes(range(256)) * 13_000
-    pixels = media.from_media(media.to_media(raw))
+    [pixels] = media.from_media(media.to_media([raw]))
     assert pixels[..., :3].tobytes()[: len(raw)] == raw and len(pixels) > media.webp.SIDE
 
 

@@ -1,7 +1,7 @@
 import numpy as np
 import pytest
 
-from relseq.llm import webp, webp_writer
+from relseq.llm import webp, webp_reader, webp_writer
 
 
 def picture(height, width, colours, seed=0):
@@ -114,3 +114,29 @@ def test_counts_that_need_long_codes():
         fib.append(fib[-1] + fib[-2])
     lengths = webp_writer.code_lengths(np.array(fib), 15)
     assert lengths.max() <= 15 and sum(2.0**-n for n in lengths.tolist()) == 1
+
+
+def test_batches_of_files():
+    """Files do not depend on what stands beside them, and are read together as one by one."""
+    shapes = [(1, 64), (2, 64), (9, 64), (70, 64), (200, 64), (33, 7), (5, 1), (1, 1), (130, 130)]
+    pictures = [samples(*shapes[seed % 9], seed) for seed in range(72)]
+    files = webp_writer.encode_many(pictures)
+    assert files == [webp_writer.encode(p) for p in pictures]
+    for out, rgb in zip(webp_reader.decode_many(files), pictures, strict=True):
+        assert (out[..., :3] == rgb).all() and (out[..., 3] == 255).all()
+    assert webp_writer.encode_many([]) == [] == webp_reader.decode_many([])
+
+
+@pytest.mark.parametrize("entries", [1 << 22, 1 << 10])
+@pytest.mark.parametrize("tools", [{}, {"cache_bits": 4}, {"references": True}, {"references": True, "cache_bits": 6}, {"group_bits": 2, "references": True, "cache_bits": 3}])
+def test_reading_together_equals_reading_alone(tools, entries, monkeypatch):
+    monkeypatch.setattr(webp_reader, "ALONE", 0)
+    monkeypatch.setattr(webp_reader, "MOST_ENTRIES", entries)
+    monkeypatch.setattr(webp_reader, "BATCH_PIXELS", 20_000)
+    chosen = [(), (webp.GREEN,), (webp.PREDICTOR, webp.CROSS, webp.GREEN), (webp.PALETTE, webp.PREDICTOR)]
+    pictures = [picture(3 + seed % 40, 5 + seed % 31, (1, 2, 9, 200)[seed % 4], seed) for seed in range(24)]
+    files = [webp.encode(rows, chosen[seed % 4], **tools) for seed, rows in enumerate(pictures)]
+    for out, rows in zip(webp_reader.decode_many(files), pictures, strict=True):
+        assert (out == rows).all()
+    with pytest.raises((ValueError, IndexError)):
+        webp_reader.decode_many([*files[:3], files[3][:-9]])
