@@ -13,6 +13,7 @@ empty result; other columns are ignored.
 
 from __future__ import annotations
 
+import sys
 from collections.abc import Iterator
 from functools import cache
 
@@ -35,7 +36,7 @@ CHUNK = 4096  # trigram vectors held at a time
 @cache
 def symbol_table() -> np.ndarray:
     """Code point -> symbol: 0 for no letter, 1-26 for a-z in either case, 27-63 dealt to all other letters."""
-    out = np.zeros(0x30000, np.uint8)
+    out = np.zeros(sys.maxunicode + 1, np.uint8)
     for c in range(len(out)):
         ch = chr(c)
         if ch.isalpha():
@@ -62,7 +63,7 @@ def trigrams(data: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]
     points = np.frombuffer(data.tobytes().decode("utf-8", "replace").encode("utf-32-le"), np.uint32)
     heads = np.concatenate(([0], np.cumsum((data & 0xC0) != 0x80)))
     bounds = np.minimum(heads[off], len(points))
-    symbols = np.where(points < len(table), table[np.minimum(points, len(table) - 1)], 0)
+    symbols = table[points]
     owner = np.repeat(np.arange(len(off) - 1), np.diff(bounds))
     symbols, owner = symbols[: len(owner)], owner[: len(symbols)]
     # Each text is set between two edges, and runs of non-letters shrink to one.

@@ -296,6 +296,44 @@ def test_language_profiles(spark, odd, empty):
     assert language_id.classify(empty.select("doc_id", "text"), labels, model).count() == 0
 
 
+def brute_profile(text):
+    """The bound and bundled vector of a text, letter by letter; None without letters."""
+    table, base, symbols = language_id.symbol_table(), language_id.letters().astype(float), [0]
+    for ch in (text or "") + " ":
+        s = int(table[ord(ch)])
+        if s or symbols[-1]:
+            symbols.append(s)
+    bound = [np.roll(base[a], 2) * np.roll(base[b], 1) * base[c] for a, b, c in zip(symbols, symbols[1:], symbols[2:])]
+    return np.mean(bound, axis=0) if bound else None
+
+
+def test_language_profiles_equal_brute_force(spark):
+    texts = [("the cat sat on the mat, the end", "en"), ("this thing that then", "en"), ("der hund und die katze", "de"), ("und nicht auch ich", "de"), ("le chat et la souris", "fr"), ("12 34", "fr"), (None, "en"), ("les gens", None)]
+    asked = [*(t for t, _ in texts), "", "a", "Ünd DIE", "\U00030000\U00030001 \U00031350", "the\n\tthe " * 3000, "漢字 кот", "🙂 -- 9"]
+    by_lang = {}
+    for text, lang in texts:
+        if lang and (one := brute_profile(text)) is not None:
+            by_lang.setdefault(lang, []).append(one)
+    names = sorted(by_lang)
+    means = np.array([np.mean(by_lang[x], axis=0) for x in names])
+    centre = means.mean(axis=0)
+    labels, model = language_id.learn(spark.createDataFrame(texts, "text string, lang string"))
+    assert labels == names
+    np.testing.assert_allclose(model, np.vstack((means - centre, centre)), atol=1e-4)
+    out = language_id.classify(spark.createDataFrame(list(enumerate(asked)), "doc_id long, text string"), labels, model).collect()
+    assert len(out) == len(asked)
+    for r in out:
+        vector = brute_profile(asked[r["doc_id"]])
+        if vector is None:
+            assert (r["lang_pred"], r["score"]) == ("und", 0)
+            continue
+        vector = vector - centre
+        cosines = [vector @ m / np.linalg.norm(vector) / np.linalg.norm(m) for m in means - centre]
+        assert r["score"] == pytest.approx((1 + max(cosines)) / 2, abs=1e-3)
+        assert cosines[names.index(r["lang_pred"])] == pytest.approx(max(cosines), abs=1e-3)
+    assert {r["doc_id"] for r in out if r["lang_pred"] == "und"} == {5, 6, 8, 14}
+
+
 # -- 6 ----------------------------------------------------------------------------------------------------------
 
 
