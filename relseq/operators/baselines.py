@@ -49,7 +49,7 @@ def first_occurrence(mined: Mined) -> Mined:
     """Only the first occurrence of a skeleton in each sequence is refined: support is lost."""
     from dataclasses import replace
 
-    return replace(mined, rows=mined.rows.withColumn("found", typemining.cap_row("found", 1)), complete=False)
+    return replace(mined, rows=mined.rows.withColumn("found", typemining.cap_row("found", 1)), complete=False, grow=None)
 
 
 def plain(corpus: Corpus, min_support: float, max_events: int | None = None) -> Mined:

@@ -16,6 +16,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 from dataclasses import replace
+from functools import cached_property
 from math import ceil
 
 import numpy as np
@@ -26,7 +27,7 @@ from pyspark.sql import functions as F
 from relseq.functions import taxonomy
 from relseq.functions.relations import oriented
 from relseq.operators import patterns
-from relseq.operators.corpus import concept_view, slot_names
+from relseq.operators.corpus import concept_view, condensed, looked_up, slot_names
 from relseq.operators.matching import permuted
 from relseq.operators.typemining import Mined
 from relseq.session import ship
@@ -41,14 +42,16 @@ VECTORS = "skeleton string, vector array<string>, support long"
 def leaf_rows(mined: Mined, permute: bool = False) -> DataFrame:
     """(skeleton, seq_id, leaf): distinct leaf rows of each sequence; equal ones do not change any support.
     Relations are resolved here, for matched pairs only, inside the sequence's own row. ``permute`` also takes the
-    orders in which events of one type in one transaction can fill a skeleton."""
-    relate = oriented(list(mined.corpus.relations))
+    orders in which events of one type in one transaction can fill a skeleton. Rows of condensed sequences have their
+    ``weight``."""
+    weighted = ["weight"] if "weight" in mined.rows.columns else []
+    relate = looked_up if weighted and mined.corpus.relations else oriented(list(mined.corpus.relations))
     if permute:
         k = max((len(patterns.parse(s)[0]) for s in mined.skeletons), default=1)
         more = F.flatten(F.transform("found", lambda o: F.transform(permuted(F.col("events"), o["lambda"], k), lambda lam: F.struct(o["skeleton"].alias("skeleton"), lam.alias("lambda")))))
         mined = replace(mined, rows=mined.rows.withColumn("found", more))
     made = F.transform("found", lambda o: F.struct(o["skeleton"].alias("skeleton"), concept_view(F.col("events"), o["lambda"], relate, mined.corpus.with_concepts).alias("leaf")))
-    return mined.rows.select(F.col("seq_id").cast("string").alias("seq_id"), F.explode(F.array_distinct(made)).alias("x")).select("x.skeleton", "seq_id", "x.leaf")
+    return mined.rows.select(F.col("seq_id").cast("string").alias("seq_id"), F.explode(F.array_distinct(made)).alias("x"), *weighted).select("x.skeleton", "seq_id", "x.leaf", *weighted)
 
 
 def items(leafs: DataFrame) -> DataFrame:
@@ -122,56 +125,80 @@ def support(leafs: DataFrame, vector: list[str]) -> int:
 
 
 class Leaves:
-    """Leaf rows of one skeleton, slot by slot as node masks. Rows of a sequence stand together."""
+    """Leaf rows of one skeleton, slot by slot as codes of leaf concepts, with the codes below each node. Rows of a
+    sequence stand together; ``weights`` (of rows) say for how many sequences a sequence stands."""
 
-    def __init__(self, sequences: np.ndarray, rows: list[list[str]]) -> None:
+    def __init__(self, sequences: np.ndarray, rows: list[list[str]] | pa.Array | pa.ChunkedArray, weights: np.ndarray | None = None) -> None:
         order = np.argsort(sequences, kind="stable")
         self.sequences = sequences[order]
-        self.slots: list[dict[str, np.ndarray]] = []
+        self.weights = np.ones(len(order), np.int64) if weights is None else weights[order]
+        self.codes: list[np.ndarray] = []
+        self.below: list[dict[str, np.ndarray]] = []  # node -> is a code at or below it?
         self.children: list[dict[str, list[str]]] = []
-        wide = len(rows[0]) if rows else 0
+        flat = pa.array(rows, pa.list_(pa.string())) if isinstance(rows, list) else rows.combine_chunks() if isinstance(rows, pa.ChunkedArray) else rows
+        flat = pa.concat_arrays(flat.chunks) if isinstance(flat, pa.ChunkedArray) else flat
+        wide = len(flat[0]) if len(flat) else 0
+        words = flat.flatten().dictionary_encode()
+        names = ["None" if w is None else w for w in words.dictionary.to_pylist()]
+        indices = words.indices
+        if indices.null_count:
+            indices = indices.fill_null(len(names))
+            names.append("None")
+        table = indices.to_numpy(zero_copy_only=False).reshape(len(flat), wide)[order]
         for s in range(wide):
-            names, code = np.unique(np.array([r[s] for r in rows], object).astype(str), return_inverse=True)
-            code = code[order]
-            masks: dict[str, np.ndarray] = {}
-            below: dict[str, list[str]] = {}
-            hits: dict[str, list[int]] = {}
-            for i, name in enumerate(names):
-                for c in taxonomy.climb(str(name)):
-                    hits.setdefault(c, []).append(i)
-            for c, own in hits.items():
-                masks[c] = np.isin(code, own)
-                below.setdefault(c.rpartition("/")[0], []).append(c)
-            self.slots.append(masks)
-            self.children.append({k: sorted(v) for k, v in below.items()})
+            own, code = np.unique(table[:, s], return_inverse=True)
+            code = code.astype(np.int32 if len(own) > 30_000 else np.int16)
+            flags: dict[str, np.ndarray] = {}
+            kids: dict[str, list[str]] = {}
+            for i, n in enumerate(own):
+                for c in taxonomy.climb(names[n]):
+                    flags.setdefault(c, np.zeros(len(own), bool))[i] = True
+            for c in flags:
+                kids.setdefault(c.rpartition("/")[0], []).append(c)
+            self.codes.append(np.ascontiguousarray(code))
+            self.below.append(flags)
+            self.children.append({k: sorted(v) for k, v in kids.items()})
+
+    @cached_property
+    def slots(self) -> list[dict[str, np.ndarray]]:
+        """Node masks over all rows."""
+        return [{c: flags[code] for c, flags in own.items()} for own, code in zip(self.below, self.codes)]
+
+    def under(self, rows: np.ndarray, slot: int, concept: str) -> np.ndarray:
+        """Those of the rows (by number) that lie at or below a concept."""
+        flags = self.below[slot].get(concept)
+        return rows[:0] if flags is None else rows[flags[self.codes[slot][rows]]]
 
     def support(self, mask: np.ndarray) -> int:
-        own = self.sequences[mask]
-        return int(len(own) > 0) + int((own[1:] != own[:-1]).sum()) if len(own) else 0
+        return self.support_of(np.flatnonzero(mask))
+
+    def support_of(self, rows: np.ndarray) -> int:
+        own = self.sequences[rows]
+        return int(self.weights[rows[:1]].sum() + self.weights[rows[1:][own[1:] != own[:-1]]].sum())
 
 
 def frequent_vectors(leaves: Leaves, theta: int) -> dict[tuple[str, ...], int]:
     """Every vector with at least ``theta`` sequences: slots are fixed from the left, each by descending its
-    tree as long as the support lasts."""
-    wide = len(leaves.slots)
+    tree as long as the support lasts. Only the rows still covered are looked at."""
+    wide = len(leaves.codes)
     out: dict[tuple[str, ...], int] = {}
 
-    def fill(s: int, chosen: tuple[str, ...], mask: np.ndarray, count: int) -> None:
+    def fill(s: int, chosen: tuple[str, ...], rows: np.ndarray, count: int) -> None:
         if s == wide:
             out[chosen] = count
             return
-        fill(s + 1, (*chosen, taxonomy.ROOT), mask, count)
-        todo = [(c, mask) for c in leaves.children[s].get(taxonomy.ROOT, [])]
+        fill(s + 1, (*chosen, taxonomy.ROOT), rows, count)
+        todo = [(c, rows) for c in leaves.children[s].get(taxonomy.ROOT, [])]
         while todo:
             c, above = todo.pop()
-            own = above & leaves.slots[s][c]
-            n = leaves.support(own)
+            own = leaves.under(above, s, c)
+            n = leaves.support_of(own)
             if n >= theta:
                 fill(s + 1, (*chosen, c), own, n)
                 todo += [(d, own) for d in leaves.children[s].get(c, [])]
 
-    whole = np.ones(len(leaves.sequences), bool)
-    n = leaves.support(whole)
+    whole = np.arange(len(leaves.sequences))
+    n = leaves.support_of(whole)
     if n >= theta:
         fill(0, (), whole, n)
     return out
@@ -216,7 +243,7 @@ def maximal_itemsets(leaves: Leaves, theta: int) -> dict[tuple[str, ...], int]:
     best = [k for k in set(found) if not any(k < o for o in found)]
     out = {}
     for k in best:
-        vector = [taxonomy.ROOT] * len(leaves.slots)
+        vector = [taxonomy.ROOT] * len(leaves.codes)
         mask = whole
         for i in k:
             _, s, c, m = items[i]
@@ -268,19 +295,23 @@ def _grouped(leafs: DataFrame, theta: int, algorithm: str) -> DataFrame:
     def run(table: pa.Table) -> pa.Table:
         name = table.column("skeleton")[0].as_py()
         _, seq = np.unique(table.column("seq_id").to_numpy(zero_copy_only=False).astype(str), return_inverse=True)
-        leaves = Leaves(seq, table.column("leaf").to_pylist())
+        leaves = Leaves(seq, table.column("leaf"), table.column("weight").to_numpy())
         if algorithm == "levelwise":
             found: dict[tuple[str, ...], int] = {}
             whole = leaves.support(np.ones(len(seq), bool))
             sets = {frozenset(): whole} | levelwise_itemsets(leaves, theta)
             for k, n in sets.items():
-                v = itemset_vector(k, len(leaves.slots))
+                v = itemset_vector(k, len(leaves.codes))
                 found[v] = n
         else:
             found = search(leaves, theta)
         return pa.table({"skeleton": pa.array([name] * len(found), pa.string()), "vector": pa.array([list(v) for v in found], pa.list_(pa.string())), "support": pa.array(list(found.values()), pa.int64())})
 
-    return leafs.groupBy("skeleton").applyInArrow(run, VECTORS)
+    return _weighted(leafs).groupBy("skeleton").applyInArrow(run, VECTORS)
+
+
+def _weighted(leafs: DataFrame) -> DataFrame:
+    return leafs if "weight" in leafs.columns else leafs.withColumn("weight", F.lit(1).cast("long"))
 
 
 def _chunks(batches: Iterator[pa.RecordBatch], most: int) -> Iterator[pa.Table]:
@@ -312,26 +343,27 @@ def _chunks(batches: Iterator[pa.RecordBatch], most: int) -> Iterator[pa.Table]:
 
 
 def _leaves(table: pa.Table) -> Leaves:
-    return Leaves(table.column("seq").to_numpy(), table.column("leaf").to_pylist())
+    return Leaves(table.column("seq").to_numpy(), table.column("leaf"), table.column("weight").to_numpy())
 
 
 def _packed_chunks(leafs: DataFrame, most: int) -> DataFrame:
     """(skeleton, sequences, leaves): the leaf rows of one skeleton in one chunk of sequences, as one value."""
-    schema = pa.schema([("seq", pa.int32()), ("leaf", pa.list_(pa.string()))])
+    schema = pa.schema([("seq", pa.int32()), ("leaf", pa.list_(pa.string())), ("weight", pa.int64())])
 
     def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for table in _chunks(batches, most):
             names = table.column("skeleton").to_numpy(zero_copy_only=False).astype(str)
-            different, seq = np.unique(table.column("seq_id").to_numpy(zero_copy_only=False).astype(str), return_inverse=True)
+            _, first, seq = np.unique(table.column("seq_id").to_numpy(zero_copy_only=False).astype(str), return_index=True, return_inverse=True)
+            number = int(table.column("weight").to_numpy()[first].sum())
             for skeleton in np.unique(names):
                 own = np.flatnonzero(names == skeleton)
-                part = pa.Table.from_arrays([pa.array(seq[own].astype(np.int32)), table.column("leaf").take(pa.array(own))], schema=schema)
+                part = pa.Table.from_arrays([pa.array(seq[own].astype(np.int32)), table.column("leaf").take(pa.array(own)), table.column("weight").take(pa.array(own))], schema=schema)
                 sink = pa.BufferOutputStream()
                 with pa.ipc.new_stream(sink, schema) as writer:
                     writer.write_table(part)
-                yield pa.RecordBatch.from_arrays([pa.array([str(skeleton)]), pa.array([len(different)], pa.int64()), pa.array([sink.getvalue().to_pybytes()], pa.binary())], ["skeleton", "sequences", "leaves"])
+                yield pa.RecordBatch.from_arrays([pa.array([str(skeleton)]), pa.array([number], pa.int64()), pa.array([sink.getvalue().to_pybytes()], pa.binary())], ["skeleton", "sequences", "leaves"])
 
-    return leafs.mapInArrow(pack, "skeleton string, sequences long, leaves binary")
+    return _weighted(leafs).mapInArrow(pack, "skeleton string, sequences long, leaves binary")
 
 
 def _partitioned(leafs: DataFrame, theta: int, total: int, together: bool = False) -> DataFrame:
@@ -374,11 +406,11 @@ def _partitioned(leafs: DataFrame, theta: int, total: int, together: bool = Fals
                 leaves = _leaves(pa.ipc.open_stream(row["leaves"]).read_all())
                 vectors, counts = [], []
                 for v in row["vectors"]:
-                    mask = np.ones(len(leaves.sequences), bool)
+                    own = np.arange(len(leaves.sequences))
                     for s, c in enumerate(v):
                         if c:
-                            mask = mask & leaves.slots[s][c] if c in leaves.slots[s] else np.zeros_like(mask)
-                    if n := leaves.support(mask):
+                            own = leaves.under(own, s, c)
+                    if n := leaves.support_of(own):
                         vectors.append(v)
                         counts.append(n)
                 if vectors:
@@ -398,6 +430,7 @@ def keep(vectors: DataFrame, kind: str) -> DataFrame:
     """``all``; ``maximal``: no frequent vector is one step narrower; ``closed``: none of equal support is."""
     if kind == "all":
         return vectors
+    vectors = vectors.persist()  # found once, used twice
     wide = F.size("vector") > 0
     above = vectors.where(wide).select("skeleton", F.explode(broader(F.col("vector"))).alias("vector"), F.col("support").alias("s"))
     if kind == "maximal":
@@ -420,7 +453,7 @@ def refine_any(leafs: DataFrame, theta: int, kind: str = "maximal", algorithm: s
         largest = max((r["count"] for r in leafs.groupBy("skeleton").count().orderBy(F.desc("count")).limit(1).collect()), default=0)
     if algorithm == "partitioned" or largest > GROUP_LIMIT:
         if total is None:
-            total = leafs.select("seq_id").distinct().count()
+            total = _weighted(leafs).groupBy("seq_id").agg(F.max("weight").alias("n")).agg(F.sum("n")).first()[0] or 0
         found = _partitioned(leafs, theta, total, together)
     else:
         found = _grouped(leafs, theta, "vectors")
@@ -431,6 +464,10 @@ def refine(mined: Mined, kind: str = "maximal", algorithm: str = "vectors", scop
     """(skeleton, vector, support) of every frequent skeleton's refinements. ``scope="global"`` also compares
     refinements of different skeletons."""
     largest = max((n for _, n in mined.skeletons.values()), default=0)
+    if mined.grow and not permute and "weight" not in mined.rows.columns:
+        mined = replace(mined, rows=mined.grow(condensed(mined.corpus, mined.timed).sequences))
+    if largest > GROUP_LIMIT and "weight" in mined.rows.columns:
+        largest = None  # rows of condensed sequences are fewer
     found = refine_any(leaf_rows(mined, permute), mined.threshold, kind, algorithm, mined.total, largest, together=True)  # leaf rows come out of their sequence's row
     return globally_maximal(mined, found) if scope == "global" else found
 
