@@ -29,6 +29,13 @@ def test_tally_equals_enumeration():
         assert got == {s: found[2].count(s) for s in set(found[2])}
 
 
+def test_span_sweep_reads_its_corpus_as_views(spark):
+    plain = ops.scenario(corpora.weeks(spark, D), "plain")
+    small = ops.condensed(plain)
+    assert small.size() == plain.size() and small.sequences.count() <= plain.sequences.count()
+    assert typemining.mine(small, 0.10, None, 10, 3).skeletons == typemining.mine(plain, 0.10, None, 10, 3).skeletons
+
+
 def test_weighted_refinement_equals_one_row_a_sequence(spark):
     mined = typemining.mine(ops.scenario(corpora.sessions(spark, D), "relations"), 0.10, 3, None, 3)
     each = refine.refine_any(refine.leaf_rows(mined), mined.threshold, "all")
