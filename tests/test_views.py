@@ -51,3 +51,17 @@ def test_units_agree_with_growing(spark):
         mined = typemining.mine(c, 0.10, 2, 4, 2, unit=unit)
         told = {r["skeleton"]: r["count"] for r in mined.occurrences().groupBy("skeleton").count().collect()}
         assert told == {s: n for s, (_, n) in mined.skeletons.items()}
+
+
+def few_events(spark, tmp_path):
+    spark.read.parquet(f"{D}/events.parquet").where("user_id = 1").orderBy("event_id").limit(7).write.parquet(f"{tmp_path}/events.parquet")
+    return str(tmp_path)
+
+
+def test_heap_reads_events(spark, tmp_path):
+    from relseq import workloads
+
+    d = few_events(spark, tmp_path)
+    keys = {int(r[0]) + 4 for r in spark.read.parquet(f"{d}/events.parquet").select(F.get_json_object("props", "$.k")).collect()}
+    nodes = {n >> s for n in keys for s in range(n.bit_length())}
+    assert workloads.taxonomy_heap(spark, d).first()["nodes"] == len(nodes)
