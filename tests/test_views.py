@@ -54,7 +54,7 @@ def test_units_agree_with_growing(spark):
 
 
 def few_events(spark, tmp_path):
-    spark.read.parquet(f"{D}/events.parquet").where("user_id = 1").orderBy("event_id").limit(7).write.parquet(f"{tmp_path}/events.parquet")
+    spark.read.parquet(f"{D}/events.parquet").where("user_id = 1").orderBy("event_id").limit(9).write.parquet(f"{tmp_path}/events.parquet")
     return str(tmp_path)
 
 
@@ -65,3 +65,11 @@ def test_heap_reads_events(spark, tmp_path):
     keys = {int(r[0]) + 4 for r in spark.read.parquet(f"{d}/events.parquet").select(F.get_json_object("props", "$.k")).collect()}
     nodes = {n >> s for n in keys for s in range(n.bit_length())}
     assert workloads.taxonomy_heap(spark, d).first()["nodes"] == len(nodes)
+
+
+def test_bounds_are_for_lengths_in_events(spark, tmp_path):
+    from relseq import workloads
+
+    d = few_events(spark, tmp_path)
+    lengths = {r[0] for r in corpora.sessions(spark, d).sequences.select("n_events").collect()}
+    assert {r["n"] for r in workloads.complexity_bounds(spark, d).collect()} == {n for n in lengths if 3 <= n <= 8}
