@@ -73,3 +73,14 @@ def test_bounds_are_for_lengths_in_events(spark, tmp_path):
     d = few_events(spark, tmp_path)
     lengths = {r[0] for r in corpora.sessions(spark, d).sequences.select("n_events").collect()}
     assert {r["n"] for r in workloads.complexity_bounds(spark, d).collect()} == {n for n in lengths if 3 <= n <= 8}
+
+
+def test_grid_packs_its_corpus_once(spark, monkeypatch):
+    from relseq import workloads
+
+    made = []
+    condensed = ops.condensed
+    monkeypatch.setattr(ops, "condensed", lambda c, *x: made.append(1) or condensed(c, *x))
+    cells = [workloads.Cell("gap", "relations", 0.3, max_gap=g, max_events=2) for g in (1, 2)]
+    assert workloads.run_grid(spark, D, cells).count() == 2
+    assert len(made) == 1
