@@ -14,6 +14,9 @@ from relseq.operators import matching, patterns, refine, typemining
 from relseq.operators.corpus import Corpus
 from relseq.operators.typemining import Mined
 
+LOCAL_ITEMS = 500_000  # items behind a prefix that the library may bring to one task
+REPEATS = 1000  # copies of a row that stand side by side
+
 
 def presence(corpus: Corpus, skeletons: list[str], max_gap: int | None = None, max_span: int | None = None) -> DataFrame:
     """(skeleton, support) by a search that stops at the first match: no occurrence is kept."""
@@ -82,14 +85,22 @@ def extended_mining(corpus: Corpus, min_support: float, max_items: int = 3) -> D
     return found.where(~twice).select(text.alias("pattern"), F.aggregate("sequence", F.lit(0), lambda n, s: n + F.size(s)).alias("n_items"), F.col("freq").alias("support"))
 
 
+def repeated(rows: DataFrame) -> DataFrame:
+    """Every row as often as ``n`` says, dealt in blocks."""
+    blocks = rows.withColumn("block", F.explode(F.sequence(F.lit(0), F.floor((F.col("n") - 1) / REPEATS)))).repartition("sequence", "block")
+    return blocks.withColumn("i", F.explode(F.sequence(F.lit(1), F.least(F.lit(REPEATS), F.col("n") - F.col("block") * REPEATS)))).drop("n", "block", "i")
+
+
 def prefixspan(corpus: Corpus, min_support: float, max_events: int | None = None) -> DataFrame:
     """Pattern growth by the library's own miner over type sets; comparable where no type repeats inside a
-    transaction. (skeleton, n_events, support)."""
+    transaction. (skeleton, n_events, support). Prefixes with more than ``LOCAL_ITEMS`` items behind them are grown by
+    counts over all rows; by the library's own limit, all that follows a common prefix would meet in one task."""
     from pyspark.ml.fpm import PrefixSpan
 
     kinds = F.transform("events", lambda e: F.struct(e["txn"].alias("txn"), e["type"].alias("type")))
-    sets = F.transform(F.sequence(F.lit(1), F.col("n_txn")), lambda t: F.array_sort(F.array_distinct(F.transform(F.filter(kinds, lambda e: e["txn"] == t), lambda e: e["type"]))))
-    found = PrefixSpan(minSupport=min_support, maxPatternLength=max_events or 2**31 - 1).findFrequentSequentialPatterns(corpus.sequences.select(sets.alias("sequence")))
+    sets = F.transform(F.sequence(F.lit(1), F.element_at("events", -1)["txn"]), lambda t: F.array_sort(F.array_distinct(F.transform(F.filter(kinds, lambda e: e["txn"] == t), lambda e: e["type"]))))
+    number = F.sum("weight") if "weight" in corpus.sequences.columns else F.count("*")
+    found = PrefixSpan(minSupport=min_support, maxPatternLength=max_events or 2**31 - 1, maxLocalProjDBSize=LOCAL_ITEMS).findFrequentSequentialPatterns(repeated(corpus.sequences.groupBy(sets.alias("sequence")).agg(number.alias("n"))))
     text = F.array_join(F.transform("sequence", lambda s: F.array_join(F.array_sort(s), " ")), " ; ")
     return found.select(text.alias("skeleton"), F.aggregate("sequence", F.lit(0), lambda n, s: n + F.size(s)).alias("n_events"), F.col("freq").alias("support"))
 
