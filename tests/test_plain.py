@@ -31,3 +31,15 @@ def test_repeated_rows(spark, monkeypatch):
     monkeypatch.setattr(baselines, "REPEATS", 3)
     rows = spark.createDataFrame([("a", 1), ("b", 3), ("c", 7)], "sequence string, n long")
     assert sorted(r.sequence for r in baselines.repeated(rows).collect()) == list("abbbccccccc")
+
+
+def test_order_types_equal_condensed_orders(spark):
+    assert shapes(corpora.orders_year_types(spark, D)) == shapes(ops.condensed(ops.scenario(corpora.orders_year(spark, D), "plain")))
+
+
+def test_numbers_stand_for_equal_paths(spark):
+    rows = [(1, "x"), (2, "x"), (3, "y"), (3, "x"), (4, "z"), (4, "w"), (None, "v")]
+    named = corpora.numbered(spark.createDataFrame(rows, "k long, path string"), "k", "path").collect()
+    paths = {k: {p for j, p in rows if j == k} for k in (1, 2, 3, 4)}
+    codes = {k: {r.path for r in named if r.k == k} for k in paths}
+    assert all(len(codes[k]) == len(paths[k]) and len(codes[k] & codes[j]) == len(paths[k] & paths[j]) for k in paths for j in paths)
