@@ -17,6 +17,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 from dataclasses import replace
 from functools import cached_property
+from itertools import islice
 from math import ceil
 
 import numpy as np
@@ -124,27 +125,53 @@ def support(leafs: DataFrame, vector: list[str]) -> int:
 # -- search ---------------------------------------------------------------------------------------------------
 
 
+def coded(rows: list[list[str]] | pa.Array | pa.ChunkedArray) -> tuple[np.ndarray, list[str]]:
+    """Leaf rows as numbers of names, and the names."""
+    flat = pa.array(rows, pa.list_(pa.string())) if isinstance(rows, list) else rows.combine_chunks() if isinstance(rows, pa.ChunkedArray) else rows
+    flat = pa.concat_arrays(flat.chunks) if isinstance(flat, pa.ChunkedArray) else flat
+    words = flat.flatten().dictionary_encode()
+    names = ["None" if w is None else w for w in words.dictionary.to_pylist()]
+    indices = words.indices
+    if indices.null_count:
+        indices = indices.fill_null(len(names))
+        names.append("None")
+    return indices.to_numpy(zero_copy_only=False).reshape(len(flat), len(flat[0]) if len(flat) else 0), names
+
+
+class Gathered:
+    """Leaf rows of one skeleton that come batch by batch, held as numbers."""
+
+    def __init__(self) -> None:
+        self.names: dict[str, int] = {}
+        self.seen: dict[str, int] = {}
+        self.parts: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []  # sequences, leaf rows, weights
+
+    def add(self, seq_ids: pa.Array, rows: pa.Array, weights: pa.Array) -> None:
+        table, names = coded(rows)
+        to = np.array([self.names.setdefault(n, len(self.names)) for n in names], np.int32)
+        ids = seq_ids.dictionary_encode()
+        of = np.array([self.seen.setdefault(x, len(self.seen)) for x in ids.dictionary.to_pylist()], np.int32)
+        self.parts.append((of[ids.indices.to_numpy()], to[table] if table.size else table.astype(np.int32), weights.to_numpy()))
+
+    def leaves(self) -> Leaves:
+        sequences, rows, weights = (np.concatenate(x) for x in zip(*self.parts))
+        return Leaves(sequences, (rows, list(self.names)), weights)
+
+
 class Leaves:
     """Leaf rows of one skeleton, slot by slot as codes of leaf concepts, with the codes below each node. Rows of a
     sequence stand together; ``weights`` (of rows) say for how many sequences a sequence stands."""
 
-    def __init__(self, sequences: np.ndarray, rows: list[list[str]] | pa.Array | pa.ChunkedArray, weights: np.ndarray | None = None) -> None:
+    def __init__(self, sequences: np.ndarray, rows: list[list[str]] | pa.Array | pa.ChunkedArray | tuple[np.ndarray, list[str]], weights: np.ndarray | None = None) -> None:
         order = np.argsort(sequences, kind="stable")
         self.sequences = sequences[order]
         self.weights = np.ones(len(order), np.int64) if weights is None else weights[order]
         self.codes: list[np.ndarray] = []
         self.below: list[dict[str, np.ndarray]] = []  # node -> is a code at or below it?
         self.children: list[dict[str, list[str]]] = []
-        flat = pa.array(rows, pa.list_(pa.string())) if isinstance(rows, list) else rows.combine_chunks() if isinstance(rows, pa.ChunkedArray) else rows
-        flat = pa.concat_arrays(flat.chunks) if isinstance(flat, pa.ChunkedArray) else flat
-        wide = len(flat[0]) if len(flat) else 0
-        words = flat.flatten().dictionary_encode()
-        names = ["None" if w is None else w for w in words.dictionary.to_pylist()]
-        indices = words.indices
-        if indices.null_count:
-            indices = indices.fill_null(len(names))
-            names.append("None")
-        table = indices.to_numpy(zero_copy_only=False).reshape(len(flat), wide)[order]
+        table, names = rows if isinstance(rows, tuple) else coded(rows)
+        wide = table.shape[1]
+        table = table[order]
         for s in range(wide):
             own, code = np.unique(table[:, s], return_inverse=True)
             code = code.astype(np.int32 if len(own) > 30_000 else np.int16)
@@ -204,6 +231,46 @@ def frequent_vectors(leaves: Leaves, theta: int) -> dict[tuple[str, ...], int]:
     return out
 
 
+def maximal_vectors(leaves: Leaves, theta: int) -> dict[tuple[str, ...], int]:
+    """Those of ``frequent_vectors`` of which none is one step narrower. Vectors are held as bytes, a few for a slot;
+    every frequent one marks those one step broader, which are frequent too."""
+    wide = len(leaves.codes)
+    names = [[taxonomy.ROOT, *sorted(flags)] for flags in leaves.below]
+    size = 1 if max(map(len, names), default=0) <= 256 else 4
+    ids = [{c: i.to_bytes(size, "little") for i, c in enumerate(own)} for own in names]
+    parent = [{ids[s][c]: ids[s].get(c.rpartition("/")[0], ids[s][taxonomy.ROOT]) for c in own[1:]} for s, own in enumerate(names)]
+    place: dict[bytes, int] = {}
+    counts: list[int] = []
+
+    def fill(s: int, chosen: bytes, rows: np.ndarray, count: int) -> None:
+        if s == wide:
+            place[chosen] = len(counts)
+            counts.append(count)
+            return
+        fill(s + 1, chosen + ids[s][taxonomy.ROOT], rows, count)
+        todo = [(c, rows) for c in leaves.children[s].get(taxonomy.ROOT, [])]
+        while todo:
+            c, above = todo.pop()
+            own = leaves.under(above, s, c)
+            n = leaves.support_of(own)
+            if n >= theta:
+                fill(s + 1, chosen + ids[s][c], own, n)
+                todo += [(d, own) for d in leaves.children[s].get(c, [])]
+
+    whole = np.arange(len(leaves.sequences))
+    n = leaves.support_of(whole)
+    if n >= theta:
+        fill(0, b"", whole, n)
+    covered = bytearray(len(counts))
+    slots = [(s, s * size, (s + 1) * size) for s in range(wide)]
+    for v in place:
+        for s, a, b in slots:
+            up = parent[s].get(v[a:b])
+            if up is not None:
+                covered[place[v[:a] + up + v[b:]]] = 1
+    return {tuple(names[s][int.from_bytes(v[a:b], "little")] for s, a, b in slots): counts[i] for v, i in place.items() if not covered[i]}
+
+
 def maximal_itemsets(leaves: Leaves, theta: int) -> dict[tuple[str, ...], int]:
     """Maximal vectors by backtracking over items: the head grows by items in ascending order of support, a
     branch ends when head and tail together lie inside a known maximal set, and deeper calls see only the
@@ -290,24 +357,40 @@ def itemset_vector(itemset, wide: int) -> tuple[str, ...]:
 
 
 def _grouped(leafs: DataFrame, theta: int, algorithm: str) -> DataFrame:
-    search = {"vectors": frequent_vectors, "backtrack": maximal_itemsets}.get(algorithm)
-
-    def run(table: pa.Table) -> pa.Table:
-        name = table.column("skeleton")[0].as_py()
-        _, seq = np.unique(table.column("seq_id").to_numpy(zero_copy_only=False).astype(str), return_inverse=True)
-        leaves = Leaves(seq, table.column("leaf"), table.column("weight").to_numpy())
-        if algorithm == "levelwise":
-            found: dict[tuple[str, ...], int] = {}
-            whole = leaves.support(np.ones(len(seq), bool))
-            sets = {frozenset(): whole} | levelwise_itemsets(leaves, theta)
-            for k, n in sets.items():
-                v = itemset_vector(k, len(leaves.codes))
-                found[v] = n
-        else:
-            found = search(leaves, theta)
-        return pa.table({"skeleton": pa.array([name] * len(found), pa.string()), "vector": pa.array([list(v) for v in found], pa.list_(pa.string())), "support": pa.array(list(found.values()), pa.int64())})
-
-    return _weighted(leafs).groupBy("skeleton").applyInArrow(run, VECTORS)
+    search = {"vectors": frequent_vectors, "maximal": maximal_vectors, "backtrack": maximal_itemsets}.get(algorithm)
+
+    def found_in(leaves: Leaves) -> dict[tuple[str, ...], int]:
+        if algorithm != "levelwise":
+            return search(leaves, theta)
+        whole = leaves.support(np.ones(len(leaves.sequences), bool))
+        sets = {frozenset(): whole} | levelwise_itemsets(leaves, theta)
+        return {itemset_vector(k, len(leaves.codes)): n for k, n in sets.items()}
+
+    def report(name: str, gathered: Gathered) -> Iterator[pa.RecordBatch]:
+        found = iter(found_in(gathered.leaves()).items())
+        while part := list(islice(found, VECTOR_BLOCK)):
+            yield pa.RecordBatch.from_arrays([pa.array([name] * len(part), pa.string()), pa.array([list(v) for v, _ in part], pa.list_(pa.string())), pa.array([n for _, n in part], pa.int64())], ["skeleton", "vector", "support"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Rows come by skeleton."""
+        name, gathered = None, Gathered()
+        for batch in batches:
+            skeletons = batch.column(0).to_numpy(zero_copy_only=False)
+            cuts = [0, *(np.flatnonzero(skeletons[1:] != skeletons[:-1]) + 1).tolist(), len(skeletons)]
+            for a, b in zip(cuts, cuts[1:]):
+                if a == b:
+                    continue
+                if gathered.parts and skeletons[a] != name:
+                    yield from report(name, gathered)
+                    gathered = Gathered()
+                name = skeletons[a]
+                part = batch.slice(a, b - a)
+                gathered.add(part.column(1), part.column(2), part.column(3))
+        if gathered.parts:
+            yield from report(name, gathered)
+
+    rows = _weighted(leafs).select("skeleton", F.col("seq_id").cast("string").alias("seq_id"), "leaf", "weight")
+    return rows.repartition("skeleton").sortWithinPartitions("skeleton").mapInArrow(run, VECTORS)
 
 
 def _weighted(leafs: DataFrame) -> DataFrame:
@@ -455,6 +538,8 @@ def refine_any(leafs: DataFrame, theta: int, kind: str = "maximal", algorithm: s
         if total is None:
             total = _weighted(leafs).groupBy("seq_id").agg(F.max("weight").alias("n")).agg(F.sum("n")).first()[0] or 0
         found = _partitioned(leafs, theta, total, together)
+    elif kind == "maximal":
+        return _grouped(leafs, theta, "maximal")
     else:
         found = _grouped(leafs, theta, "vectors")
     return keep(found, kind)
@@ -467,7 +552,7 @@ def refine(mined: Mined, kind: str = "maximal", algorithm: str = "vectors", scop
     if mined.grow and not permute and "weight" not in mined.rows.columns:
         mined = replace(mined, rows=mined.grow(condensed(mined.corpus, mined.timed).sequences))
     if largest > GROUP_LIMIT and "weight" in mined.rows.columns:
-        largest = None  # rows of condensed sequences are fewer
+        largest = mined.stored or None  # rows of condensed sequences are fewer
     found = refine_any(leaf_rows(mined, permute), mined.threshold, kind, algorithm, mined.total, largest, together=True)  # leaf rows come out of their sequence's row
     return globally_maximal(mined, found) if scope == "global" else found
 

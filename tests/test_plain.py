@@ -1,7 +1,7 @@
 """Corpora of types and transactions only, and what is counted on them."""
 
 from relseq import corpora
-from relseq.operators import baselines
+from relseq.operators import baselines, refine, typemining
 from relseq.operators import corpus as ops
 
 D = "/root/testdata/sf0.001"
@@ -43,3 +43,12 @@ def test_numbers_stand_for_equal_paths(spark):
     paths = {k: {p for j, p in rows if j == k} for k in (1, 2, 3, 4)}
     codes = {k: {r.path for r in named if r.k == k} for k in paths}
     assert all(len(codes[k]) == len(paths[k]) and len(codes[k] & codes[j]) == len(paths[k] & paths[j]) for k in paths for j in paths)
+
+
+def test_maximal_vectors_are_found_without_all_frequent_ones(spark, monkeypatch):
+    mined = typemining.mine(ops.condensed(corpora.sessions(spark, D)), 0.10, 3, None, 2)
+    told = lambda df: sorted((r["skeleton"], tuple(r["vector"]), r["support"]) for r in df.collect())
+    each = told(refine.keep(refine.refine(mined, "all"), "maximal"))
+    assert max(n for _, n in mined.skeletons.values()) >= mined.stored > 0
+    monkeypatch.setattr(refine, "keep", None)  # no exchange of all frequent vectors
+    assert told(refine.refine(mined, "maximal")) == each
