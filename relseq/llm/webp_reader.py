@@ -1,9 +1,12 @@
-"""Reads many lossless images at a time: a token of every image in a step.
+"""Reads many lossless images at a time.
 
-Prefix codes are read side by side, one code length of each image in a step, and so are tokens; copies and cached
-pixels become pointers to earlier pixels, followed for all images together. A step costs about the same for one image
-as for hundreds, so the longest images of a batch, which would go on alone, are read one by one by ``webp.read_image``,
-as are images with several groups of codes.
+Prefix codes are read side by side, one code length of each image in a step. Tokens of main images are found from many
+places at once: a stream is entered every ``SEGMENT`` bits, right or wrong, and each entry reads on until it stands
+where another one has been (after a wrong entry the ends of tokens soon coincide with the right ones). The chain of
+tokens from the first bit is then known, and its tokens are read as arrays. The small images of transforms are read a
+token of each in a step. Copies and cached pixels become pointers to earlier pixels, followed for all images together.
+Where few short images come together, and where an image has several groups of codes or entries that do not meet, images are
+read one by one by ``webp.read_image``.
 """
 
 from __future__ import annotations
@@ -12,7 +15,12 @@ import numpy as np
 
 from relseq.llm import webp
 
-ALONE = 32  # so many of a batch's longest images are read one by one
+ALONE = 4  # so few images of few pixels, and so many of a batch's longest images of transforms, are read one by one
+FEW_PIXELS = 1 << 16
+SEGMENT = 2048  # bits from one entry into a stream to the next
+STRIDE = 16  # tokens that entries read before it is seen which have met others
+MOST_ROUNDS = 16  # times that ways out of segments are carried on; images that need more are read one by one
+MOST_STEPS = 4096  # tokens after which images whose entries have not met are read one by one
 BATCH_PIXELS = 1 << 21  # pixels decoded at a time, unless one image has more
 MOST_ENTRIES = 1 << 22  # entries of a code's tables held at a time; beyond them the images are read in halves
 # Code lengths' symbols: how many lengths one stands for, and its extra bits.
@@ -59,16 +67,19 @@ def read_images(asked: list[tuple[webp.Bits, int, int, bool]]) -> list[np.ndarra
     """Flat pixels of each image asked for as (bits, width, height, main)."""
     totals = np.array([w * h for _, w, h, _ in asked])
     alone = np.array([main and _grouped(bits) for bits, _, _, main in asked], bool)
-    if len(asked) <= ALONE:
+    if len(asked) <= ALONE and totals.sum() < FEW_PIXELS:
         alone[:] = True
-    elif ALONE:
-        alone |= totals > np.sort(totals)[-ALONE]
+    mains = np.array([main for _, _, _, main in asked], bool)
+    parts = np.flatnonzero(~mains)
+    if ALONE and len(parts) > ALONE:
+        alone[parts] |= totals[parts] > np.sort(totals[parts])[-ALONE]
     out: list[np.ndarray] = [None] * len(asked)
     for i in np.flatnonzero(alone).tolist():
         out[i] = webp.read_image(*asked[i])
-    rest = np.flatnonzero(~alone).tolist()
-    for i, pixels in zip(rest, _together([asked[i] for i in rest])):
-        out[i] = pixels
+    for kind in (mains, ~mains):
+        rest = np.flatnonzero(kind & ~alone).tolist()
+        for i, pixels in zip(rest, _together([asked[i] for i in rest])):
+            out[i] = pixels
     return out
 
 
@@ -108,7 +119,7 @@ def tables(lengths: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     begin = np.cumsum(entries) - entries
     first = np.repeat(begin, entries)
     within = np.arange(len(first)) - first
-    return np.repeat(symbol << 4 | size, span)[first + (webp.REVERSED_BITS[within] >> (15 - np.repeat(longest, entries)))], begin, longest
+    return np.repeat((symbol << 4 | size).astype(np.int32), span)[first + (webp.REVERSED_BITS[within] >> (15 - np.repeat(longest, entries)))], begin, longest
 
 
 def read_lengths(loads: np.ndarray, pos: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -164,7 +175,7 @@ def read_lengths(loads: np.ndarray, pos: np.ndarray, sizes: np.ndarray) -> tuple
 
 
 def _read(asked: list[tuple[webp.Bits, int, int, bool]]) -> list[np.ndarray]:
-    """Images with one group of codes each."""
+    """Images with one group of codes each: all of them main ones, or none."""
     streams = [bits for bits, _, _, _ in asked]
     sizes = np.array([len(b.data) for b in streams])
     origin = 8 * (np.cumsum(sizes) - sizes)
@@ -185,25 +196,189 @@ def _read(asked: list[tuple[webp.Bits, int, int, bool]]) -> list[np.ndarray]:
         codes.append(tables(lengths))
     totals = np.array([w * h for _, w, h, _ in asked])
     first = np.cumsum(totals) - totals
-    pixels, tokens, pos = _tokens(loads, pos, codes, first, totals, np.array([w for _, w, _, _ in asked]))
-    if (pos > origin + 8 * sizes).any():
+    widths, stop, apart = np.array([w for _, w, _, _ in asked]), origin + 8 * sizes, {}
+    if asked[0][3]:
+        pixels, tokens, pos, alone = _chains(loads, pos, stop, codes, first, totals, widths)
+        apart = {i: webp.read_image(*asked[i]) for i in np.flatnonzero(alone).tolist()}
+    else:
+        pixels, tokens, pos = _tokens(loads, pos, codes, first, totals, widths)
+    if (pos > stop).any():
         raise ValueError("the stream ends early")
-    for bits, at in zip(streams, (pos - origin).tolist()):
-        bits.at = at
+    for i, at in enumerate((pos - origin).tolist()):
+        if i not in apart:
+            streams[i].at = at
     pixels = _resolve(pixels, tokens, cache_bits, first, totals)
-    return [pixels[a : a + n] for a, n in zip(first.tolist(), totals.tolist())]
+    return [apart[i] if i in apart else pixels[a : a + n] for i, (a, n) in enumerate(zip(first.tolist(), totals.tolist()))]
+
+
+def _still(codes) -> np.ndarray:
+    """Whether an image has one colour, whose pixels take no bits."""
+    green, begin, _ = codes[0]
+    return np.all([longest == 0 for _, _, longest in codes[:4]], axis=0) & (green[begin] < 256 << 4)
+
+
+def _colours(codes) -> np.ndarray:
+    """Pixels of the first entries of the codes."""
+    return sum((e[begin].astype(np.int64) >> 4) << up for (e, begin, _), up in zip(codes, (8, 16, 0, 24)))
+
+
+def _reach(loads, pos, stop, codes, images):
+    """Bits of the tokens that begin at each bit, for every place that an entry into one of ``images`` comes to, else 0;
+    and the images whose entries do not meet soon."""
+    reach = np.zeros(8 * len(loads) + 64, np.uint8)
+    tables = []
+    for i, (entries, begin, longest) in enumerate(codes):
+        symbol, bits = entries >> 4, entries & 15
+        if i == 0:  # bits and more bits of a length; 32: a distance follows, 64: a cached pixel
+            copied = (symbol >= 256) & (symbol < 280)
+            bits = bits + np.where(copied, 32 + webp.NUMBER_BITS[np.clip(symbol - 256, 0, 23)], 0) + np.where(symbol >= 280, 64, 0)
+        elif i == 4:
+            bits = bits + webp.NUMBER_BITS[symbol]
+        if i in (0, 4) or longest[images].any():
+            tables.append((bits.astype(np.uint8), begin, (1 << longest) - 1))
+    many = -(-np.maximum(stop - pos, 0)[images] // SEGMENT)
+    image = np.repeat(images, many)
+    p = pos[image] + SEGMENT * (np.arange(len(image)) - np.repeat(np.cumsum(many) - many, many))
+    state = np.array([image, stop[image], *(row[image] for _, begin, mask in tables for row in (begin, mask))])
+    step = 0
+    while len(p) and step < MOST_STEPS:
+        for _ in range(STRIDE):
+            window = loads[p >> 3] >> (p & 7)
+            kind = tables[0][0][state[2] + (window & state[3])]
+            after = p + (kind & 31)
+            special = np.flatnonzero(kind > 31)
+            q = after[special]
+            window = loads[after >> 3] >> (after & 7)
+            for i, (bits, _, _) in enumerate(tables[1:-1], 1):
+                taken = bits[state[2 + 2 * i] + (window & state[3 + 2 * i])]
+                after += taken
+                window >>= taken
+            if len(special):
+                bits = tables[-1][0][state[-2, special] + (loads[q >> 3] >> (q & 7) & state[-1, special])]
+                after[special] = q + np.where(kind[special] < 64, bits, 0)
+            reach[p] = after - p
+            p = np.minimum(after, state[1])
+        step += STRIDE
+        on = np.flatnonzero((p < state[1]) & (reach[p] == 0))
+        p, state = p[on], state[:, on]
+    return reach, np.unique(state[0])
+
+
+def _leave(reach, p, stop):
+    """Where chains from ``p`` first stand at ``stop`` or beyond."""
+    out = p.copy()
+    live = np.flatnonzero(out < stop)
+    while len(live):
+        at = out[live]
+        at += reach[at]
+        out[live] = at
+        live = live[at < stop[live]]
+    return out
+
+
+def _mark(reach, pos, stop):
+    """Adds 128 where the chains from ``pos`` to ``stop`` stand. Each segment's way out is the next one's way in. Chains
+    that are not known after ``MOST_ROUNDS`` (entries met, but not the right ones) are left out, and which is returned."""
+    many = -(-np.maximum(stop - pos, 0) // SEGMENT)
+    first = np.cumsum(many) - many
+    segment = np.arange(many.sum()) - np.repeat(first, many)
+    begin = np.repeat(pos, many) + SEGMENT * segment
+    end = np.minimum(begin + SEGMENT, np.repeat(stop, many))
+    way_in, way_out = begin, _leave(reach, begin, end)
+    lost = np.zeros(len(pos), bool)
+    for _ in range(MOST_ROUNDS):
+        now = np.where(segment > 0, np.roll(way_out, 1), begin)
+        changed = np.flatnonzero(now != way_in)
+        if not len(changed):
+            break
+        way_in = now
+        way_out[changed] = _leave(reach, now[changed], end[changed])
+    else:
+        open_ends = np.where(segment > 0, np.roll(way_out, 1), begin) != way_in
+        lost[np.repeat(np.arange(len(pos)), many)[open_ends]] = True
+    live = np.flatnonzero((way_in < end) & ~np.repeat(lost, many))
+    p, end = way_in[live], end[live]
+    while len(p):
+        bits = reach[p]
+        reach[p] = bits | 128
+        p = p + bits
+        on = np.flatnonzero(p < end)
+        p, end = p[on], end[on]
+    return lost
+
+
+def _chains(loads, pos, stop, codes, first, totals, widths):
+    """As ``_tokens``, for streams that hold nothing else up to ``stop``; and which images have to be read one by one."""
+    n, still = len(pos), _still(codes)
+    green, begin, longest = codes[0]
+    alone = ~still & (longest == 0) & (green[begin] >= 256 << 4)  # its tokens may take no bits
+    reach, apart = _reach(loads, pos, stop, codes, np.flatnonzero(~still & ~alone))
+    alone[apart] = True
+    lanes = np.flatnonzero(~still & ~alone)
+    lost = _mark(reach, pos[lanes], stop[lanes])
+    alone[lanes[lost]] = True
+    lanes = lanes[~lost]
+    p = np.flatnonzero(reach > 127)
+    of = np.repeat(np.arange(n), np.diff(np.searchsorted(p, stop), prepend=0))
+
+    window = loads[p >> 3] >> (p & 7)
+    entry = green[begin[of] + (window & ((1 << longest) - 1)[of])]
+    symbol, q = entry >> 4, p + (entry & 15)
+    copied = np.flatnonzero((symbol >= 256) & (symbol < 280))
+    size, code, q1 = np.ones(len(p), np.int64), symbol[copied] - 256, q[copied]
+    size[copied] = webp.NUMBER_BASE[code] + (loads[q1 >> 3] >> (q1 & 7) & webp.NUMBER_MASK[code])
+    place = np.cumsum(size) - size
+    count = np.bincount(of, minlength=n)
+    place -= np.repeat(place[(np.cumsum(count) - count)[count > 0]], count[count > 0])
+    kept = place < totals[of]  # the last byte's other bits are no tokens
+    filled = np.bincount(of[kept], size[kept], n).astype(np.int64)
+    wanted = np.where(still | alone, 0, totals)
+    if (filled < wanted).any():
+        raise ValueError("the stream ends early")
+    if (filled > wanted).any():
+        raise ValueError("a back-reference leaves the image")
+    if not kept.all():
+        copied = copied[kept[copied]]
+        copied = (np.cumsum(kept) - 1)[copied]
+        p, of, symbol, q, size, place = (x[kept] for x in (p, of, symbol, q, size, place))
+    ends = pos.copy()
+    ends[lanes] = (p + (reach[p] & 127))[np.cumsum(np.bincount(of, minlength=n))[lanes] - 1]
+
+    back, code, q1, lane = np.zeros(len(p), np.int64), symbol[copied] - 256, q[copied], of[copied]
+    entries, begin, longest = codes[4]
+    q2 = q1 + webp.NUMBER_BITS[code]
+    entry = entries[begin[lane] + (loads[q2 >> 3] >> (q2 & 7) & ((1 << longest) - 1)[lane])]
+    code, q3 = entry >> 4, q2 + (entry & 15)
+    number = webp.NUMBER_BASE[code] + (loads[q3 >> 3] >> (q3 & 7) & webp.NUMBER_MASK[code])
+    near = webp.NEAR_STEPS[np.minimum(number, 120) - 1]
+    back[copied] = np.where(number > 120, number - 120, np.maximum(1, near[:, 0] + near[:, 1] * widths[lane]))
+    if (back > place).any():
+        raise ValueError("a back-reference leaves the image")
+
+    window = loads[q >> 3] >> (q & 7)
+    value = (symbol.astype(np.uint32) & np.uint32(255)) << np.uint32(8)
+    for (entries, begin, longest), up in zip(codes[1:4], (16, 0, 24)):
+        entry = entries[begin[of] + (window & ((1 << longest) - 1)[of])]
+        window >>= entry & 15
+        value |= (entry >> 4).astype(np.uint32) << np.uint32(up)
+    out = np.repeat(np.append(np.where(still, _colours(codes), 0), 0).astype(np.uint32), np.append(totals, 1))
+    place += first[of]
+    out[place] = value
+    special = np.flatnonzero(symbol > 255)
+    slot = symbol[special].astype(np.int64) - 280
+    tokens = (place[special], size[special], back[special], np.where(slot < 0, -1, slot)) if len(special) else None
+    return out, tokens, ends, alone
 
 
 def _tokens(loads, pos, codes, first, totals, widths):
     """(literals at their places, (place, size, distance, slot) of the other tokens, where each stream ends)."""
     out, ends, others = np.zeros(int(totals.sum()) + 1, np.int64), pos.copy(), []
     # Symbols of a literal stand at their place in the pixel: green, red, blue, alpha.
-    entries = [(e >> 4) << (up + 4) | e & 15 for (e, _, _), up in zip(codes[:4], (8, 16, 0, 24))]
+    entries = [(e.astype(np.int64) >> 4) << (up + 4) | e & 15 for (e, _, _), up in zip(codes[:4], (8, 16, 0, 24))]
     far_entries, far_begin, far_longest = codes[4]
-    still = np.all([longest == 0 for _, _, longest in codes[:4]], axis=0) & (entries[0][codes[0][1]] < 256 << 12)
-    if still.any():  # one colour, no bits
-        colour = sum(e[begin] for e, (_, begin, _) in zip(entries, codes)) >> 4
-        out[:-1] = np.repeat(np.where(still, colour, 0), totals)
+    still = _still(codes)
+    if still.any():
+        out[:-1] = np.repeat(np.where(still, _colours(codes), 0), totals)
     moving = np.flatnonzero(~still)
     # One row a quantity, so that images that end are taken out of all at once.
     rows = [moving, first[moving], (first + totals)[moving], widths[moving], far_begin[moving], (1 << far_longest[moving]) - 1]

@@ -19,11 +19,14 @@ TILE_BITS = 6
 MODES = (0, 1, 2, 4, 7, 12)
 LEAST_COPY = 3
 MOST_COPY = 4096
+MOST_PLACES = 1 << 24  # pixels of a batch whose places fit beside 40 bits of a hash
 FARTHEST = (1 << 20) - 120
 MOST_CODE_BITS, MOST_META_BITS = 15, 7
 SYMBOL_BITS = 5  # about what a symbol's code length takes in the header
 META_ORDER = np.array(webp.LENGTH_ORDER)
 BATCH_BYTES = 2 << 20  # samples encoded at a time
+BLOCK_ROWS = 256  # rows whose samples are counted at a time, so that they stay in the processor's cache
+LARGE, LEAST_LARGE = 48, 64  # so many of the largest trees are built alone, but none of so few symbols
 GREEN_SYMBOLS, CACHE_SYMBOLS, FAR_SYMBOLS = 280, 1024, 40
 #: Parts of an image in the stream: its head, three for each of five codes, its tokens.
 PARTS = 17
@@ -69,13 +72,43 @@ def code_lengths(counts: np.ndarray, most: int, sizes: np.ndarray | None = None)
         weight = np.maximum(counts[symbol], floor[code])
         order = np.argsort(code << 32 | weight, kind="stable")
         weight, each = weight[order], np.flatnonzero(todo)
-        depth, start = _depths(weight, many[each]), _starts(many[each])
+        size, start = many[each], _starts(many[each])
+        large = size > max(LEAST_LARGE, int(np.partition(size, -LARGE)[-LARGE]) if len(size) > LARGE else 0)
+        depth, small = np.empty(len(weight), np.int64), np.repeat(~large, size)
+        if small.any():
+            depth[small] = _depths(weight[small], size[~large])
+        for at, n in zip(start[large].tolist(), size[large].tolist()):
+            depth[at : at + n] = _depths_alone(weight[at : at + n].tolist())
         out[symbol[order]] = depth
         floor[each] = 2 * floor[each] + 1 + (np.add.reduceat(weight, start) >> most)
         todo[each[depth[start] <= most]] = False  # the lightest symbol lies deepest
     return out
 
 
+def _depths_alone(weights: list[int]) -> list[int]:
+    """``_depths`` of one tree, a join at a time."""
+    n, end = len(weights), float("inf")
+    leaves, inner, parent = [*weights, end], [], [0] * (2 * n - 1)
+    a = b = 0
+    for fresh in range(n, 2 * n - 1):
+        inner.append(end)  # the join's own place, not made yet
+        total = 0
+        for _ in range(2):
+            if leaves[a] <= inner[b]:
+                total += leaves[a]
+                parent[a] = fresh
+                a += 1
+            else:
+                total += inner[b]
+                parent[n + b] = fresh
+                b += 1
+        inner[-1] = total
+    depth = [0] * (2 * n - 1)
+    for node in range(2 * n - 3, -1, -1):
+        depth[node] = depth[parent[node]] + 1
+    return depth[:n]
+
+
 def _depths(weights: np.ndarray, sizes: np.ndarray) -> np.ndarray:
     """Depths in Huffman trees of sorted weights, two or more each. Trees grow side by side, each by two queues
     (leaves, and inner nodes in the order they were made); larger trees come first, so those not done are a prefix."""
@@ -115,7 +148,7 @@ def bit_codes(lengths: np.ndarray, owner: np.ndarray) -> np.ndarray:
     """Canonical codes, as they stand in the stream (first bit lowest); codes of one symbol have no lengths here."""
     used = np.flatnonzero(lengths)
     out = np.zeros(len(lengths), np.int64)
-    used = used[np.argsort(owner[used] << 4 | lengths[used], kind="stable")]
+    used = np.sort((owner[used] << 4 | lengths[used]) << 32 | used) & 0xFFFFFFFF
     span = 1 << (MOST_CODE_BITS - lengths[used])
     # The spans of a code fill all of 15 bits, so the next one begins at 0 again.
     out[used] = webp.REVERSED_BITS[_starts(span) & ((1 << MOST_CODE_BITS) - 1)]
@@ -177,7 +210,9 @@ def _runs(lengths: np.ndarray, owner: np.ndarray):
     symbol = np.stack((value, np.where(some, 16, 18), np.where(one, np.where(some, 16, np.where(big, 18, 17)), value)), axis=1).ravel()
     extra = np.stack((zero, np.where(some, 3, 127), np.where(one, rest - np.where(big, 11, 3), 0)), axis=1).ravel()
     bits = np.stack((zero, np.where(some, 2, 7), np.where(one, np.where(some, 2, np.where(big, 7, 3)), 0)), axis=1).ravel()
-    return np.repeat(symbol, count), np.repeat(extra, count), np.repeat(bits, count), np.repeat(np.repeat(owner[starts], 3), count)
+    # The four together in a number, so that they are repeated at once.
+    all_of = np.repeat(symbol | extra << 5 | bits << 12 | np.repeat(owner[starts], 3) << 15, count)
+    return all_of & 31, all_of >> 5 & 127, all_of >> 12 & 7, all_of >> 15
 
 
 def numbers(values: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -210,15 +245,23 @@ def copies(flat: np.ndarray, image: np.ndarray) -> tuple[np.ndarray, np.ndarray,
     wide = flat.astype(np.uint64)
     key = (wide[:n] * np.uint64(0x9E3779B97F4A7C15) + wide[1 : n + 1]) * np.uint64(0xC2B2AE3D27D4EB4F) + wide[2 : n + 2]
     key = key * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(24)
-    key |= image[:n].astype(np.uint64) << np.uint64(40)
     places = np.flatnonzero(image[:n] == image[2:])  # three pixels of one image
-    key = key[places]
-    order = np.argsort(key, kind="stable")
-    again = np.flatnonzero(key[order[1:]] == key[order[:-1]])
-    if not len(again):
+    if len(flat) <= MOST_PLACES:
+        key = key[places] << np.uint64(24) | places.astype(np.uint64)
+        key.sort()
+        order, key = (key & np.uint64(MOST_PLACES - 1)).astype(np.int64), key >> np.uint64(24)
+    else:
+        order = np.argsort(key[places], kind="stable")
+        order = places[order]
+        key = key[order]
+    # Images stand one after the other, so the last such place of the same image, if any, comes right before.
+    again = np.flatnonzero(key[1:] == key[:-1])
+    now, was = order[again + 1], order[again]
+    own = image[now] == image[was]
+    now, was = now[own], was[own]
+    if not len(now):
         return none, none, none
     far = np.zeros(len(flat), np.int64)
-    now, was = places[order[again + 1]], places[order[again]]
     same = (flat[now] == flat[was]) & (flat[now + 1] == flat[was + 1]) & (flat[now + 2] == flat[was + 2]) & (now - was <= FARTHEST)
     far[now[same]] = (now - was)[same]
     # Where the distance stays the same the copy goes on; an image's last two places have none.
@@ -267,9 +310,13 @@ def write_images(images: list[tuple[int, np.ndarray]], heads: list[list[tuple[in
     rank = np.empty(len(place), np.int64)
     rank[order] = np.arange(len(place))
     token_of = image[place[order]]
-    pixels, of = channels[literal].astype(np.int64), image[literal]
+    # Channels in memory order: blue, green, red, alpha; the codes' order begins with green and red.
+    blue, green, red, alpha = (np.ascontiguousarray(c) for c in channels[literal].T)
+    of = image[literal]
     lengths = _counted(copy_of, size_symbol + 256, n, GREEN_SYMBOLS)
-    plain = entropies(_counted(of, pixels[:, 1], n, GREEN_SYMBOLS) + lengths) + sum(entropies(_counted(of, pixels[:, c], n, 256)) for c in (2, 0, 3))
+    seen = [_counted(of, green, n, GREEN_SYMBOLS) + lengths, *(_counted(of, c, n, 256) for c in (red, blue, alpha))]
+    plain, busy = np.zeros(n), np.flatnonzero(sizes > 1)
+    plain[busy] = sum(entropies(c[busy]) for c in seen)
     cache_bits = np.clip(np.frexp(sizes)[1] - 3, 1, 10)
     slot = (flat * np.uint32(webp.CACHE_FACTOR)) >> (32 - cache_bits).astype(np.uint32)[image]
     key = image.astype(np.uint64) << np.uint64(43) | slot.astype(np.uint64) << np.uint64(32) | np.arange(len(flat), dtype=np.uint64)
@@ -279,33 +326,60 @@ def write_images(images: list[tuple[int, np.ndarray]], heads: list[list[tuple[in
     known = np.zeros(len(flat), bool)
     known[by_slot[1:]] = (key[1:] == key[:-1]) & (flat[by_slot[1:]] == flat[by_slot[:-1]])
     hit, index = known[literal], slot[literal].astype(np.int64)
-    left, left_of = pixels[~hit], of[~hit]
-    with_cache = entropies(np.append(_counted(left_of, left[:, 1], n, GREEN_SYMBOLS) + lengths, _counted(of[hit], index[hit], n, CACHE_SYMBOLS), axis=1))
-    with_cache += sum(entropies(_counted(left_of, left[:, c], n, 256)) for c in (2, 0, 3))
-    cached = (np.bincount(of[hit], minlength=n) > np.bincount(of, minlength=n) >> 6) & (with_cache < plain)
+    tried = np.bincount(of[hit], minlength=n) > np.bincount(of, minlength=n) >> 6
+    cached = np.zeros(n, bool)
+    if tried.any():
+        number, those = np.cumsum(tried) - 1, np.flatnonzero(hit & tried[of])
+        row, m = number[of[those]], int(tried.sum())
+        left = [all_of[tried] - _counted(row, c[those], m, all_of.shape[1]) for all_of, c in zip(seen, (green, red, blue, alpha))]
+        left[0] = np.append(left[0], _counted(row, index[those], m, CACHE_SYMBOLS), axis=1)
+        cached[tried] = sum(map(entropies, left)) < plain[tried]
     hit &= cached[of]
-    left, left_of = pixels[~hit], of[~hit]
 
     alphabets = np.tile(np.array([GREEN_SYMBOLS, 256, 256, 256, FAR_SYMBOLS]), (n, 1))
     alphabets[:, 0] += np.where(cached, 1 << cache_bits, 0)
     base = _starts(alphabets.ravel()).reshape(n, 5)
-    first = base[of, 0] + np.where(hit, GREEN_SYMBOLS + index, pixels[:, 1])
-    others = [base[left_of, i] + left[:, c] for i, c in ((1, 2), (2, 0), (3, 3))]
+    by_cache, uncached = np.flatnonzero(hit), np.flatnonzero(~hit)
+    first = base[of, 0] + green
+    first[by_cache] += GREEN_SYMBOLS + index[by_cache] - green[by_cache]
+    left_of = of[uncached]
+    others = [base[left_of, i] + c[uncached] for i, c in ((1, red), (2, blue), (3, alpha))]
     size_at, far_at = base[copy_of, 0] + 256 + size_symbol, base[copy_of, 4] + far_symbol
-    counts = np.bincount(np.concatenate((first, *others, size_at, far_at)), minlength=int(alphabets.sum()))
+    counts = np.bincount(np.concatenate((first[by_cache], far_at)), minlength=int(alphabets.sum()))
+    for i, (all_of, c) in enumerate(zip(seen, (green, red, blue, alpha))):
+        if len(by_cache):
+            all_of -= _counted(of[by_cache], c[by_cache], n, all_of.shape[1])
+        counts[base[:, i, None] + np.arange(all_of.shape[1])] += all_of
     code, bits, fields = write_codes(counts, alphabets.ravel())
 
-    # A token is two fields: green and red, blue and alpha; or a copy's length and its distance.
-    values, taken = np.zeros((len(place), 2), np.int64), np.zeros((len(place), 2), np.int64)
+    # A token is green and red, then blue and alpha; or a copy's length, then its distance.
+    value, taken = np.empty((2, len(place)), np.int64), np.empty((2, len(place)), np.int64)
     by_literal, by_copy = rank[: len(literal)], rank[len(literal) :]
-    values[by_literal, 0], taken[by_literal, 0] = code[first], bits[first]
-    own = by_literal[~hit]
-    red, blue, alpha = others
-    values[own, 0] |= code[red] << taken[own, 0]
-    taken[own, 0] += bits[red]
-    values[own, 1], taken[own, 1] = code[blue] | code[alpha] << bits[blue], bits[blue] + bits[alpha]
-    values[by_copy, 0], taken[by_copy, 0] = code[size_at] | size_extra << bits[size_at], bits[size_at] + size_bits
-    values[by_copy, 1], taken[by_copy, 1] = code[far_at] | far_extra << bits[far_at], bits[far_at] + far_bits
+    both = (code << 4 | bits).astype(np.int32)
+
+    def coded(at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        found = both[at].astype(np.int64)
+        return found >> 4, found & 15
+
+    (half, size), (red, red_bits), (blue, blue_bits), (alpha, alpha_bits) = map(coded, (first, *others))
+    if len(by_cache):
+        half[uncached] |= red << size[uncached]
+        size[uncached] += red_bits
+    else:
+        half |= red << size
+        size += red_bits
+    value[0, by_literal], taken[0, by_literal] = half, size
+    own = by_literal[uncached]
+    value[1], taken[1] = 0, 0
+    value[1, own], taken[1, own] = blue | alpha << blue_bits, blue_bits + alpha_bits
+    value[0, by_copy], taken[0, by_copy] = code[size_at] | size_extra << bits[size_at], bits[size_at] + size_bits
+    value[1, by_copy], taken[1, by_copy] = code[far_at] | far_extra << bits[far_at], bits[far_at] + far_bits
+    # Both halves are one field where that has no more than 33 bits.
+    apart = taken[0] + taken[1] > 33
+    field = np.arange(len(place)) + np.cumsum(apart) - apart
+    values, widths = np.empty(len(place) + int(apart.sum()), np.int64), np.empty(len(place) + int(apart.sum()), np.int64)
+    values[field], widths[field] = np.where(apart, value[0], value[0] | value[1] << taken[0]), np.where(apart, taken[0], taken[0] + taken[1])
+    values[field[apart] + 1], widths[field[apart] + 1] = value[1, apart], taken[1, apart]
 
     main = np.append(file_of[1:] != file_of[:-1], True)
     for i, head in enumerate(heads):
@@ -315,7 +389,7 @@ def write_images(images: list[tuple[int, np.ndarray]], heads: list[list[tuple[in
     head_fields = np.array([(i, value, size) for i, head in enumerate(heads) for value, size in head])
     groups = [(head_fields[:, 0] * PARTS, head_fields[:, 1], head_fields[:, 2])]
     groups += [(c // 5 * PARTS + 1 + 3 * (c % 5) + part, value, size) for c, part, value, size in fields]
-    groups.append((np.repeat(token_of, 2) * PARTS + PARTS - 1, values.ravel(), taken.ravel()))
+    groups.append((np.repeat(token_of, 1 + apart) * PARTS + PARTS - 1, values, widths))
     return _join(groups, np.repeat(file_of, PARTS))
 
 
@@ -348,16 +422,18 @@ def _around(rows: np.ndarray, inner: np.ndarray):
 
 def choose_modes(rows: np.ndarray, inner: np.ndarray, tile: np.ndarray, tiles: int) -> np.ndarray:
     """The predictor's mode for each tile: the one whose residuals have the least entropy. ``inner``: rows that have
-    one above them; ``tile``: the tile of each of their pixels but the first."""
+    one above them; ``tile``: the tile of each of their pixels but the first; channels without alpha, in any order."""
     if not tile.size:
         return np.zeros(tiles, np.int64)
-    around, own, base = _around(rows[..., :3], inner), rows[inner, 1:, :3], (tile << 8)[..., None]
-    costs = []
-    for mode in MODES:
-        guess = webp.predictions(mode, *around).astype(np.uint8) if mode else np.uint8(0)
-        counts = np.bincount((base + (own - guess)).ravel(), minlength=tiles << 8).reshape(-1, 256)
-        costs.append(-n_log_n(counts).sum(axis=1))
-    return np.array(MODES)[np.argmin(costs, axis=0)]
+    counts = np.zeros((len(MODES), tiles, 256), np.int64)
+    for at in range(0, len(inner), BLOCK_ROWS):
+        line, of = inner[at : at + BLOCK_ROWS], tile[at : at + BLOCK_ROWS]
+        low, high = int(of.min()), int(of.max()) + 1
+        around, own, base = _around(rows, line), rows[line, 1:], (of - low << 8)[..., None]
+        for k, mode in enumerate(MODES):
+            guess = webp.predictions(mode, *around).astype(np.uint8) if mode else np.uint8(0)
+            counts[k, low:high] += np.bincount((base + (own - guess)).ravel(), minlength=high - low << 8).reshape(-1, 256)
+    return np.array(MODES)[np.argmin([-n_log_n(c).sum(axis=1) for c in counts], axis=0)]
 
 
 def residuals(rows: np.ndarray, top: np.ndarray, inner: np.ndarray, each: np.ndarray) -> np.ndarray:
@@ -366,7 +442,8 @@ def residuals(rows: np.ndarray, top: np.ndarray, inner: np.ndarray, each: np.nda
     out[top, 1:] = rows[top, 1:] - rows[top, :-1]
     out[top, 0] = rows[top, 0] - webp.BLACK.astype(np.uint8)
     out[inner, 0] = rows[inner, 0] - rows[inner - 1, 0]
-    for mode in np.unique(each).tolist():
+    out[inner, 1:, 3] -= webp.BLACK.astype(np.uint8)[3]  # mode 0
+    for mode in np.unique(each[each > 0]).tolist():
         here = (each == mode).any(axis=1)
         line = inner[here]
         guess = webp.predictions(mode, *_around(rows, line)).astype(np.uint8)
@@ -374,11 +451,17 @@ def residuals(rows: np.ndarray, top: np.ndarray, inner: np.ndarray, each: np.nda
     return out
 
 
-def _of_channels(rows: np.ndarray, owner: np.ndarray, n: int) -> np.ndarray:
-    """Bits of each owner's blue, green and red samples."""
-    at = ((owner * 3)[:, None] + np.arange(3)) << 8
-    counts = np.bincount((at.reshape(len(rows), *[1] * (rows.ndim - 2), 3) + rows[..., :3]).ravel(), minlength=n * 768)
-    return entropies(counts.reshape(n * 3, 256)).reshape(n, 3).sum(axis=1)
+def _of_channels(rows: np.ndarray, owner: np.ndarray, n: int, channels: tuple[int, ...] = (0, 1, 2)) -> list[np.ndarray]:
+    """Bits of each owner's blue, green and red samples; owners ascend."""
+    counts = np.zeros((len(channels), n, 256), np.int64)
+    step = BLOCK_ROWS * max(1, 256 // max(1, rows[:1, ..., 0].size))
+    for at in range(0, len(rows), step):
+        of, some = owner[at : at + step], rows[at : at + step]
+        low, high = int(of[0]), int(of[-1]) + 1
+        base = (of - low << 8).reshape(-1, *[1] * (some.ndim - 2))
+        for k, c in enumerate(channels):
+            counts[k, low:high] += np.bincount((base + some[..., c]).ravel(), minlength=high - low << 8).reshape(-1, 256)
+    return [entropies(c) for c in counts]
 
 
 def encode(rgb: np.ndarray) -> bytes:
@@ -411,42 +494,52 @@ def _encode(pictures: list[np.ndarray]) -> list[bytes]:
     heights = np.array([len(p) for p in pictures])
     first, owner = _starts(heights), np.repeat(np.arange(n), heights)
     rows = np.empty((len(owner), width, 4), np.uint8)
-    rows[..., :3], rows[..., 3] = np.concatenate(pictures)[..., ::-1], 255
+    rgb = np.concatenate(pictures)
+    rows[..., :3], rows[..., 3] = rgb[..., ::-1], 255
     y = np.arange(len(owner)) - first[owner]
     across = webp._blocks(width, TILE_BITS)
     tiles = webp._blocks(heights, TILE_BITS) * across
     tile_at, inner = _starts(tiles), np.flatnonzero(y)
     tile = (tile_at[owner] + (y >> TILE_BITS) * across)[inner][:, None] + (np.arange(1, width) >> TILE_BITS)
-    modes = choose_modes(rows, inner, tile, int(tiles.sum()))
+    modes = choose_modes(rgb, inner, tile, int(tiles.sum()))
     rest = residuals(rows, first, inner, modes[tile])
     off = rest.copy()
     off[..., 0] -= rest[..., 1]
     off[..., 2] -= rest[..., 1]
-    plain = _of_channels(rest, owner, n)
-    green = _of_channels(off, owner, n) < plain
+    each = _of_channels(rest, owner, n)
+    plain, (blue, red) = sum(each), _of_channels(off, owner, n, (0, 2))
+    green = blue + each[1] + red < plain
     body = np.where(green[owner][:, None, None], off, rest).view("<u4")[..., 0].reshape(-1)
 
     argb = rows.view("<u4")[..., 0]
     colour = np.sort((owner.astype(np.uint64) << np.uint64(32))[:, None] | argb, axis=None)
-    colour = colour[np.append(True, colour[1:] != colour[:-1])]
-    colours = np.bincount((colour >> np.uint64(32)).astype(np.int64), minlength=n)
-    colour_at = _starts(colours)
+    begin = np.flatnonzero(np.append(True, colour[1:] != colour[:-1]))
+    pixels, colour = np.diff(np.append(begin, len(colour))), colour[begin]
+    colour_of = (colour >> np.uint64(32)).astype(np.int64)
+    colours = np.bincount(colour_of, minlength=n)
+    few = (colours <= 256)[colour_of]
+    table, pixels, colour_of = colour.astype("<u4")[few], pixels[few], colour_of[few]
+    colour_at = _starts(np.where(colours <= 256, colours, 0))
+    deltas = table.view(np.uint8).reshape(-1, 4).copy()
+    within = np.flatnonzero(colour_of[1:] == colour_of[:-1]) + 1
+    deltas[within] -= table.view(np.uint8).reshape(-1, 4)[within - 1]
+    indices = n_log_n(heights * width) - np.bincount(colour_of, n_log_n(pixels), n) + SYMBOL_BITS * colours
+    palette = (colours <= 256) & (sum(_of_channels(deltas, colour_of, n)) + np.where(colours < 2, 0.0, indices) < plain)
+    shades = (modes << 8).astype(np.uint32) | np.uint32(0xFF000000)
     images, heads = [], []
     for i, (at, height) in enumerate(zip(first.tolist(), heights.tolist())):
         head = [(0x2F | (width - 1) << 8, 22), (height - 1, 18), (1, 1)]
-        if colours[i] <= 256:
-            table = colour[colour_at[i] : colour_at[i] + colours[i]].astype("<u4")
-            deltas = np.diff(table.view(np.uint8).reshape(-1, 4), axis=0, prepend=np.zeros((1, 4), np.uint8))
-            index = np.searchsorted(table, argb[at : at + height])
-            if _of_channels(deltas, np.zeros(len(table), np.int64), 1)[0] + entropies(np.bincount(index.ravel(), minlength=256)[None])[0] < plain[i]:
-                fold = webp._bundle(len(table))
-                wide = webp._blocks(width, fold)
-                index = np.pad(index, ((0, 0), (0, (wide << fold) - width))).reshape(height, wide, 1 << fold)
-                packed = (index << (np.arange(1 << fold) * (8 >> fold))).sum(axis=2).astype(np.uint32).ravel()
-                images += [(len(table), np.ascontiguousarray(deltas).view("<u4").ravel()), (wide, packed << np.uint32(8) | np.uint32(0xFF000000))]
-                heads += [[*head, (webp.PALETTE, 2), (len(table) - 1, 8)], [(0, 1)]]
-                continue
-        images.append((across, (modes[tile_at[i] : tile_at[i] + tiles[i]] << 8).astype(np.uint32) | np.uint32(0xFF000000)))
+        if palette[i]:
+            mine = slice(colour_at[i], colour_at[i] + colours[i])
+            fold = webp._bundle(int(colours[i]))
+            wide = webp._blocks(width, fold)
+            index = np.searchsorted(table[mine], argb[at : at + height])
+            index = np.pad(index, ((0, 0), (0, (wide << fold) - width))).reshape(height, wide, 1 << fold)
+            packed = (index << (np.arange(1 << fold) * (8 >> fold))).sum(axis=2).astype(np.uint32).ravel()
+            images += [(int(colours[i]), deltas[mine].view("<u4").ravel()), (wide, packed << np.uint32(8) | np.uint32(0xFF000000))]
+            heads += [[*head, (webp.PALETTE, 2), (int(colours[i]) - 1, 8)], [(0, 1)]]
+            continue
+        images.append((across, shades[tile_at[i] : tile_at[i] + tiles[i]]))
         images.append((width, body[at * width : (at + height) * width]))
         heads += [[*head, (webp.PREDICTOR, 2), (TILE_BITS - 2, 3)], [*([(1, 1), (webp.GREEN, 2)] if green[i] else []), (0, 1)]]
     return [webp._file(stream) for stream in write_images(images, heads, np.repeat(np.arange(n), 2))]

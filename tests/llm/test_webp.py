@@ -140,3 +140,66 @@ def test_reading_together_equals_reading_alone(tools, entries, monkeypatch):
         assert (out == rows).all()
     with pytest.raises((ValueError, IndexError)):
         webp_reader.decode_many([*files[:3], files[3][:-9]])
+
+
+def prose(n, seed):
+    draw = np.random.default_rng(seed)
+    raw = " ".join(f"w{i}" for i in draw.zipf(1.3, n) % 5000).encode()
+    return np.frombuffer(raw + b" " * (-len(raw) % 192), np.uint8).reshape(-1, 64, 3)
+
+
+def test_long_main_images_are_read_together(monkeypatch):
+    """None of a batch's main images, however long, is read alone, nor is a single very long one."""
+    alone, keep = [], webp.read_image
+    monkeypatch.setattr(webp, "read_image", lambda *asked: alone.append(asked[3]) or keep(*asked))
+    for pictures in ([prose(4000 + 50 * seed, seed) for seed in range(40)], [prose(80_000, 1)]):
+        files = webp_writer.encode_many(pictures)
+        for out, rgb in zip(webp_reader.decode_many(files), pictures, strict=True):
+            assert (out[..., :3] == rgb).all()
+    assert not any(alone)
+
+
+@pytest.mark.parametrize("segment, stride, steps", [(40, 1, 1 << 20), (64, 16, 1 << 20), (300, 3, 1 << 20), (1 << 20, 16, 1 << 20), (64, 4, 4), (2048, 16, 160)])
+def test_entries_anywhere_give_the_same_tokens(segment, stride, steps, monkeypatch):
+    """Wherever streams are entered, and where entries do not meet in time."""
+    for name, value in (("ALONE", 0), ("SEGMENT", segment), ("STRIDE", stride), ("MOST_STEPS", steps)):
+        monkeypatch.setattr(webp_reader, name, value)
+    pictures = [prose(20 + 40 * seed, seed) for seed in range(30)] + [samples(70, 64, seed) for seed in range(12)]
+    files = webp_writer.encode_many(pictures)
+    every = [picture(9 + seed, 40, (3, 90, 5000)[seed % 3], seed) for seed in range(12)]
+    files += [webp.encode(rows, (webp.GREEN,), references=seed % 2 == 0, cache_bits=seed % 5) for seed, rows in enumerate(every)]
+    files += [webp.encode_flat(p) for p in pictures[:3]]
+    for out, want in zip(webp_reader.decode_many(files), pictures + every + pictures[:3], strict=True):
+        assert (out[..., : want.shape[2]] == want).all()
+
+
+def test_entries_that_never_meet_the_right_one(monkeypatch):
+    """Codes of nearly one width: entries meet each other, not the chain from the first bit."""
+    reads, keep = [], webp_reader._leave
+    monkeypatch.setattr(webp_reader, "ALONE", 0)
+    monkeypatch.setattr(webp_reader, "_leave", lambda *a: reads.append(1) or keep(*a))
+    rgb = np.random.default_rng(5).integers(0, 256, (4000, 64, 3), dtype=np.uint8)
+    [out] = webp_reader.decode_many(webp_writer.encode_many([rgb]))
+    assert (out[..., :3] == rgb).all() and len(reads) <= 1 + webp_reader.MOST_ROUNDS
+
+
+def test_trees_alone_and_side_by_side_are_equal(monkeypatch):
+    draw = np.random.default_rng(3)
+    counts = [draw.zipf(1.2, 2 + 9 * k).clip(0, 10_000) for k in range(80)]
+    flat, sizes = np.concatenate(counts), np.array([len(c) for c in counts])
+    got = webp_writer.code_lengths(flat, 15, sizes)
+    for large, least in ((0, 0), (1 << 20, 1 << 20), (5, 8)):
+        monkeypatch.setattr(webp_writer, "LARGE", large)
+        monkeypatch.setattr(webp_writer, "LEAST_LARGE", least)
+        assert (webp_writer.code_lengths(flat, 15, sizes) == got).all()
+
+
+def test_palettes_are_weighed_together():
+    """A picture's file is the same whether its colours are counted with those of others or alone."""
+    pictures = [picture(h, 64, colours, h + colours)[..., :3] for h in (1, 3, 30) for colours in (1, 2, 5, 17, 200, 256, 257, 900)]
+    files = webp_writer.encode_many(pictures)
+    assert files == [webp_writer.encode(p) for p in pictures]
+    kinds = {webp.Bits(webp.content(f), 41).peek(2) for f in files}
+    assert kinds == {webp.PREDICTOR, webp.PALETTE}
+    for out, rgb in zip(webp_reader.decode_many(files), pictures, strict=True):
+        assert (out[..., :3] == rgb).all()
