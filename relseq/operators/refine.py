@@ -27,13 +27,14 @@ from pyspark.sql import functions as F
 
 from relseq.functions import taxonomy
 from relseq.functions.relations import oriented
-from relseq.operators import patterns
+from relseq.operators import dense, patterns
 from relseq.operators.corpus import concept_view, condensed, looked_up, slot_names
 from relseq.operators.matching import permuted
 from relseq.operators.typemining import Mined
 from relseq.session import ship
 
 GROUP_LIMIT = 1_000_000  # occurrences of one skeleton that a task may hold
+DENSE_LIMIT = 8_000_000  # the same where they are held as numbers and bits
 CHUNK_ROWS = 400_000
 VECTOR_BLOCK = 5_000  # candidates that meet a chunk at a time
 LEAF = "skeleton string, seq_id string, leaf array<string>"
@@ -549,6 +550,9 @@ def refine(mined: Mined, kind: str = "maximal", algorithm: str = "vectors", scop
     """(skeleton, vector, support) of every frequent skeleton's refinements. ``scope="global"`` also compares
     refinements of different skeletons."""
     largest = max((n for _, n in mined.skeletons.values()), default=0)
+    if kind == "maximal" and algorithm == "vectors" and not permute and mined.limits and min(largest, mined.stored or largest) <= DENSE_LIMIT:
+        found = _dense(mined)
+        return globally_maximal(mined, found) if scope == "global" else found
     if mined.grow and not permute and "weight" not in mined.rows.columns:
         mined = replace(mined, rows=mined.grow(condensed(mined.corpus, mined.timed).sequences))
     if largest > GROUP_LIMIT and "weight" in mined.rows.columns:
@@ -557,6 +561,16 @@ def refine(mined: Mined, kind: str = "maximal", algorithm: str = "vectors", scop
     return globally_maximal(mined, found) if scope == "global" else found
 
 
+def _dense(mined: Mined) -> DataFrame:
+    ship(mined.rows.sparkSession)
+    corpus = mined.corpus
+    if "weight" not in corpus.sequences.columns:
+        corpus = condensed(corpus, mined.timed)
+        corpus = replace(corpus, sequences=corpus.sequences.persist())  # read twice
+    wide = {s: len(slot_names(list(patterns.parse(s)[0]), corpus.trees, corpus.relations, corpus.with_concepts)) for s in mined.skeletons}
+    return dense.refined(corpus, mined.skeletons, mined.threshold, mined.total, mined.limits, wide)
+
+
 def globally_maximal(mined: Mined, refined: DataFrame) -> DataFrame:
     """Of refinements of all skeletons, those that no refinement with one event more says as much as: dropping an
     event of the longer one leaves the shorter one or something narrower. Layouts are one row a skeleton."""
