@@ -77,3 +77,26 @@ def test_supports_by_table_and_by_pairs(monkeypatch):
     told = dense.supports(sequences, words, at_depth, weights, 4)
     monkeypatch.setattr(dense, "MARKED", 0)
     assert told.tolist() == dense.supports(sequences, words, at_depth, weights, 4).tolist()
+
+
+def test_grid_relations_runs_settings_side_by_side(spark, monkeypatch):
+    from relseq import workloads
+    from relseq.operators import costs
+
+    monkeypatch.setattr(refine, "leaf_rows", lambda *_: pytest.fail("leaf rows are made"))
+    running, most, run = [], [], costs.run_cell
+
+    def watched(corpus, cell):
+        running.append(cell)
+        most.append(len(running))
+        try:
+            return run(corpus, cell)
+        finally:
+            running.remove(cell)
+
+    monkeypatch.setattr(costs, "run_cell", watched)
+    cells = lambda *_: [workloads.Cell("gap", "relations", ms, max_gap=g, max_events=2) for ms in (0.3, 0.4) for g in (1, 2)]
+    one = {tuple(r)[:9] for r in workloads.run_grid(spark, D, cells()).collect()}
+    assert max(most) == 1
+    assert {tuple(r)[:9] for r in workloads.run_grid(spark, D, cells(), at_once=4).collect()} == one
+    assert max(most) > 1
