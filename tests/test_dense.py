@@ -100,3 +100,15 @@ def test_grid_relations_runs_settings_side_by_side(spark, monkeypatch):
     assert max(most) == 1
     assert {tuple(r)[:9] for r in workloads.run_grid(spark, D, cells(), at_once=4).collect()} == one
     assert max(most) > 1
+
+
+def test_grid_span_relations_grows_no_row(spark, monkeypatch):
+    """Spans without a gap: every later event is looked at, and no leaf row is made."""
+    from relseq import workloads
+
+    cells = [workloads.Cell("span", "relations", 0.3, max_span=w, max_events=3) for w in (2, 4)]
+    mined = [typemining.mine(ops.condensed(ops.scenario(corpora.weeks(spark, D), "relations")), 0.3, None, c.max_span, 3) for c in cells]
+    want = [refine.refine(replace(m, limits=None)).count() for m in mined]
+    monkeypatch.setattr(refine, "leaf_rows", lambda *_: pytest.fail("leaf rows are made"))
+    got = workloads.run_grid(spark, D, cells, "weeks", 2).collect()
+    assert [r["n_patterns"] for r in got] == want and want[0] < want[1]
